@@ -40,11 +40,11 @@ _LANES = np.uint64(0x0101010101010101)
 
 
 # ---------------------------------------------------------------- fingerprints
-def shingle_hashes(text: str | None, size: int = SHINGLE, seed: int = SEED) -> np.ndarray:
+def shingle_hashes(text: bytes | None, size: int = SHINGLE, seed: int = SEED) -> np.ndarray:
     """XXH64 of every run of ``size`` words, repeats included; of all words if there are fewer."""
     import xxhash
 
-    words = (text or "").encode("utf-8", "surrogatepass").lower().split()
+    words = (text or b"").lower().split()
     if not words:
         return np.empty(0, np.uint64)
     joined = b" ".join(words)
@@ -73,7 +73,7 @@ def majority(hashes: np.ndarray) -> int:
 
 def fingerprints(docs: DataFrame, text: str = "text", keep: tuple[str, ...] = ("doc_id",)) -> DataFrame:
     """``keep`` and ``fp`` (64 bits as a signed long) of each whole text."""
-    rows = docs.select(*keep, F.col(text).alias("_text"))
+    rows = docs.select(*keep, F.col(text).cast("binary").alias("_text"))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
