@@ -42,7 +42,17 @@ def settle(df: DataFrame, label: str) -> DataFrame:
     spark = df.sparkSession
     path = fresh_path(spark, label)
     df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    out = spark.read.schema(df.schema).parquet(path)
+    out._written_at = path
+    return out
+
+
+def drop_written(df: DataFrame) -> None:
+    """Delete the files of a settled table that nothing reads any more, and let Spark forget dead shuffles."""
+    jvm = df.sparkSession._jvm
+    path = jvm.org.apache.hadoop.fs.Path(df._written_at)
+    path.getFileSystem(df.sparkSession._jsparkSession.sessionState().newHadoopConf()).delete(path, True)
+    jvm.System.gc()
 
 
 def let(value: Column, body: Callable[[Column], Column]) -> Column:

@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import decontaminate, mixing, quality_rules, simhash, token_store
+from . import decontaminate, mixing, quality_rules, simhash, suffix_dedup, token_store
 from .common import read_table
 
 
@@ -14,6 +14,11 @@ def op2_simhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return simhash.near_duplicates(read_table(spark, sf_dir, "documents"))
 
 
+def op4_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    found = suffix_dedup.remove_repeats(read_table(spark, sf_dir, "documents"))
+    return found.select("doc_id", "n_bytes", "n_removed", "n_spans", "kept_sha256")
+
+
 def op6_source_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mixing.mix(read_table(spark, sf_dir, "documents"))
 
@@ -32,6 +37,6 @@ def op10_benchmark_decontamination(spark: SparkSession, sf_dir: str) -> DataFram
 
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
-    f.__name__: f for f in (op2_simhash_near_dedup, op6_source_mixing, op7_quality_rules, op9_token_store, op10_benchmark_decontamination)
+    f.__name__: f for f in (op2_simhash_near_dedup, op4_suffix_dedup, op6_source_mixing, op7_quality_rules, op9_token_store, op10_benchmark_decontamination)
 }
 ORACLES: dict[str, str] = {}
