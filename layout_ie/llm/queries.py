@@ -6,10 +6,14 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import decontaminate, html_text, mixing, quality_rules, simhash, suffix_dedup, token_store, warc
+from . import chat, decontaminate, html_text, mixing, quality_model, quality_rules, simhash, suffix_dedup, token_store, warc
 from .common import read_table
 
 
+def op1_quality_model(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return quality_model.grade_documents(read_table(spark, sf_dir, "documents"), read_table(spark, sf_dir, "labels"))
+
+
 def op2_simhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return simhash.near_duplicates(read_table(spark, sf_dir, "documents"))
 
@@ -36,6 +40,11 @@ def op7_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept")
 
 
+def op8_chat_format(spark: SparkSession, sf_dir: str) -> DataFrame:
+    rows = read_table(spark, sf_dir, "conversations").select("conv_id", "turn", "role", "text")
+    return chat.digests(chat.format_turns(rows.unionByName(chat.probe(spark))))
+
+
 def op9_token_store(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_store.stage(read_table(spark, sf_dir, "documents"))
 
@@ -45,6 +54,6 @@ def op10_benchmark_decontamination(spark: SparkSession, sf_dir: str) -> DataFram
 
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
-    f.__name__: f for f in (op2_simhash_near_dedup, op3_html_text, op4_suffix_dedup, op5_warc, op6_source_mixing, op7_quality_rules, op9_token_store, op10_benchmark_decontamination)
+    f.__name__: f for f in (op1_quality_model, op2_simhash_near_dedup, op3_html_text, op4_suffix_dedup, op5_warc, op6_source_mixing, op7_quality_rules, op8_chat_format, op9_token_store, op10_benchmark_decontamination)
 }
 ORACLES: dict[str, str] = {}
