@@ -170,7 +170,7 @@ def deep_shallow(buf: np.ndarray, suffixes: np.ndarray, length: int = LENGTH, sh
         reference = suffixes[live[np.flatnonzero(head)]][np.cumsum(head) - 1]
         at = suffixes[live]
         left = depth.copy()  # where a member leaves its reference
-        open_ = np.arange(len(live))
+        open_ = np.flatnonzero(left < length)
         while len(open_):
             diff = chars[at[open_] + left[open_]] ^ chars[reference[open_] + left[open_]]
             same = diff == 0
