@@ -23,12 +23,15 @@ from __future__ import annotations
 
 import hashlib
 import json
+import os
 import zlib
+from array import array
 from collections.abc import Iterator
 from functools import lru_cache
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
@@ -37,38 +40,80 @@ from .common import fresh_path, settle
 #: Ids in the window of the rolling hash, and the least, usual and most ids of a chunk.
 ROLL, LEAST, USUAL, MOST = 16, 64, 1024, 8192
 #: Words whose ids a worker keeps.
-CACHED_WORDS = 400_000
+CACHED_WORDS = 600_000
+#: Bytes of text whose words are made distinct at once.
+SLICE_BYTES = 1 << 23
 END_ID = 2
 _MIX = np.uint64(0x9E3779B97F4A7C15)
 
 
 # ---------------------------------------------------------------- encoding
 class WordEncoder:
-    """Ids of whole texts as little-endian unsigned 32-bit bytes."""
+    """Ids of whole texts.
+
+    A slice of texts is cut into words and these into distinct ones by Arrow's
+    kernels; only distinct words are looked up, and only new ones encoded.  The ids
+    of words are kept in two generations: when the young one is full it becomes the
+    old one, and words that come again move up.
+    """
 
     def __init__(self, path: str) -> None:
+        os.environ["TOKENIZERS_PARALLELISM"] = "false"  # the tasks of an executor share its cores
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_file(path)
         self.by_word = drops_space(json.loads(self.tokenizer.to_str()))
-        self.known: dict[bytes, bytes] = {}
+        self.young: dict[bytes, bytes] = {}
+        self.old: dict[bytes, bytes] = {}
+        self.marks = {m: self._ids([m])[0] for m in (b".", b",")} if self.by_word else {}
+
+    def _ids(self, texts: list[bytes]) -> list[bytes]:
+        found = self.tokenizer.encode_batch_fast([t.decode("utf-8", "replace") for t in texts], add_special_tokens=False)
+        return [array("I", x.ids).tobytes() for x in found]
 
-    def encode(self, texts: list[bytes]) -> list[bytes]:
+    def encode(self, texts: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
+        """Ids of all texts in a row, and how many each has."""
         if not self.by_word:
-            found = self.tokenizer.encode_batch_fast([t.decode("utf-8", "replace") for t in texts], add_special_tokens=False)
-            return [np.array(x.ids, "<u4").tobytes() for x in found]
-        out = []
-        for text in texts:
-            words = text.split()
-            new = [w for w in set(words) if w not in self.known]
-            if new:
-                if len(self.known) > CACHED_WORDS:
-                    self.known.clear()
-                    new = list(set(words))
-                found = self.tokenizer.encode_batch_fast([w.decode("utf-8", "replace") for w in new], add_special_tokens=False)
-                self.known.update(zip(new, (np.array(x.ids, "<u4").tobytes() for x in found), strict=True))
-            out.append(b"".join(map(self.known.__getitem__, words)))
-        return out
+            own = [np.frombuffer(x, np.uint32) for x in self._ids(texts)]
+            return np.concatenate(own) if own else np.empty(0, np.uint32), np.array([len(x) for x in own], np.int64)
+        # A-Z are lower-cased by the tokenizer in any case; its special tokens are matched before that.
+        lists = pc.ascii_split_whitespace(pa.array([t if b"<|" in t else t.lower() for t in texts], pa.binary()).cast(pa.string(), safe=False))
+        words = lists.flatten().dictionary_encode()
+        distinct = [w if w is None else bytes(w) for w in words.dictionary.cast(pa.binary()).to_pylist()]
+        self._learn(distinct)
+        ids = list(map(self.young.__getitem__, distinct))
+        flat = np.frombuffer(b"".join(ids), np.uint32)
+        size = np.fromiter(map(len, ids), np.int64, len(ids)) // 4
+        start = np.cumsum(size) - size
+        index = words.indices.to_numpy(zero_copy_only=False)
+        per_word = size[index]
+        ends = np.cumsum(per_word)
+        out = flat[np.repeat(start[index] - (ends - per_word), per_word) + np.arange(ends[-1] if len(ends) else 0)]
+        bounds = np.concatenate(([0], ends))[lists.offsets.to_numpy() - lists.offsets[0].as_py()]
+        return out, np.diff(bounds)
+
+    def _learn(self, words: list[bytes]) -> None:
+        """Every word gets into the young generation."""
+        if len(self.young) > CACHED_WORDS:
+            self.old, self.young = self.young, {}
+        young, old, ask, ends = self.young, self.old, {}, []
+        for w in words:
+            if w in young:
+                continue
+            ids = old.get(w)
+            if ids is not None:
+                young[w] = ids
+                continue
+            # A full stop or comma after a letter or digit is a token of its own.
+            core, mark = (w[:-1], w[-1:]) if w[-1:] in self.marks and w[-2:-1].isalnum() else (w, b"")
+            ask[core] = young.get(core) or old.get(core)
+            if mark:
+                ends.append((w, core, mark))
+        new = [k for k, v in ask.items() if v is None]
+        ask.update(zip(new, self._ids(new), strict=True))
+        young.update(ask)
+        for w, core, mark in ends:
+            young[w] = ask[core] + self.marks[mark]
 
 
 def drops_space(spec: dict) -> bool:
@@ -140,6 +185,14 @@ _ROWS = pa.schema(
 _ROWS_DDL = "kind string, spread long, doc_id long, n_tokens long, chunks array<struct<digest:binary,n:long>>, digest binary, n long, payload binary"
 
 
+def slices(texts: pa.Array) -> Iterator[tuple[int, int]]:
+    """(first row, rows) of runs with about ``SLICE_BYTES`` of text."""
+    size = np.array([len(x.as_buffer()) if x.is_valid else 0 for x in texts], np.int64)
+    group = np.cumsum(size) // SLICE_BYTES
+    starts = np.flatnonzero(np.concatenate(([True], group[1:] != group[:-1]))).tolist() if len(size) else []
+    yield from zip(starts, np.diff([*starts, len(size)]).tolist(), strict=True)
+
+
 def _encode_rows(docs: DataFrame, tokenizer: str, end_id: int, width: int) -> DataFrame:
     tail, kind = np.array([end_id], "<u4").tobytes(), np.dtype(f"<u{width}")
 
@@ -151,10 +204,11 @@ def _encode_rows(docs: DataFrame, tokenizer: str, end_id: int, width: int) -> Da
             recipes: dict[str, list] = {"id": [], "n": [], "chunks": [], "spread": []}
             packed: dict[str, list] = {"digest": [], "n": [], "payload": [], "spread": []}
             texts = batch.column(1)
-            for lo in range(0, batch.num_rows, 512):
-                part = [x or b"" for x in texts.slice(lo, 512).to_pylist()]
-                for doc, raw in zip(batch.column(0).slice(lo, 512).to_pylist(), coder.encode(part), strict=True):
-                    raw += tail
+            for lo, n_rows in slices(texts):
+                flat, counts = coder.encode([x or b"" for x in texts.slice(lo, n_rows).to_pylist()])
+                ends_at = np.cumsum(counts).tolist()
+                for i, doc in enumerate(batch.column(0).slice(lo, n_rows).to_pylist()):
+                    raw = flat[ends_at[i - 1] if i else 0 : ends_at[i]].astype("<u4").tobytes() + tail
                     ids = np.frombuffer(raw, "<u4")
                     own, start = [], 0
                     for end in cut(ids):
