@@ -285,11 +285,12 @@ def repeated_windows(docs: DataFrame, text: str = "text", length: int = LENGTH,
     spark = docs.sparkSession
     rows = _keyed(docs, text)
     found = settle(_anchor_rows(rows.where(F.octet_length("text") >= length), length, gram), "anchors")
-    often = found.groupBy("gram").agg(F.count("*").alias("_n")).where("_n > 1").select("gram")
+    # Written, so that the join reads both sides from exchanges and Spark may split a gram that very many places share.
+    often = settle(found.groupBy("gram").agg(F.count("*").alias("_n")).where("_n > 1").select("gram"), "often")
     shared = settle(found.join(often, "gram", "left_semi"), "shared")
     drop_written(found)
     classes = settle(shared.groupBy("gram", "context").agg(F.count("*").alias("copies"), F.min(F.struct("doc_id", "tk", "at")).alias("rep")), "contexts")
-    per_gram = classes.groupBy("gram").agg(F.count("*").alias("contexts")).where("contexts > 1")
+    per_gram = settle(classes.groupBy("gram").agg(F.count("*").alias("contexts")).where("contexts > 1"), "grams")
     whole = shared.join(classes.where("copies > 1").select("gram", "context"), ["gram", "context"], "left_semi").select(
         "doc_id", "tk", F.shiftright("at", 20).alias("first"), F.shiftright("at", 10).bitwiseAND(1023).alias("n")
     )
