@@ -2,7 +2,7 @@
 
 Documents are encoded by words: the tokenizer drops white space before it merges,
 so a text's ids are those of its white-space-separated words in order, and a
-worker keeps the ids of words it has met.  (A tokenizer that does not drop white
+slice of texts encodes each of its distinct words once.  (A tokenizer that does not drop white
 space is given whole texts.)  A rolling hash over the ids cuts each document
 into chunks, so equal passages give equal chunks wherever they stand; a chunk is
 named by its digest and stored once.  Recipes list the chunks of each document
@@ -24,6 +24,7 @@ from __future__ import annotations
 import hashlib
 import json
 import os
+import unicodedata
 import zlib
 from array import array
 from collections.abc import Iterator
@@ -39,10 +40,10 @@ from .common import fresh_path, settle
 
 #: Ids in the window of the rolling hash, and the least, usual and most ids of a chunk.
 ROLL, LEAST, USUAL, MOST = 16, 64, 1024, 8192
-#: Words whose ids a worker keeps.
-CACHED_WORDS = 600_000
+#: Digests of chunks a task remembers, so as not to send them twice.
+SEEN_CHUNKS = 400_000
 #: Bytes of text whose words are made distinct at once.
-SLICE_BYTES = 1 << 23
+SLICE_BYTES = 1 << 24
 END_ID = 2
 _MIX = np.uint64(0x9E3779B97F4A7C15)
 
@@ -52,9 +53,8 @@ class WordEncoder:
     """Ids of whole texts.
 
     A slice of texts is cut into words and these into distinct ones by Arrow's
-    kernels; only distinct words are looked up, and only new ones encoded.  The ids
-    of words are kept in two generations: when the young one is full it becomes the
-    old one, and words that come again move up.
+    kernels; each distinct word of the slice is encoded once.  Nothing is kept from
+    slice to slice, so a worker's memory is bounded by the slice.
     """
 
     def __init__(self, path: str) -> None:
@@ -63,9 +63,26 @@ class WordEncoder:
 
         self.tokenizer = Tokenizer.from_file(path)
         self.by_word = drops_space(json.loads(self.tokenizer.to_str()))
-        self.young: dict[bytes, bytes] = {}
-        self.old: dict[bytes, bytes] = {}
         self.marks = {m: self._ids([m])[0] for m in (b".", b",")} if self.by_word else {}
+        self.model = self.tokenizer.model if self.by_word and letters_are_one(json.loads(self.tokenizer.to_str())) else None
+
+    def _plain(self, word: bytes) -> bytes | None:
+        """Ids of a word of lower-case Latin letters straight from the model, which gets it unchanged; None for other words."""
+        if self.model is None or not word:
+            return None
+        if word.isascii():
+            if not (word.isalpha() and word.islower()):
+                return None
+            said = word.decode()
+        else:
+            try:
+                said = word.decode()
+            except UnicodeDecodeError:
+                return None
+            if not (said.isalpha() and said.islower() and max(said) < "\u0250" and unicodedata.is_normalized("NFC", said)):
+                return None
+            said = word.decode("latin-1").translate(BYTE_LETTERS)
+        return array("I", [t.id for t in self.model.tokenize(said)]).tobytes()
 
     def _ids(self, texts: list[bytes]) -> list[bytes]:
         found = self.tokenizer.encode_batch_fast([t.decode("utf-8", "replace") for t in texts], add_special_tokens=False)
@@ -79,41 +96,32 @@ class WordEncoder:
         # A-Z are lower-cased by the tokenizer in any case; its special tokens are matched before that.
         lists = pc.ascii_split_whitespace(pa.array([t if b"<|" in t else t.lower() for t in texts], pa.binary()).cast(pa.string(), safe=False))
         words = lists.flatten().dictionary_encode()
-        distinct = [w if w is None else bytes(w) for w in words.dictionary.cast(pa.binary()).to_pylist()]
-        self._learn(distinct)
-        ids = list(map(self.young.__getitem__, distinct))
+        ids = self._distinct_ids(words.dictionary.cast(pa.binary()).to_pylist())
         flat = np.frombuffer(b"".join(ids), np.uint32)
-        size = np.fromiter(map(len, ids), np.int64, len(ids)) // 4
-        start = np.cumsum(size) - size
+        size = np.fromiter(map(len, ids), np.int32, len(ids)) // 4
+        start = np.cumsum(size, dtype=np.int32) - size
         index = words.indices.to_numpy(zero_copy_only=False)
         per_word = size[index]
-        ends = np.cumsum(per_word)
-        out = flat[np.repeat(start[index] - (ends - per_word), per_word) + np.arange(ends[-1] if len(ends) else 0)]
+        ends = np.cumsum(per_word, dtype=np.int32)
+        place = np.repeat(start[index] - (ends - per_word), per_word)
+        place += np.arange(len(place), dtype=np.int32)
+        out = flat[place]
         bounds = np.concatenate(([0], ends))[lists.offsets.to_numpy() - lists.offsets[0].as_py()]
         return out, np.diff(bounds)
 
-    def _learn(self, words: list[bytes]) -> None:
-        """Every word gets into the young generation."""
-        if len(self.young) > CACHED_WORDS:
-            self.old, self.young = self.young, {}
-        young, old, ask, ends = self.young, self.old, {}, []
+    def _distinct_ids(self, words: list[bytes]) -> list[bytes]:
+        """Ids of each of some distinct words."""
+        known: dict[bytes, bytes | None] = {}
+        parts = []
         for w in words:
-            if w in young:
-                continue
-            ids = old.get(w)
-            if ids is not None:
-                young[w] = ids
-                continue
             # A full stop or comma after a letter or digit is a token of its own.
             core, mark = (w[:-1], w[-1:]) if w[-1:] in self.marks and w[-2:-1].isalnum() else (w, b"")
-            ask[core] = young.get(core) or old.get(core)
-            if mark:
-                ends.append((w, core, mark))
-        new = [k for k, v in ask.items() if v is None]
-        ask.update(zip(new, self._ids(new), strict=True))
-        young.update(ask)
-        for w, core, mark in ends:
-            young[w] = ask[core] + self.marks[mark]
+            if core not in known:
+                known[core] = self._plain(core)
+            parts.append((core, mark))
+        rest = [k for k, v in known.items() if v is None]
+        known.update(zip(rest, self._ids(rest), strict=True))
+        return [known[core] + self.marks[mark] if mark else known[core] for core, mark in parts]
 
 
 def drops_space(spec: dict) -> bool:
@@ -134,6 +142,25 @@ def drops_space(spec: dict) -> bool:
     )
 
 
+def _byte_letters() -> dict[int, str]:
+    """Byte to the letter that stands for it at byte level: itself if it prints, else the next letter from U+0100."""
+    prints = {*range(0x21, 0x7F), *range(0xA1, 0xAD), *range(0xAE, 0x100)}
+    rest = iter(range(0x100, 0x200))
+    return {b: chr(b if b in prints else next(rest)) for b in range(256)}
+
+
+BYTE_LETTERS = _byte_letters()
+
+
+def letters_are_one(spec: dict) -> bool:
+    """True if a run of letters is one pre-token that the model gets byte by byte as letters."""
+    parts = (spec.get("pre_tokenizer") or {}).get("pretokenizers", [])
+    return (
+        len(parts) == 2 and r"[\p{L}]+" in parts[0]["pattern"].get("Regex", "") and parts[1].get("type") == "ByteLevel"
+        and not parts[1].get("add_prefix_space") and not parts[1].get("use_regex") and spec["model"].get("type") == "BPE"
+    )
+
+
 @lru_cache(maxsize=2)
 def encoder(path: str) -> WordEncoder:
     return WordEncoder(path)
@@ -215,7 +242,7 @@ def _encode_rows(docs: DataFrame, tokenizer: str, end_id: int, width: int) -> Da
                         name = digest_of(raw[4 * start : 4 * end])
                         own.append({"digest": name, "n": end - start})
                         if name not in seen:
-                            if len(seen) > CACHED_WORDS:
+                            if len(seen) > SEEN_CHUNKS:
                                 seen.clear()
                             seen.add(name)
                             packed["digest"].append(name)
@@ -314,10 +341,15 @@ def read_manifest(spark: SparkSession, path: str) -> DataFrame:
     return spark.read.schema("file long, n_docs long, n_tokens long, merkle binary, width int").parquet(f"{path}/manifest")
 
 
-def _unpack(payload: bytes, width: int) -> np.ndarray:
+@lru_cache(maxsize=1)
+def _opener():  # noqa: ANN202
     import zstandard
 
-    return np.frombuffer(zstandard.ZstdDecompressor().decompress(payload), np.dtype(f"<u{width}")).astype("<u4")
+    return zstandard.ZstdDecompressor()
+
+
+def _unpack(payload: bytes, width: int) -> np.ndarray:
+    return np.frombuffer(_opener().decompress(payload), np.dtype(f"<u{width}")).astype("<u4")
 
 
 def store_width(spark: SparkSession, path: str) -> int:
@@ -385,6 +417,23 @@ def _shift(n_bytes: int) -> int:
     return out
 
 
+def join_many(at: np.ndarray, crcs: np.ndarray, sizes: np.ndarray) -> np.ndarray:
+    """CRCs of many concatenations at once; ``at`` are the bounds of each one's parts."""
+    out = crcs[at[:-1]].astype(np.uint32)
+    count, k = np.diff(at), 1
+    while (live := np.flatnonzero(count > k)).size:
+        part = at[live] + k
+        a, b = out[live], np.fromiter(map(_shift, sizes[part].tolist()), np.uint32, len(live))
+        product = np.zeros(len(live), np.uint32)
+        for _ in range(32):
+            product ^= np.where(a & np.uint32(0x80000000), b, np.uint32(0))
+            a = a << np.uint32(1)
+            b = (b >> np.uint32(1)) ^ np.where(b & np.uint32(1), np.uint32(_CRC_POLY), np.uint32(0))
+        out[live] = product ^ crcs[part].astype(np.uint32)
+        k += 1
+    return out
+
+
 def join_crcs(parts: list[tuple[int, int]]) -> int:
     """CRC-32 of the concatenation of parts given by CRC and length in bytes."""
     crc = parts[0][0]
@@ -405,10 +454,11 @@ def document_digests(spark: SparkSession, path: str) -> DataFrame:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            rows = batch.column("parts").to_pylist()
-            crcs = [join_crcs([(p["crc"], 4 * p["n"]) for p in row]) for row in rows]
-            sizes = [sum(p["n"] for p in row) for row in rows]
-            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), batch.column("start"), pa.array(sizes, pa.int64()), pa.array(crcs, pa.int64())], ["doc_id", "start", "n_tokens", "ids_crc32"])
+            lists = batch.column("parts")
+            at = lists.offsets.to_numpy() - lists.offsets[0].as_py()
+            n, crc = (lists.flatten().field(c).to_numpy() for c in ("n", "crc"))
+            sizes = np.diff(np.concatenate(([0], np.cumsum(n)))[at])
+            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), batch.column("start"), pa.array(sizes), pa.array(join_many(at, crc, 4 * n).astype(np.int64))], ["doc_id", "start", "n_tokens", "ids_crc32"])
 
     return whole.mapInArrow(run, "doc_id long, start long, n_tokens long, ids_crc32 long")
 
