@@ -38,13 +38,13 @@ from .common import drop_written, settle
 
 LENGTH, GRAM = 200, 64
 #: Bytes in one vectorised piece of a scan, at most 2**24 (a place takes 24 bits).
-PIECE = 1 << 22
+PIECE = 1 << 20
 #: Contexts of a gram above which its windows are split; offsets in one split.
 HOT, SPLIT = 1500, 8
 #: Bytes sorted by multikey quicksort before blind tries take over.
 SHALLOW = 32
 #: Bytes of contexts that are sorted at once.
-SORT_BYTES = 1 << 24
+SORT_BYTES = 1 << 22
 
 
 # ---------------------------------------------------------------- anchors
