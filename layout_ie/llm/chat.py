@@ -77,10 +77,11 @@ def record_paths(record: Column, layouts: tuple[Layout, ...] = LAYOUTS) -> Colum
     """The nested field paths of a JSON record that some layout knows."""
     none = F.array().cast("array<string>")
     top = F.coalesce(F.json_object_keys(record), none)
-    nested = [
-        F.transform(F.coalesce(F.json_object_keys(F.get_json_object(record, f"$.{a}[0]")), none), lambda k, a=a: F.concat(F.lit(f"{a}[]."), k))
-        for a in sorted({x.turns for x in layouts if x.turns})
-    ]
+
+    def below(a: str) -> Column:
+        return F.transform(F.coalesce(F.json_object_keys(F.get_json_object(record, f"$.{a}[0]")), none), lambda k: F.concat(F.lit(f"{a}[]."), k))
+
+    nested = [below(a) for a in sorted({x.turns for x in layouts if x.turns})]
     return F.array_intersect(F.concat(top, *nested), F.array(*map(F.lit, _known(layouts))))
 
 
