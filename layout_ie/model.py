@@ -39,12 +39,12 @@ REGIONS = T.StructType(
 
 @dataclass(frozen=True)
 class Box:
-    """The four edges of a rectangle as columns; None is an open bound."""
+    """The four edges of a rectangle as columns or numbers; None is an open bound."""
 
-    x_l: Column | None
-    y_l: Column | None
-    x_h: Column | None
-    y_h: Column | None
+    x_l: Column | int | None
+    y_l: Column | int | None
+    x_h: Column | int | None
+    y_h: Column | int | None
 
     @staticmethod
     def of(alias: str | None = None) -> Box:
@@ -56,12 +56,13 @@ class Box:
         return Box(*(F.col(f"{c}{suffix}") for c in EDGES))
 
     def struct(self) -> Column:
-        return F.struct(*(F.coalesce(v, F.lit(None).cast("long")).alias(c) if v is not None else F.lit(None).cast("long").alias(c) for c, v in zip(EDGES, (self.x_l, self.y_l, self.x_h, self.y_h), strict=True)))
+        edge = lambda v: v if isinstance(v, Column) else F.lit(v).cast("long")
+        return F.struct(*(edge(v).alias(c) for c, v in zip(EDGES, (self.x_l, self.y_l, self.x_h, self.y_h), strict=True)))
 
 
 def virtual_region(x_l: int | None = None, y_l: int | None = None, x_h: int | None = None, y_h: int | None = None) -> Box:
     """A constant rectangle; a bound that is None is infinite and yields no predicate."""
-    return Box(*(None if v is None else F.lit(v).cast("long") for v in (x_l, y_l, x_h, y_h)))
+    return Box(x_l, y_l, x_h, y_h)
 
 
 def span(begin: Column, end: Column) -> Column:

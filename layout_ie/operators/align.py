@@ -44,7 +44,6 @@ def aligned(vs: DataFrame, axis: str = "column", consecutive: bool = False, max_
         out = out.withColumns({"_prev_hi": F.lag(hi).over(w2), "_first": F.row_number().over(w2) == 1, "_skip": F.col("_place") - F.lag("_place").over(w2) > 1})
         cut = cut | F.coalesce(F.col("_skip"), F.lit(False))
         w = w2
-        out = out.drop("_place")
     elif consecutive:
         gaps = out.where(~F.col("_first") & (F.col(lo) > F.col("_prev_hi"))).select(
             "page_id", "region_id", "_key", F.col("_prev_hi").alias("g_lo"), F.col(lo).alias("g_hi"), F.least(a_lo, "_prev_a").alias("g_a"), F.greatest(a_hi, "_prev_b").alias("g_b")

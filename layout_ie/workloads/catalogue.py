@@ -637,10 +637,15 @@ add(
     .select("page_id", "region_id", "begin", "end"),
     q('SELECT s.page_id, r.region_id, s."begin", s."end" FROM sp s JOIN reg r ON r.page_id = s.page_id AND s."begin" >= r.text_start AND s."end" <= r.text_end WHERE r.html_tag = \'p\'', D.PAGES, _PT2, D.spans("[A-Z][a-z]+ing", "pt2", "page_id")),
 )
-_AGG = [F.count("*").alias("n"), F.sum("area").cast("long").alias("total")]
+
+
+def _agg(df) -> DataFrame:  # noqa: ANN001
+    return df.agg(F.count("*").alias("n"), F.sum("area").cast("long").alias("total"))
+
+
 _AGG_SQL = "count(*) AS n, CAST(sum((x_h - x_l) * (y_h - y_l)) AS BIGINT) AS total FROM (SELECT * REPLACE (CAST(template AS VARCHAR) AS template) FROM reg) GROUP BY"
-add("rollup_tag_counts", lambda s, d: _tagged(s, d).rollup("template", "html_tag").agg(*_AGG), q(f"SELECT template, html_tag, {_AGG_SQL} ROLLUP (template, html_tag)", D.PAGES))
-add("cube_template_tag", lambda s, d: _tagged(s, d).cube("template", "html_tag").agg(*_AGG), q(f"SELECT template, html_tag, {_AGG_SQL} CUBE (template, html_tag)", D.PAGES))
+add("rollup_tag_counts", lambda s, d: _agg(_tagged(s, d).rollup("template", "html_tag")), q(f"SELECT template, html_tag, {_AGG_SQL} ROLLUP (template, html_tag)", D.PAGES))
+add("cube_template_tag", lambda s, d: _agg(_tagged(s, d).cube("template", "html_tag")), q(f"SELECT template, html_tag, {_AGG_SQL} CUBE (template, html_tag)", D.PAGES))
 
 
 def _grouping_sets(s: SparkSession, d: str) -> DataFrame:
@@ -649,10 +654,9 @@ def _grouping_sets(s: SparkSession, d: str) -> DataFrame:
 
 
 add("grouping_sets_tag", _grouping_sets, q(f"SELECT template, html_tag, {_AGG_SQL} GROUPING SETS ((template), (html_tag))", D.PAGES))
-_TOPK = Window.partitionBy("page_id").orderBy(F.desc("area"), "region_id")
 add(
     "topk_area_per_page",
-    lambda s, d: pages.regions(s, d).withColumn("area", P.area(Box.of())).withColumn("place", F.row_number().over(_TOPK).cast("long")).where("place <= 3").select("page_id", "region_id", "area", "place"),
+    lambda s, d: pages.regions(s, d).withColumn("area", P.area(Box.of())).withColumn("place", F.row_number().over(Window.partitionBy("page_id").orderBy(F.desc("area"), "region_id")).cast("long")).where("place <= 3").select("page_id", "region_id", "area", "place"),
     q("SELECT * FROM (SELECT page_id, region_id, (x_h - x_l) * (y_h - y_l) AS area, row_number() OVER (PARTITION BY page_id ORDER BY (x_h - x_l) * (y_h - y_l) DESC, region_id) AS place FROM reg) WHERE place <= 3", D.PAGES),
 )
 add("topk_area", lambda s, d: pages.regions(s, d).select("page_id", "region_id", P.area(Box.of()).alias("area")).orderBy(F.desc("area"), "page_id", "region_id").limit(20), q("SELECT page_id, region_id, (x_h - x_l) * (y_h - y_l) AS area FROM reg ORDER BY area DESC, page_id, region_id LIMIT 20", D.PAGES))
