@@ -100,9 +100,9 @@ def blocks_outside(rel: DataFrame, min_count: int, max_gap: int, page: str = "do
 
 
 # ---------------------------------------------------------------- one page at a time
-def nest(vis: DataFrame) -> DataFrame:
+def nest(vis: DataFrame, columns: tuple[str, ...] = ("region_id", "x_l", "y_l", "x_h", "y_h", "text")) -> DataFrame:
     """One row per page with its regions as an array."""
-    return vis.groupBy("page_id").agg(F.collect_list(F.struct("region_id", "x_l", "y_l", "x_h", "y_h", "text")).alias("regions"))
+    return vis.groupBy("page_id").agg(F.collect_list(F.struct(*columns)).alias("regions"))
 
 
 def right_of_match_per_page(nested: DataFrame, heading_pattern: str, match_pattern: str) -> DataFrame:

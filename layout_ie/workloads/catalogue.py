@@ -9,13 +9,14 @@ from pyspark.sql import functions as F
 
 from ..baselines import other_ways, source_rules
 from ..functions import predicates as P
+from ..functions import tables_functions
 from ..index import text as text_index
 from ..measures.accuracy import accuracy, corpus_stats, robustness
 from ..model import Box, virtual_region
 from ..operators import align, hierarchy, spans, visual
 from ..oracles import drawings as D
 from ..oracles.drawings import q
-from ..plans import rules
+from ..plans import evaluate, rules
 from ..sources import pages, sheets, textgrid
 from ..sources.tables import load
 from ..streaming import stream
@@ -296,6 +297,20 @@ add(
     lambda s, d: align.group_regions(pages.regions(s, d), ["page_id", "x_l"], n=F.count("*"), total=F.sum(P.area(Box.of())), tags=F.count_distinct("html_tag")),
     q("SELECT page_id, x_l, count(*) AS n, CAST(sum((x_h - x_l) * (y_h - y_l)) AS BIGINT) AS total, count(DISTINCT html_tag) AS tags FROM reg GROUP BY 1, 2", D.PAGES),
 )
+add(
+    "bounding_boxes_udaf",
+    lambda s, d: pages.regions(s, d).groupBy("page_id").agg(tables_functions.mbr_agg("x_l", "y_l", "x_h", "y_h").alias("b")).select("page_id", "b.*"),
+    q("SELECT page_id, min(x_l) AS x_l, min(y_l) AS y_l, max(x_h) AS x_h, max(y_h) AS y_h FROM reg GROUP BY 1", D.PAGES),
+)
+
+
+def _html_tags(s: SparkSession, d: str) -> DataFrame:
+    tables_functions.register_table_functions(s)
+    load(s, d, "pages").select("page_id", "html").createOrReplaceTempView("raw_pages")
+    return s.sql("SELECT p.page_id, t.tag, count(*) AS n FROM raw_pages p, LATERAL html_nodes(p.page_id, p.html) t GROUP BY 1, 2")
+
+
+add("html_nodes_udtf", _html_tags, q("SELECT page_id, html_tag AS tag, count(*) AS n FROM reg GROUP BY 1, 2", D.PAGES))
 
 # ---------------------------------------------------------------- visual extraction and aggregation
 _VIS_COLS = ("page_id", "text_start", "text_end", "x_l", "y_l", "x_h", "y_h")
@@ -431,14 +446,18 @@ add("q4_pages", lambda s, d: tasks.q4_pages(page_blocks(s, d)), q(_RIGHT.format(
 add("example_column_names", tasks.column_names, q(_V.format(v="vis", h="hd", words=_NAMES, cond=f"{_SOUTH} AND v.x_l = h.x_l"), D.SHEETS, _HEAD))
 
 # ---------------------------------------------------------------- access modes
+def _mode_name(task: str, mode: str) -> str:
+    return f"{task}_{ {'none': 'no_index', 'udf': 'udf', 'per_page': 'per_page'}.get(mode) or mode.replace('+', '_') + '_index'}"
+
+
 for _mode in ("none", "text", "region", "text+region", "udf", "per_page"):
-    add(f"q4_{_mode.replace('+', '_')}_{'mode' if _mode in ('udf', 'per_page', 'none') else 'index'}", lambda s, d, m=_mode: modes.right_of_match(s, d, m), _Q4D)
+    add(_mode_name("q4", _mode), lambda s, d, m=_mode: modes.right_of_match(s, d, m), _Q4D)
 for _mode in ("none", "region"):
-    add(f"q1_{_mode}_index", lambda s, d, m=_mode: modes.left_bar(s, d, m), ORACLES["q1_sheets"])
+    add(_mode_name("q1", _mode), lambda s, d, m=_mode: modes.left_bar(s, d, m), ORACLES["q1_sheets"])
 for _mode in ("none", "text", "region", "text+region"):
-    add(f"q2_{_mode.replace('+', '_')}_index", lambda s, d, m=_mode: modes.top_term(s, d, m), ORACLES["q2_sheets"])
+    add(_mode_name("q2", _mode), lambda s, d, m=_mode: modes.top_term(s, d, m), ORACLES["q2_sheets"])
 for _mode in ("none", "text"):
-    add(f"q3_{_mode}_index", lambda s, d, m=_mode: modes.names(s, d, m), ORACLES["q3_sheets"])
+    add(_mode_name("q3", _mode), lambda s, d, m=_mode: modes.names(s, d, m), ORACLES["q3_sheets"])
 add(
     "text_index_postings",
     lambda s, d: text_index.build_text_index(pages.regions(s, d)),
@@ -475,6 +494,8 @@ add("rule_q2", by_rule(RULE_Q2), ORACLES["q2_sheets"])
 add("rule_q2_text_index", by_rule(RULE_Q2, "text"), ORACLES["q2_sheets"])
 add("rule_q3", by_rule(RULE_Q3), ORACLES["q3_sheets"])
 add("rule_q4", by_rule(RULE_Q4), _Q4D)
+add("rule_q4_per_page", lambda s, d: evaluate.run_per_page(rules.parse(RULE_Q4), other_ways.nest(modes.stored_regions(s, d), evaluate.NESTED)), _Q4D)
+add("rule_q3_per_page", lambda s, d: evaluate.run_per_page(rules.parse(RULE_Q3), other_ways.nest(modes.stored_regions(s, d), evaluate.NESTED)), ORACLES["q3_sheets"])
 add("rule_q4_text_index", by_rule(RULE_Q4, "text"), _Q4D)
 add(
     "rule_maximal_heading",

@@ -198,3 +198,32 @@ def test_entry_points(spark):
     names = e.queries()
     assert set(e.oracle_sql()) <= set(names) and len(names) > 140
     assert e.entry(spark).limit(1).count() == 1
+
+
+@pytest.mark.parametrize("seed", range(4))
+def test_collection_equals_page_by_page(spark, seed):
+    """Random boxes: the SQL plan, the nested loops and the higher-order functions give one answer."""
+    import random
+
+    from layout_ie.baselines.other_ways import nest
+    from layout_ie.plans import evaluate
+
+    r = random.Random(seed)
+    rows = []
+    for page in range(20):
+        for i in range(40):
+            x, y = r.randrange(0, 60, 5), r.randrange(0, 60, 5)
+            rows.append((page, f"1.{i}", x, y, x + r.choice((5, 10, 20)), y + r.choice((5, 10)), 7 * i, 7 * i + 6, r.choice(("alpha", "beta", "beta gamma", "delta")), "p"))
+    df = spark.createDataFrame(rows, "page_id long, region_id string, x_l long, y_l long, x_h long, y_h long, text_start long, text_end long, text string, html_tag string")
+    for where in ("StrictSouthOf(b, a)", "StrictEastOf(b, a) OR Touches(a, b)", "Intersects(a, b) AND NOT Contains(b, a)", "WestOf(a, b) AND Follows(a, b, 50)", "Contains(b, BOX(10, 10, INF, 40)) AND NorthOf(a, b)"):
+        text = f"SELECT a.page_id, a.region_id, b.region_id FROM PHRASE('alpha', D) AS a, PHRASE('beta', D) AS b WHERE {where}"
+        one = sorted(map(tuple, rules.to_df(rules.parse(text), df).collect()))
+        by_page = {}
+        for x in rows:
+            by_page.setdefault(x[0], []).append(dict(zip(df.columns, x, strict=True)))
+        two = sorted(t for p in by_page.values() for t in evaluate.evaluate_page(rules.parse(text), p))
+        assert one == two, where
+    rule = rules.parse("SELECT b.page_id, b.region_id FROM PHRASE('alpha', D) AS a, PHRASE('beta', D) AS b WHERE StrictSouthOf(b, a)")
+    assert sorted(map(tuple, evaluate.run_per_page(rule, nest(df, evaluate.NESTED)).collect())) == sorted(map(tuple, rules.to_df(rule, df).collect()))
+    with pytest.raises(rules.RuleError):
+        evaluate.evaluate_page(rules.parse(catalogue.RULE_Q1), [])
