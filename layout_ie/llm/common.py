@@ -55,6 +55,14 @@ def drop_written(df: DataFrame) -> None:
     jvm.System.gc()
 
 
+def unused(df: DataFrame, name: str) -> str:
+    """``name``, with underscores in front until no column of ``df`` is called so."""
+    taken = {c.lower() for c in df.columns}
+    while name.lower() in taken:
+        name = f"_{name}"
+    return name
+
+
 def let(value: Column, body: Callable[[Column], Column]) -> Column:
     """``body(value)`` with ``value`` computed once a row, however often the body uses it."""
     return F.element_at(F.transform(F.array(value), body), 1)

@@ -24,7 +24,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import WORD_GAP, settle
+from .common import WORD_GAP, settle, unused
 
 MAX_EPOCHS = 4.0
 #: Tokens of one block of the mix.
@@ -123,6 +123,8 @@ def mix(docs: DataFrame, max_epochs: float = MAX_EPOCHS, entropy: float | None =
 def stage(docs: DataFrame, max_epochs: float = 1.25) -> DataFrame:
     """The documents as often as the mix uses them, in their own columns; none is lost."""
     sized = settle(docs.select("doc_id", "source", count_tokens(F.col("text")).alias("n_tokens")).where("doc_id is not null"), "sized")
-    plan = plan_mix(sized, max_epochs).groupBy("doc_id").agg(F.max("copies").alias("_copies"))
-    joined = docs.join(plan.withColumnRenamed("doc_id", "_doc"), F.col("doc_id") == F.col("_doc"), "left")
-    return joined.select(*docs.columns, F.explode(F.sequence(F.lit(1).cast("long"), F.coalesce("_copies", F.lit(1).cast("long")))).alias("_copy")).select(*docs.columns)
+    doc, times, turn = (unused(docs, n) for n in ("mix_doc", "mix_copies", "mix_turn"))
+    plan = plan_mix(sized, max_epochs).groupBy(F.col("doc_id").alias(doc)).agg(F.max("copies").alias(times))
+    joined = docs.join(plan, F.col("doc_id") == F.col(doc), "left")
+    one = F.lit(1).cast("long")
+    return joined.select(*docs.columns, F.explode(F.sequence(one, F.coalesce(times, one))).alias(turn)).drop(turn)

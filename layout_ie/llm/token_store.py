@@ -15,7 +15,7 @@ bytes), ``recipes`` (file, doc_id, start, n_tokens, chunks), ``manifest`` (file,
 n_docs, n_tokens, merkle).
 
 Defined results: a null text is empty and holds the end id alone; null ids come
-first, repeated ids each keep their rows, in the order of their digests; an empty table
+first, repeated ids each keep their rows, in the order of a hash of their chunks; an empty table
 gives an empty store.
 """
 
@@ -107,21 +107,31 @@ class WordEncoder:
         place += np.arange(len(place), dtype=np.int32)
         out = flat[place]
         bounds = np.concatenate(([0], ends))[lists.offsets.to_numpy() - lists.offsets[0].as_py()]
+        del lists, words, ids, flat, index, per_word, place
+        pa.default_memory_pool().release_unused()
         return out, np.diff(bounds)
 
     def _distinct_ids(self, words: list[bytes]) -> list[bytes]:
         """Ids of each of some distinct words."""
         known: dict[bytes, bytes | None] = {}
-        parts = []
+        out: list[bytes] = []
+        rest: list[tuple[int, bytes, bytes]] = []
         for w in words:
             # A full stop or comma after a letter or digit is a token of its own.
             core, mark = (w[:-1], w[-1:]) if w[-1:] in self.marks and w[-2:-1].isalnum() else (w, b"")
-            if core not in known:
-                known[core] = self._plain(core)
-            parts.append((core, mark))
-        rest = [k for k, v in known.items() if v is None]
-        known.update(zip(rest, self._ids(rest), strict=True))
-        return [known[core] + self.marks[mark] if mark else known[core] for core, mark in parts]
+            ids = known.get(core)
+            if ids is None:
+                known[core] = ids = self._plain(core)
+            if ids is None:
+                rest.append((len(out), core, mark))
+                out.append(b"")
+            else:
+                out.append(ids + self.marks[mark] if mark else ids)
+        cores = list({core for _, core, _ in rest})
+        known = dict(zip(cores, self._ids(cores), strict=True))
+        for i, core, mark in rest:
+            out[i] = known[core] + self.marks[mark] if mark else known[core]
+        return out
 
 
 def drops_space(spec: dict) -> bool:
@@ -311,7 +321,7 @@ def write_store(docs: DataFrame, path: str, tokenizer: str, end_id: int = END_ID
     dealt = rows.repartition(parts, "spread").withColumn("_first", first).where("kind = 'recipe' or _first = 1")
     dealt.drop("_first", "spread").write.partitionBy("kind").parquet(f"{path}/rows")
     whole = spark.read.schema("doc_id long, n_tokens long, chunks array<struct<digest:binary,n:long>>, digest binary, n long, payload binary, kind string").parquet(f"{path}/rows")
-    order = [F.col("doc_id").asc_nulls_first(), F.transform("chunks", lambda c: c["digest"])]
+    order = [F.col("doc_id").asc_nulls_first(), F.xxhash64("chunks")]
     sorted_ = whole.where("kind = 'recipe'").select("doc_id", "n_tokens", "chunks").repartitionByRange(parts, *order).sortWithinPartitions(*order)
     sorted_.select(F.spark_partition_id().cast("long").alias("file"), F.monotonically_increasing_id().alias("place"), "*").write.parquet(f"{path}/placed")
     placed = spark.read.schema("file long, place long, doc_id long, n_tokens long, chunks array<struct<digest:binary,n:long>>").parquet(f"{path}/placed")
