@@ -8,7 +8,7 @@ sort per document (windows), never a comparison of all pairs.
 from __future__ import annotations
 
 import re
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
@@ -60,10 +60,23 @@ def difference(a: DataFrame, b: DataFrame, all: bool = True) -> DataFrame:  # no
 
 
 # ---------------------------------------------------------------- extraction
+#: Matches whose offsets are summed up in one array.
+SLICE = 64
+
+
+def let(value: Column, body: Callable[[Column], Column]) -> Column:
+    """``body(value)`` with ``value`` computed once a row."""
+    return F.element_at(F.transform(F.array(value), body), 1)
+
+
 def match_offsets(text: Column, pattern: str) -> Column:
     """All matches with their offsets: running lengths of the gaps and the matches in turn."""
     found = F.regexp_extract_all(text, F.lit(pattern), F.lit(0))
-    pairs = F.arrays_zip(F.split(text, pattern, -1).alias("gap"), found.alias("hit"))
+    return let(F.arrays_zip(F.split(text, pattern, -1).alias("gap"), found.alias("hit")), _running)
+
+
+def _running(pairs: Column) -> Column:
+    """Matches with offsets from an array of (gap, match)."""
 
     def step(acc: Column, p: Column) -> Column:
         begin = acc["at"] + F.length(p["gap"])
@@ -71,8 +84,14 @@ def match_offsets(text: Column, pattern: str) -> Column:
         one = F.struct(begin.cast("long").alias("begin"), end.cast("long").alias("end"), p["hit"].alias("matched"))
         return F.struct(end.cast("long").alias("at"), F.when(p["hit"].isNotNull(), F.array_append(acc["out"], one)).otherwise(acc["out"]).alias("out"))
 
-    start = F.struct(F.lit(0).cast("long").alias("at"), F.array().cast(MATCHES).alias("out"))
-    return F.aggregate(pairs, start, step, lambda acc: acc["out"])
+    def part(acc: Column, slice_: Column) -> Column:
+        at = F.coalesce(F.try_element_at(acc, F.lit(-1))["at"], F.lit(0).cast("long"))
+        return F.array_append(acc, F.aggregate(slice_, F.struct(at.alias("at"), F.array().cast(MATCHES).alias("out")), step))
+
+    # Appending copies an array, so it is done in slices: the cost stays near linear for very long texts.
+    slices = F.transform(F.sequence(F.lit(0), F.floor((F.size(pairs) - 1) / SLICE).cast("int")), lambda i: F.slice(pairs, i * SLICE + 1, F.lit(SLICE)))
+    parts = F.aggregate(slices, F.array().cast(f"array<struct<at:bigint,out:{MATCHES}>>"), part)
+    return F.flatten(F.transform(parts, lambda p: p["out"]))
 
 
 def regex_spans(docs: DataFrame, pattern: str, text: str = "text", keep: tuple[str, ...] = ("doc_id",)) -> DataFrame:
@@ -103,6 +122,16 @@ def regex_spans_arrow(docs: DataFrame, pattern: str, text: str = "text", keep: t
     return rows.mapInArrow(run, schema)
 
 
+def _word_runs(tokens: Column, n: int) -> Column:
+    """Runs of ``n`` consecutive tokens as (begin, end, key)."""
+
+    def run(t: Column, i: Column) -> Column:
+        words = F.transform(F.slice(tokens, i + 1, F.lit(n)), lambda x: x["matched"])
+        return F.struct(t["begin"], F.get(tokens, i + (n - 1))["end"].alias("end"), F.lower(F.array_join(words, " ")).alias("_key"))
+
+    return F.transform(F.slice(tokens, F.lit(1), F.greatest(F.size(tokens) - (n - 1), F.lit(0))), run)
+
+
 TOKEN = r"[A-Za-z0-9_]+"
 #: Dictionaries up to this many entries travel to the texts; larger ones meet them in a shuffle.
 BROADCAST_TERMS = 200_000
@@ -118,21 +147,9 @@ def dict_spans(docs: DataFrame, terms: DataFrame, text: str = "text", keep: tupl
     if wanted.count() <= BROADCAST_TERMS:
         wanted = F.broadcast(wanted)
     tokens = docs.select(*keep, match_offsets(F.col(text), TOKEN).alias("_t"))
-    runs = F.flatten(
-        F.transform(
-            F.col("_t"),
-            lambda t, i: F.filter(
-                F.transform(
-                    F.sequence(F.lit(1), F.lit(max_words)),
-                    lambda n: F.when(
-                        i + n <= F.size("_t"),
-                        F.struct(t["begin"].alias("begin"), F.get(F.col("_t"), i + n - 1)["end"].alias("end"), F.lower(F.array_join(F.transform(F.slice("_t", i + 1, n), lambda x: x["matched"]), " ")).alias("_key")),
-                    ),
-                ),
-                lambda x: x.isNotNull(),
-            ),
-        )
-    )
+    one = F.transform("_t", lambda t: F.struct(t["begin"], t["end"], F.lower(t["matched"]).alias("_key")))
+    every = [one, *(_word_runs(F.col("_t"), n) for n in range(2, max_words + 1))]
+    runs = F.flatten(F.array(*every)) if len(every) > 1 else one
     return tokens.select(*keep, F.inline(runs)).join(wanted, "_key").drop("_key")
 
 

@@ -13,12 +13,16 @@ CELL_W, CELL_H = 8, 20
 WORD = r"[^ \t\r\f]+"
 
 
+def numbered_lines(docs: DataFrame) -> DataFrame:
+    """``page_id, l, line, at``: each line with its number (from 0) and its offset in the text."""
+    starts = F.concat(F.array(F.lit(0).cast("long")), F.transform(match_offsets(F.col("text"), "\n"), lambda m: m["end"]))
+    lines = F.arrays_zip(F.split("text", "\n", -1).alias("line"), starts.alias("at"))
+    return docs.select(F.col("doc_id").alias("page_id"), F.posexplode(lines).alias("l", "x")).select("page_id", "l", "x.line", "x.at")
+
+
 def words(docs: DataFrame) -> DataFrame:
     """One row per word: box, span in the document, and path ``1.line.word``."""
-    line = F.split("text", "\n")
-    lines = docs.select(F.col("doc_id").alias("page_id"), F.posexplode(line).alias("l", "line"), "text")
-    starts = lines.select("page_id", "l", "line", F.expr("aggregate(slice(split(text, '\\n'), 1, l), 0L, (a, x) -> a + length(x) + 1)").alias("at"))
-    found = starts.select("page_id", "l", "at", F.posexplode(match_offsets(F.col("line"), WORD)).alias("w", "m"))
+    found = numbered_lines(docs).select("page_id", "l", "at", F.posexplode(match_offsets(F.col("line"), WORD)).alias("w", "m"))
     c, n = F.col("m.begin"), F.col("m.end") - F.col("m.begin")
     return found.select(
         "page_id", F.concat(F.lit("1."), (F.col("l") + 1).cast("string"), F.lit("."), (F.col("w") + 1).cast("string")).alias("region_id"),
@@ -33,9 +37,8 @@ def regions(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def line_regions(docs: DataFrame) -> DataFrame:
     """The parent boxes: one per line, and the page."""
-    lines = docs.select(F.col("doc_id").alias("page_id"), "text", F.posexplode(F.split("text", "\n")).alias("l", "line"))
-    at = F.expr("aggregate(slice(split(text, '\\n'), 1, l), 0L, (a, x) -> a + length(x) + 1)")
-    one = lines.select(
+    at = F.col("at")
+    one = numbered_lines(docs).select(
         "page_id", F.concat(F.lit("1."), (F.col("l") + 1).cast("string")).alias("region_id"), F.lit(0).cast("long").alias("x_l"), (F.col("l") * CELL_H).cast("long").alias("y_l"),
         (F.length("line") * CELL_W).cast("long").alias("x_h"), ((F.col("l") + 1) * CELL_H).cast("long").alias("y_h"), at.alias("text_start"), (at + F.length("line")).alias("text_end"), F.lit(2).cast("long").alias("depth"),
     )

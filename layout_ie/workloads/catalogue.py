@@ -44,7 +44,7 @@ PATTERNS = {
     "regex_ip_spans": r"[0-9]{1,3}\.[0-9]{1,3}\.[0-9]{1,3}\.[0-9]{1,3}",
     "regex_token_spans": r'token = "[0-9a-f]+"',
     "regex_digits16_spans": r"[0-9]{16}",
-    "regex_license_spans": r"[^\n]*[Ll]icen[sc]e[^\n]*",
+    "regex_license_spans": r"[Ll]icen[sc]e[^\n]*",
 }
 for _name, _pattern in PATTERNS.items():
     add(_name, lambda s, d, p=_pattern: spans.regex_spans(docs(s, d), p), q('SELECT doc_id, "begin", "end", matched FROM sp', D.spans(_pattern)))
