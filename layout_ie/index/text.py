@@ -14,34 +14,62 @@ from ..operators.spans import TOKEN
 SALTS = 8
 
 
+BOX = ("x_l", "y_l", "x_h", "y_h")
+
+
 def build_text_index(regions: DataFrame) -> DataFrame:
     """POSTINGS: term, page_id, region_id, pos (0-based place in the node's text)."""
     words = F.regexp_extract_all(F.lower("text"), F.lit(TOKEN), F.lit(0))
     return regions.where("text is not null").select("page_id", "region_id", F.posexplode(words).alias("pos", "term")).select("term", "page_id", "region_id", F.col("pos").cast("long").alias("pos"))
 
 
+def build_covering_index(regions: DataFrame) -> DataFrame:
+    """Postings that also hold the word after (null at the end) and the node's box.
+
+    A phrase of two words is then one filter, and a rule gets the boxes of its matches
+    without reading the regions.
+    """
+    words = F.regexp_extract_all(F.lower("text"), F.lit(TOKEN), F.lit(0))
+    held = regions.where("text is not null").select("page_id", "region_id", *BOX, words.alias("_w"))
+    rows = held.select("page_id", "region_id", *BOX, "_w", F.posexplode("_w").alias("pos", "term"))
+    return rows.select("term", F.get(F.col("_w"), F.col("pos") + 1).alias("next"), "page_id", "region_id", F.col("pos").cast("long").alias("pos"), *BOX)
+
+
 def write_text_index(regions: DataFrame, path: str, buckets: int = 16) -> DataFrame:
-    """Store the postings sorted by term, so that a lookup skips row groups by their bounds."""
-    found = build_text_index(regions).withColumn("salt", F.pmod(F.xxhash64("page_id"), F.lit(SALTS)))
-    found.repartitionByRange(buckets, "term", "salt").sortWithinPartitions("term", "salt", "page_id", "region_id", "pos").drop("salt").write.mode("overwrite").parquet(path)
+    """Store the covering postings sorted by term, so that a lookup skips files and row groups by their bounds.
+
+    A hot term is spread over ``SALTS`` ranges of pages.
+    """
+    found = build_covering_index(regions).withColumn("salt", F.pmod(F.xxhash64("page_id"), F.lit(SALTS)))
+    found.repartitionByRange(buckets, "term", "next", "salt").sortWithinPartitions("term", "next", "salt", "page_id", "region_id", "pos").drop("salt").write.mode("overwrite").parquet(path)
     return regions.sparkSession.read.schema(found.drop("salt").schema).parquet(path)
 
 
 def lookup_terms(postings: DataFrame, terms: list[str]) -> DataFrame:
-    """Nodes with one of the words."""
-    return postings.where(F.col("term").isin([t.lower() for t in terms])).select("term", "page_id", "region_id").distinct()
+    """Nodes with one of the words, with their boxes if the index covers them."""
+    held = [c for c in BOX if c in postings.columns]
+    return postings.where(F.col("term").isin([t.lower() for t in terms])).select("term", "page_id", "region_id", *held).distinct()
 
 
 def lookup_phrase(postings: DataFrame, phrase: str) -> DataFrame:
-    """Nodes where the words of the phrase follow each other: one join per further word, on node and place."""
+    """Nodes where the words of the phrase follow each other, with their boxes if the index covers them.
+
+    One filter for the first word (the first two, if the index holds the next word), one join on node
+    and place for each further one.
+    """
     import re
 
     words = re.findall(TOKEN, phrase.lower())
-    found = postings.where(F.col("term") == words[0]).select("page_id", "region_id", "pos")
-    for i, w in enumerate(words[1:], 1):
-        nxt = postings.where(F.col("term") == w).select("page_id", "region_id", (F.col("pos") - i).alias("pos"))
+    held = [c for c in BOX if c in postings.columns]
+    paired = "next" in postings.columns
+    first = F.col("term") == words[0]
+    if paired and len(words) > 1:
+        first = first & (F.col("next") == words[1])
+    found = postings.where(first).select("page_id", "region_id", "pos", *held)
+    for i in range(2 if paired else 1, len(words)):
+        nxt = postings.where(F.col("term") == words[i]).select("page_id", "region_id", (F.col("pos") - i).alias("pos"))
         found = found.join(nxt, ["page_id", "region_id", "pos"])
-    return found.select("page_id", "region_id").distinct()
+    return found.select("page_id", "region_id", *held).distinct()
 
 
 def phrase_sql(phrase: str, postings: str, regions: str) -> str:

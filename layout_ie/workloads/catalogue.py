@@ -463,7 +463,7 @@ add(
     lambda s, d: text_index.build_text_index(pages.regions(s, d)),
     q("SELECT term, page_id, region_id, CAST(pos AS BIGINT) AS pos FROM (SELECT page_id, region_id, unnest(t) AS term, unnest(range(0, len(t))) AS pos FROM (SELECT page_id, region_id, regexp_extract_all(lower(text), '[A-Za-z0-9_]+') AS t FROM reg WHERE text IS NOT NULL))", D.PAGES),
 )
-add("text_index_lookup", lambda s, d: text_index.lookup_phrase(modes.stored_postings(s, d), "Order Summary"), q("SELECT page_id, region_id FROM vis WHERE text ILIKE '%Order Summary%'", D.SHEETS))
+add("text_index_lookup", lambda s, d: text_index.lookup_phrase(modes.stored_postings(s, d), "Order Summary").select("page_id", "region_id"), q("SELECT page_id, region_id FROM vis WHERE text ILIKE '%Order Summary%'", D.SHEETS))
 
 # ---------------------------------------------------------------- rule language
 RULE_Q4 = """SELECT DISTINCT s.page_id, s.region_id FROM PHRASE('Return Flag', D) AS h, PHRASE('Returned', D) AS m, REGIONS(D) AS s

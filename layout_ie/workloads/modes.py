@@ -13,7 +13,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..baselines.other_ways import nest, right_of_match_per_page, udf_phrase
-from ..functions.predicates import ascii_word, strict_east_of, strict_south_of
+from ..functions.predicates import ascii_word, strict_east_of, strict_south_of, within
 from ..index import region as region_index
 from ..index import text as text_index
 from ..model import Box
@@ -45,7 +45,7 @@ def stored_postings(spark: SparkSession, sf_dir: str) -> DataFrame:
     path = f"{index_folder(spark, sf_dir)}/postings"
     if not _exists(spark, path):
         return text_index.write_text_index(stored_regions(spark, sf_dir), path)
-    return spark.read.schema("term string, page_id long, region_id string, pos long").parquet(path)
+    return spark.read.schema("term string, next string, page_id long, region_id string, pos long, x_l long, y_l long, x_h long, y_h long").parquet(path)
 
 
 def stored_boxes(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -55,10 +55,6 @@ def stored_boxes(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.read.schema("page_id long, region_id string, x_l long, y_l long, x_h long, y_h long").parquet(path)
 
 
-def _by_postings(vis: DataFrame, postings: DataFrame, phrase: str) -> DataFrame:
-    return vis.join(text_index.lookup_phrase(postings, phrase), ["page_id", "region_id"], "left_semi")
-
-
 def right_of_match(spark: SparkSession, sf_dir: str, mode: str = "none") -> DataFrame:
     """Distinct answers of the fourth task with the access path ``mode``."""
     vis = stored_regions(spark, sf_dir)
@@ -70,7 +66,7 @@ def right_of_match(spark: SparkSession, sf_dir: str, mode: str = "none") -> Data
         heads, found = text.where(udf_phrase(head)("text")), text.where(udf_phrase(word)("text"))
     elif mode in ("text", "text+region"):
         postings = stored_postings(spark, sf_dir)
-        heads, found = _by_postings(vis, postings, head), _by_postings(vis, postings, word)
+        heads, found = (text_index.lookup_phrase(postings, p) for p in (head, word))
     else:
         heads, found = (vis.where(F.col("text").rlike(ascii_word(p))) for p in (head, word))
     space = stored_boxes(spark, sf_dir) if mode in ("region", "text+region") else vis
@@ -90,24 +86,25 @@ def left_bar(spark: SparkSession, sf_dir: str, mode: str = "none") -> DataFrame:
 
 
 def top_term(spark: SparkSession, sf_dir: str, mode: str = "none") -> DataFrame:
-    """The second task: a phrase in a constant box."""
+    """The second task: a phrase in a constant box.  The text index covers boxes, so it answers alone."""
+    if "text" in mode:
+        return text_index.lookup_phrase(stored_postings(spark, sf_dir), "Order Summary").where(within(Box.of(), tasks.TOP_SHEETS)).select("page_id", "region_id")
     vis = stored_regions(spark, sf_dir)
-    hit = _by_postings(vis, stored_postings(spark, sf_dir), "Order Summary") if "text" in mode else vis.where(F.col("text").rlike(ascii_word("Order Summary")))
+    hit = vis.where(F.col("text").rlike(ascii_word("Order Summary")))
     if "region" in mode:
         inside = region_index.lookup_box(stored_boxes(spark, sf_dir), tasks.TOP_SHEETS).select("page_id", "region_id")
         return hit.join(inside, ["page_id", "region_id"], "left_semi").select("page_id", "region_id")
-    from ..functions.predicates import within
-
     return hit.where(within(Box.of(), tasks.TOP_SHEETS)).select("page_id", "region_id")
 
 
 def names(spark: SparkSession, sf_dir: str, mode: str = "none") -> DataFrame:
-    """The third task: dictionary words south or east of a heading."""
-    vis = stored_regions(spark, sf_dir)
+    """The third task: dictionary words south or east of a heading; postings alone answer it."""
+    words = ["Returned", "Accepted"]
     if "text" in mode:
         postings = stored_postings(spark, sf_dir)
-        heads = _by_postings(vis, postings, "Return Flag")
-        words = vis.join(text_index.lookup_terms(postings, ["Returned", "Accepted"]).select("page_id", "region_id").distinct(), ["page_id", "region_id"], "left_semi")
-    else:
-        heads, words = vis.where(F.col("text").rlike(ascii_word("Return Flag"))), vis
-    return tasks.names_by_heading(words, heads, ["Returned", "Accepted"])
+        v = tasks._edges(text_index.lookup_terms(postings, words).drop("term").distinct(), "v")
+        h = tasks._edges(text_index.lookup_phrase(postings, "Return Flag"), "h")
+        place = strict_south_of(Box.of("v"), Box.of("h")) | strict_east_of(Box.of("v"), Box.of("h"))
+        return v.join(h, (F.col("v.page_id") == F.col("h.page_id")) & place, "left_semi").select("v.page_id", "v.region_id")
+    vis = stored_regions(spark, sf_dir)
+    return tasks.names_by_heading(vis, vis.where(F.col("text").rlike(ascii_word("Return Flag"))), words)

@@ -22,9 +22,15 @@ TOP_PAGES = virtual_region(210, 0, None, 500)
 def left_bar(vs: DataFrame, n: int = 3, box: Box = LEFT_BAR, restrict_first: bool = False, max_dist: int | None = None, consecutive: bool = False) -> DataFrame:
     """Members of vertically aligned groups of more than ``n`` spans whose bounding box lies in ``box``.
 
-    The bound on the shared edge alone moves below the grouping; the others hold for the group.
+    Only bounds on the shared edge move below the grouping (a group's left edge is its key, and lies left
+    of its right edge); the others hold for the group.  ``consecutive`` needs all spans as possible intruders.
     """
-    below = vs.where(within(Box.of(), box)) if restrict_first else vs if box.x_l is None else vs.where(F.col("x_l") >= box.x_l)
+    below = vs
+    if restrict_first:
+        below = vs.where(within(Box.of(), box))
+    elif not consecutive:
+        for bound, test in ((box.x_l, F.col("x_l") >= box.x_l), (box.x_h, F.col("x_l") <= box.x_h)):
+            below = below if bound is None else below.where(test)
     groups = aligned(below, "column", consecutive=consecutive, max_dist=max_dist)
     w = Window.partitionBy("page_id", "group_key", "island")
     sized = groups.withColumns({"_n": F.count("*").over(w), "m_x_l": F.min("x_l").over(w), "m_y_l": F.min("y_l").over(w), "m_x_h": F.max("x_h").over(w), "m_y_h": F.max("y_h").over(w)})
