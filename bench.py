@@ -51,7 +51,7 @@ def main() -> None:
     for task, (fn, paths) in tasks.items():
         for mode in paths:
             queries[f"{task}_{mode}"] = best(lambda f=fn, m=mode: f(spark, SF_DIR, m))
-    for name in ("sheet_boxes", "page_regions", "grid_regions", "dict_word_spans", "text_block", "strict_south_of", "aligned_consecutive", "polygon_q4", "source_identical_q3"):
+    for name in () if os.environ.get("BENCH_SHORT") else ("sheet_boxes", "page_regions", "grid_regions", "dict_word_spans", "text_block", "strict_south_of", "aligned_consecutive", "polygon_q4", "source_identical_q3"):
         queries[name] = best(lambda n=name: catalogue.QUERIES[n](spark, SF_DIR))
     speed = {t: round(queries[f"{t}_none"] / min(v for k, v in queries.items() if k.startswith(f"{t}_") and k != f"{t}_none" and not k.endswith(("udf", "per_page"))), 2) for t in tasks}
     print(json.dumps({"metric": "headline_total", "value": round(sum(queries.values()), 3), "unit": "sec", "queries": queries, "build": build, "index_speedup": speed, "sf": os.path.basename(SF_DIR.rstrip("/"))}))

@@ -51,11 +51,12 @@ def lookup_terms(postings: DataFrame, terms: list[str]) -> DataFrame:
     return postings.where(F.col("term").isin([t.lower() for t in terms])).select("term", "page_id", "region_id", *held).distinct()
 
 
-def lookup_phrase(postings: DataFrame, phrase: str) -> DataFrame:
+def lookup_phrase(postings: DataFrame, phrase: str, distinct: bool = True) -> DataFrame:
     """Nodes where the words of the phrase follow each other, with their boxes if the index covers them.
 
     One filter for the first word (the first two, if the index holds the next word), one join on node
-    and place for each further one.
+    and place for each further one.  Without ``distinct`` a node comes once an occurrence, which semi-joins
+    do not mind.
     """
     import re
 
@@ -69,7 +70,8 @@ def lookup_phrase(postings: DataFrame, phrase: str) -> DataFrame:
     for i in range(2 if paired else 1, len(words)):
         nxt = postings.where(F.col("term") == words[i]).select("page_id", "region_id", (F.col("pos") - i).alias("pos"))
         found = found.join(nxt, ["page_id", "region_id", "pos"])
-    return found.select("page_id", "region_id", *held).distinct()
+    nodes = found.select("page_id", "region_id", *held)
+    return nodes.distinct() if distinct else nodes
 
 
 def phrase_sql(phrase: str, postings: str, regions: str) -> str:

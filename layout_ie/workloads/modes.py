@@ -66,7 +66,7 @@ def right_of_match(spark: SparkSession, sf_dir: str, mode: str = "none") -> Data
         heads, found = text.where(udf_phrase(head)("text")), text.where(udf_phrase(word)("text"))
     elif mode in ("text", "text+region"):
         postings = stored_postings(spark, sf_dir)
-        heads, found = (text_index.lookup_phrase(postings, p) for p in (head, word))
+        heads, found = (text_index.lookup_phrase(postings, p, distinct=False) for p in (head, word))
     else:
         heads, found = (vis.where(F.col("text").rlike(ascii_word(p))) for p in (head, word))
     space = stored_boxes(spark, sf_dir) if mode in ("region", "text+region") else vis
@@ -103,7 +103,7 @@ def names(spark: SparkSession, sf_dir: str, mode: str = "none") -> DataFrame:
     if "text" in mode:
         postings = stored_postings(spark, sf_dir)
         v = tasks._edges(text_index.lookup_terms(postings, words).drop("term").distinct(), "v")
-        h = tasks._edges(text_index.lookup_phrase(postings, "Return Flag"), "h")
+        h = tasks._edges(text_index.lookup_phrase(postings, "Return Flag", distinct=False), "h")
         place = strict_south_of(Box.of("v"), Box.of("h")) | strict_east_of(Box.of("v"), Box.of("h"))
         return v.join(h, (F.col("v.page_id") == F.col("h.page_id")) & place, "left_semi").select("v.page_id", "v.region_id")
     vis = stored_regions(spark, sf_dir)
