@@ -60,7 +60,7 @@ STOP_LOW, STOP_HIGH = 0.2, 0.3
 
 _TAG = re.compile(
     r"<!--.*?(?:-->|\Z)|<(?P<raw>" + "|".join(RAW) + r")\b(?:[^\"'>]++|\"[^\"]*\"|'[^']*')*+>.*?(?:</(?P=raw)\s*+[^>]*>|\Z)"
-    r"|<(?P<end>/?)(?P<name>[a-zA-Z][^\s/>]*)(?P<rest>(?:[^\"'>]++|\"[^\"]*\"|'[^']*')*+)>|<(?P<end2>/?)(?P<name2>[a-zA-Z][^\s/>]*)(?P<rest2>[^>]*)>|<[!?/][^>]*>",
+    r"|<(?P<end>/?)(?P<name>[a-zA-Z][^\s/>]*)(?P<rest>(?:[^\"'>]++|\"[^\"]*\"|'[^']*')*+)>|<(?P<loose_end>/?)(?P<loose_name>[a-zA-Z][^\s/>]*)(?P<loose_rest>[^>]*)>|<[!?/][^>]*>",
     re.S | re.I,
 )
 _ATTRIBUTE = re.compile(r"\b(class|id|role)\s*=\s*(\"[^\"]*\"|'[^']*'|[^\s>]+)", re.I)
@@ -125,14 +125,14 @@ def blocks(html: str) -> list[Block]:
     for m in _TAG.finditer(html):
         say(html[at : m.start()])
         at = m.end()
-        name = m["name"] or m["name2"]
+        name = m["name"] or m["loose_name"]
         if m["raw"] and name is None:
             parts.append(" ")
             continue
         if name is None:
             continue
         name = name.lower()
-        if m["end"] or m["end2"]:
+        if m["end"] or m["loose_end"]:
             for i in range(len(stack) - 1, -1, -1):
                 if stack[i][0] == name:
                     pop(i)
@@ -155,10 +155,10 @@ def blocks(html: str) -> list[Block]:
                 if stack[i][0] in ("ul", "ol", "dl", "table", "div", "section", "article", "main", "body"):
                     break
             flush()
-        if (m["rest"] or m["rest2"] or "").endswith("/") and name not in BLOCK and name != "a":
+        if (m["rest"] or m["loose_rest"] or "").endswith("/") and name not in BLOCK and name != "a":
             continue
         stack.append((name, main, aside, link))
-        rest = m["rest"] or m["rest2"] or ""
+        rest = m["rest"] or m["loose_rest"] or ""
         aside += _marked(name, rest, bool(main))
         main += name in MAIN or "articlebody" in rest.lower() or 'role="main"' in rest.lower()
         link += name == "a"
