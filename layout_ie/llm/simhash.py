@@ -271,7 +271,8 @@ def components(edges: DataFrame) -> DataFrame:
 
     Alternates large-star and small-star contraction; each round is a written
     table, so a lost executor costs one round.  No node's neighbours are gathered
-    in a row: a group only ever yields its minimum.
+    in a row: a group only ever yields its minimum.  The end is reached when all
+    edges are stars: every child has one parent and no parent is a child.
     """
     e = settle(edges.where("a <> b").select(F.greatest("a", "b").alias("x"), F.least("a", "b").alias("y")).distinct(), "edges")
     while True:
@@ -282,8 +283,9 @@ def components(edges: DataFrame) -> DataFrame:
         joined = large.join(low, "x")
         small = joined.where("y <> m").select(F.col("y").alias("x"), F.col("m").alias("y")).unionByName(low.select("x", F.col("m").alias("y"))).distinct()
         e = settle(small, "edges")
-        if e.join(e.select(F.col("y").alias("x")).distinct(), "x", "left_semi").isEmpty():
-            return e.groupBy("x").agg(F.min("y").alias("y")).select(F.col("x").alias("node"), F.col("y").alias("root"))
+        parents = e.select(F.col("y").alias("x"), F.lit(True).alias("parent")).distinct()
+        if e.groupBy("x").agg(F.count("*").alias("n")).join(parents, "x", "left").where("n > 1 or parent").isEmpty():
+            return e.select(F.col("x").alias("node"), F.col("y").alias("root"))
 
 
 def cluster(prints: DataFrame, radius: int = RADIUS, blocks: int = BLOCKS) -> DataFrame:

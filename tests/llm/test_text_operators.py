@@ -152,6 +152,21 @@ def test_components_of_long_chains(spark):
     assert got == {**{i: 0 for i in range(1, 61)}, 101: 100}
 
 
+def test_components_of_small_groups_alone(spark):
+    """Each graph in a run of its own, as a group that needs more rounds would hide a stop that comes too early."""
+    r = np.random.default_rng(5)
+    graphs = [[(3, 1), (4, 3), (5, 4), (5, 2)]]
+    for n in (6, 8):
+        ids = r.permutation(n).tolist()
+        graphs.append(list(zip(ids, ids[1:])))
+    ids = r.permutation(12).tolist()
+    graphs.append([(ids[i], ids[int(r.integers(0, i))]) for i in range(1, 12)])
+    for edges in graphs:
+        nodes = {x for e in edges for x in e}
+        got = {x["node"]: x["root"] for x in simhash.components(spark.createDataFrame(edges, "a long, b long")).collect()}
+        assert got == {x: min(nodes) for x in nodes - {min(nodes)}}, edges
+
+
 # ---------------------------------------------------------------- decontamination
 ITEMS = [(1, prose(40, 2)), (2, "one two"), (3, None), (4, " .,; "), (None, prose(20, 2)), (10, "Alpha, beta; GAMMA"), (11, "alpha beta gamma"), (1, prose(30, 77))]
 
