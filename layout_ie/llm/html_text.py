@@ -8,6 +8,9 @@ the label of its nearest decided neighbours of the same region; the nearer one
 wins, and a tie goes to the text.  Inside an article ambiguous blocks without a
 decided neighbour are text, elsewhere they are not.
 
+A class marks an element by a whole token or a token's first or last part, unless a part tells a state; it
+does not count for the first article or main inside it.
+
 Defined results: a null or empty html gives an empty text; unclosed tags end
 with their parent, an unclosed comment, script or style runs to the end;
 repeated pages are extracted each; an empty table gives an empty result.
@@ -36,7 +39,7 @@ STOP_WORDS = frozenset(
     "el los las y del una no con su para al lo como más pero sus o si porque esta entre".split()
 )
 #: Elements whose text never counts.
-RAW = ("script", "style", "noscript", "template", "svg", "math", "iframe", "object", "select", "textarea", "head", "title")
+RAW = ("script", "style", "noscript", "template", "svg", "math", "iframe", "object", "select", "textarea", "title")
 ASIDE = frozenset(("nav", "footer", "aside", "form", "button", "dialog", "menu", "fieldset"))
 MAIN = frozenset(("article", "main"))
 BLOCK = frozenset(
@@ -48,6 +51,8 @@ MARKS = frozenset(
     "ad ads adv advert adverts advertisement advertising banner breadcrumb breadcrumbs comment comments commentlist cookie cookies consent copyright disclaimer disqus footer gdpr login masthead menu menubar modal nav navbar navigation newsletter notice notices notification pager pagination popup promo promotion related reply respond share sharing sidebar signup skip social sponsor sponsored subscribe toolbar widget widgets complementary contentinfo search".split()
 )
 HEADER = frozenset(("header", "masthead"))
+#: Parts of a class that tell the state of a whole page or element, as in has-sidebar or post-share-enabled.
+STATES = frozenset("has have no not with without is are show shows hide hides enable enabled disable disabled open opened closed active inactive on off layout supports allow allowed".split())
 #: Opening one of the keys ends an open element of the values.
 IMPLIED = {
     "li": {"li"}, "dt": {"dt", "dd"}, "dd": {"dt", "dd"}, "tr": {"tr", "td", "th"}, "td": {"td", "th"}, "th": {"td", "th"},
@@ -59,13 +64,13 @@ SHORT, LONG = 70, 200
 STOP_LOW, STOP_HIGH = 0.2, 0.3
 
 _TAG = re.compile(
-    r"<!--.*?(?:-->|\Z)|<(?P<raw>" + "|".join(RAW) + r")\b(?:[^\"'>]++|\"[^\"]*\"|'[^']*')*+>.*?(?:</(?P=raw)\s*+[^>]*>|\Z)"
+    r"<!--.*?(?:-->|\Z)|<(?:svg|math)\b(?:[^\"'>]++|\"[^\"]*\"|'[^']*')*+(?<=/)>|<(?P<raw>" + "|".join(RAW) + r")\b(?:[^\"'>]++|\"[^\"]*\"|'[^']*')*+>.*?(?:</(?P=raw)\s*+[^>]*>|\Z)"
     r"|<(?P<end>/?)(?P<name>[a-zA-Z][^\s/>]*)(?P<rest>(?:[^\"'>]++|\"[^\"]*\"|'[^']*')*+)>|<(?P<loose_end>/?)(?P<loose_name>[a-zA-Z][^\s/>]*)(?P<loose_rest>[^>]*)>|<[!?/][^>]*>",
     re.S | re.I,
 )
 _ATTRIBUTE = re.compile(r"\b(class|id|role)\s*=\s*(\"[^\"]*\"|'[^']*'|[^\s>]+)", re.I)
 _HIDDEN = re.compile(r"(?:^|\s)hidden(?:\s|=|/|$)|display\s*:\s*none", re.I)
-_NAME_PARTS = re.compile(r"[a-z]+|\d+")
+_NAME_PARTS = re.compile(r"[a-z]+")
 
 
 @dataclass
@@ -76,25 +81,37 @@ class Block:
     label: str = ""
 
 
-def _marked(name: str, rest: str, inside_main: bool) -> bool:
+def _words(value: str) -> set[str]:
+    """What may mark an element: each token of a class as a whole, its first and its last part; nothing of a state."""
+    out: set[str] = set()
+    for token in re.sub(r"([a-z])([A-Z])", r"\1-\2", value).lower().split():
+        parts = _NAME_PARTS.findall(token)
+        if parts and not STATES & set(parts):
+            out |= {token, parts[0], parts[-1]}
+    return out
+
+
+def _marked(name: str, rest: str, inside_main: bool) -> tuple[bool, bool]:
+    """Whether the element is marked by what it is, or hidden; and whether by its class, id or role."""
     if name in ASIDE or (name == "header" and not inside_main):
-        return True
+        return True, False
     if not rest or name in ("html", "body") or name in MAIN:
-        return False
+        return False, False
     if _HIDDEN.search(rest):
-        return True
+        return True, False
     for _, value in _ATTRIBUTE.findall(rest):
-        words = set(_NAME_PARTS.findall(re.sub(r"([a-z])([A-Z])", r"\1 \2", value).lower()))
+        words = _words(value.strip("\"'"))
         if words & MARKS or (not inside_main and words & HEADER):
-            return True
-    return False
+            return False, True
+    return False, False
 
 
 def blocks(html: str) -> list[Block]:
     """Blocks of visible text in page order."""
     out: list[Block] = []
-    stack: list[tuple[str, int, int, int]] = []  # name, and how often main, aside, link are open
-    main = aside = link = 0
+    stack: list[tuple[str, int, int, int, int]] = []  # name, and how often main, aside, marked, link are open
+    main = aside = marked = link = 0
+    found_main = False
     parts: list[str] = []
     linked = 0
     at = 0
@@ -104,7 +121,7 @@ def blocks(html: str) -> list[Block]:
         if parts:
             text = " ".join("".join(parts).split())
             if text:
-                out.append(Block(text, linked, "aside" if aside else "main" if main else "page"))
+                out.append(Block(text, linked, "aside" if aside or marked else "main" if main else "page"))
         parts, linked = [], 0
 
     def say(text: str) -> None:
@@ -116,10 +133,10 @@ def blocks(html: str) -> list[Block]:
                 linked += len(text.strip())
 
     def pop(to: int) -> None:
-        nonlocal main, aside, link
+        nonlocal main, aside, marked, link
         if any(x[0] in BLOCK for x in stack[to:]):
             flush()
-        _, main, aside, link = stack[to]
+        _, main, aside, marked, link = stack[to]
         del stack[to:]
 
     for m in _TAG.finditer(html):
@@ -157,10 +174,16 @@ def blocks(html: str) -> list[Block]:
             flush()
         if (m["rest"] or m["loose_rest"] or "").endswith("/") and name not in BLOCK and name != "a":
             continue
-        stack.append((name, main, aside, link))
+        stack.append((name, main, aside, marked, link))
         rest = m["rest"] or m["loose_rest"] or ""
-        aside += _marked(name, rest, bool(main))
-        main += name in MAIN or "articlebody" in rest.lower() or 'role="main"' in rest.lower()
+        by_kind, by_class = _marked(name, rest, bool(main))
+        aside += by_kind
+        marked += by_class
+        if name in MAIN or "articlebody" in rest.lower() or 'role="main"' in rest.lower():
+            main += 1
+            if not aside and (not marked or not found_main):
+                # The class of what holds the article does not count; cards beside a found one stay marked.
+                marked, found_main = 0, True
         link += name == "a"
     say(html[at:])
     flush()

@@ -71,6 +71,17 @@ def test_main_text(spark):
     assert html_text.extract(df.limit(0)).count() == 0
 
 
+def test_articles_are_not_lost():
+    """Wrappers with a state in their class, marked wrappers, self-closed drawings, a head without its end."""
+    article = "<article><p>Body of the text</p></article>"
+    for name in ("has-sidebar", "no-sidebar", "with-ads", "post-share-enabled", "widget", "sidebar layout"):
+        assert html_text.main_text(f"<div class='{name}'>{article}</div><div class='related'><article>Card</article></div>") == "Body of the text", name
+    assert html_text.main_text(f"<body><svg viewBox='0 0 1 1'/>{article}<math/><article>More</article>") == "Body of the text\nMore"
+    assert html_text.main_text(f"<html><head><title>T</title><meta charset=x><script>var t='<div>no';</script><body>{article}") == "Body of the text"
+    for name in ("site-footer", "comment-list", "widget_text", "ad-300", "shareButtons"):
+        assert html_text.main_text(f"<article><p>Body of the text</p><div class='{name}'>Other</div></article>") == "Body of the text", name
+
+
 # ---------------------------------------------------------------- archives
 def test_archives(spark):
     big, other = "ab é" * 400, "zz" * 700
