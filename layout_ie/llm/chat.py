@@ -1,8 +1,9 @@
 """Chat formatting: layouts found by schema fingerprint, turns made canonical, formatted reversibly, read back.
 
 Everything is DataFrame expressions.  A record's nested field paths that any
-layout knows are sorted and hashed; the hash selects a declarative mapping to turns (role, text).
-Unknown paths are ignored, so extra fields do not change the layout.
+layout knows, over all elements of its arrays, are sorted and hashed as its fingerprint; the most
+specific layout whose paths are among them is a declarative mapping to turns (role, text), and each
+element of an array is read by its own layout.  Extra fields do not change the layout.
 
 The template writes each turn as ``<|turn|>role``, a line feed, the text and
 ``<|end|>`` with a line feed.  Control strings of common templates inside a text get
@@ -20,6 +21,8 @@ from __future__ import annotations
 
 from collections.abc import Callable
 from dataclasses import dataclass
+from functools import reduce
+from operator import or_
 
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
@@ -66,32 +69,56 @@ ROLE_NAMES = {"human": "user", "prompter": "user", "gpt": "assistant", "bot": "a
 
 
 def _known(layouts: tuple[Layout, ...]) -> list[str]:
-    return sorted({p for x in layouts for p in x.paths})
+    """The layouts' paths; any array of turns may hold elements of any layout."""
+    turns = [x for x in layouts if x.turns]
+    return sorted({p for x in layouts for p in x.paths} | {f"{x.turns}[].{n}" for x in turns for y in turns for n in (y.role, y.text)})
 
 
 def paths_hash(paths: Column) -> Column:
     return F.xxhash64(F.array_join(F.array_sort(F.array_distinct(paths)), "\n"))
 
 
+def _elements(record: Column, array: str) -> Column:
+    """The elements of a JSON array as JSON texts; null where it is no array."""
+    return F.from_json(F.get_json_object(record, f"$.{array}"), T.ArrayType(T.StringType()))
+
+
 def record_paths(record: Column, layouts: tuple[Layout, ...] = LAYOUTS) -> Column:
-    """The nested field paths of a JSON record that some layout knows."""
+    """The nested field paths of a JSON record, over all elements of its arrays, that some layout knows."""
     none = F.array().cast("array<string>")
     top = F.coalesce(F.json_object_keys(record), none)
 
     def below(a: str) -> Column:
-        return F.transform(F.coalesce(F.json_object_keys(F.get_json_object(record, f"$.{a}[0]")), none), lambda k: F.concat(F.lit(f"{a}[]."), k))
+        keys = F.flatten(F.transform(F.coalesce(_elements(record, a), none), lambda x: F.coalesce(F.json_object_keys(x), none)))
+        return F.transform(keys, lambda k: F.concat(F.lit(f"{a}[]."), k))
 
     nested = [below(a) for a in sorted({x.turns for x in layouts if x.turns})]
     return F.array_intersect(F.concat(top, *nested), F.array(*map(F.lit, _known(layouts))))
 
 
+def _needs(layout: Layout) -> tuple[str, ...]:
+    """The paths a record must have: all top fields; what its turns look like is seen to one by one."""
+    return tuple(p for p in layout.paths if not (layout.turns and "[]" in p))
+
+
 def canonical_role(role: Column) -> Column:
     low = F.lower(F.trim(F.coalesce(role, F.lit(""))))
     names = F.create_map(*(F.lit(x) for kv in ROLE_NAMES.items() for x in kv))
     return F.coalesce(names[low], low)
 
 
-def _layout_turns(layout: Layout, record: Column) -> Column:
+def _said(array: str, record: Column, layouts: tuple[Layout, ...]) -> Column:
+    """Turns of an array, each element by the first layout whose role or text field it has."""
+    kinds = list(dict.fromkeys((x.role, x.text) for x in layouts if x.turns))
+
+    def turn(x: Column) -> Column:
+        field = lambda names: F.coalesce(*(F.get_json_object(x, f"$.{n}") for n in dict.fromkeys(names)), F.lit(""))
+        return F.struct(canonical_role(field(r for r, _ in kinds)).alias("role"), field(t for _, t in kinds).alias("text"))
+
+    return F.transform(_elements(record, array), turn)
+
+
+def _layout_turns(layout: Layout, record: Column, layouts: tuple[Layout, ...] = LAYOUTS) -> Column:
     field = lambda name: F.get_json_object(record, f"$.{name}")
     turns = F.array().cast(f"array<{TURN}>")
     if layout.parts:
@@ -100,26 +127,36 @@ def _layout_turns(layout: Layout, record: Column) -> Column:
             text = F.array_join(F.filter(F.array(*(F.coalesce(field(f), F.lit("")) for f in fields)), lambda x: x != ""), "\n\n")
             one.append(F.struct(F.lit(role).alias("role"), text.alias("text")))
         turns = F.array(*one)
-        if layout.turns:  # a lone head: left out where it is empty
-            turns = F.filter(turns, lambda t: t["text"] != "")
+    if layout.turns:  # a lone head: left out where it is empty
+        turns = F.filter(turns, lambda t: t["text"] != "")
+    heads = [field(x[1]) for p in layouts for x in p.parts if x[0] == "system" and len(x) == 2]
+    if heads and not any(x[0] == "system" for x in layout.parts):  # a system text beside any layout is its first turn
+        lone = F.array(F.struct(F.lit("system").alias("role"), F.coalesce(*heads, F.lit("")).alias("text")))
+        turns = F.concat(F.filter(lone, lambda t: t["text"] != ""), turns)
     if layout.turns:
-        kind = T.ArrayType(T.StructType([T.StructField(layout.role, T.StringType()), T.StructField(layout.text, T.StringType())]))
-        said = F.from_json(field(layout.turns), kind)
-        said = F.transform(said, lambda t: F.struct(canonical_role(t[layout.role]).alias("role"), F.coalesce(t[layout.text], F.lit("")).alias("text")))
-        turns = F.concat(turns, said)
+        turns = F.concat(turns, _said(layout.turns, record, layouts))
     return turns
 
 
 def canonical_records(records: DataFrame, record: str = "record", keep: tuple[str, ...] = (), layouts: tuple[Layout, ...] = LAYOUTS) -> DataFrame:
-    """``keep``, ``fingerprint``, ``layout`` and ``turns`` of JSON records of mixed layouts."""
+    """``keep``, ``fingerprint``, ``layout`` and ``turns`` of JSON records of mixed layouts.
+
+    A record has the most specific layout whose paths it holds (an array of turns before lone fields).
+    """
     body = F.col(record)
-    told = records.select(*keep, body, paths_hash(record_paths(body, layouts)).alias("fingerprint"))
+    told = records.select(*keep, body, record_paths(body, layouts).alias("_paths"))
     layout = turns = None
-    for x in layouts:
-        same = F.col("fingerprint") == paths_hash(F.array(*map(F.lit, x.paths)))
-        layout = F.when(same, F.lit(x.name)) if layout is None else layout.when(same, F.lit(x.name))
-        turns = F.when(same, _layout_turns(x, body)) if turns is None else turns.when(same, _layout_turns(x, body))
-    return told.select(*keep, "fingerprint", layout.alias("layout"), turns.alias("turns"))
+    for x in sorted(layouts, key=lambda x: (not x.turns, -len(x.paths))):
+        fits = F.size(F.array_except(F.array(*map(F.lit, _needs(x))), F.col("_paths"))) == 0
+        if x.turns:
+            # An array is turns if an element has a known field; an empty one, if there are no lone fields to read.
+            fields = F.array(*(F.lit(f"{x.turns}[].{n}") for y in layouts if y.turns for n in (y.role, y.text)))
+            lone = [F.size(F.array_except(F.array(*map(F.lit, _needs(y))), F.col("_paths"))) == 0 for y in layouts if not y.turns]
+            empty = F.coalesce(F.size(_elements(body, x.turns)) == 0, F.lit(False)) & ~reduce(or_, lone, F.lit(False))
+            fits &= empty | F.arrays_overlap(fields, F.col("_paths"))
+        layout = F.when(fits, F.lit(x.name)) if layout is None else layout.when(fits, F.lit(x.name))
+        turns = F.when(fits, _layout_turns(x, body, layouts)) if turns is None else turns.when(fits, _layout_turns(x, body, layouts))
+    return told.select(*keep, paths_hash(F.col("_paths")).alias("fingerprint"), layout.alias("layout"), turns.alias("turns"))
 
 
 def is_turn_table(df: DataFrame) -> bool:

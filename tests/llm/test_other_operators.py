@@ -190,6 +190,26 @@ def test_layouts(spark):
     assert all(got[i]["layout"] is None and got[i]["turns"] is None for i in (6, 7, 8))
 
 
+def test_layouts_of_mixed_records(spark):
+    """Elements that differ from the first one, and records with paths of a second layout."""
+    records = [
+        '{"messages": [{"role": "assistant", "tool_calls": [1]}, {"role": "user", "content": "q"}]}', '{"messages": []}',
+        '{"messages": [{"role": "user", "content": "q"}, {"from": "gpt", "value": "a"}]}',
+        '{"messages": [{"role": "user", "content": "q"}], "prompt": "q", "system": "s"}',
+        '{"instruction": "do", "input": "it", "output": "done", "system": "s"}', '{"system": "", "prompt": "p", "response": "r"}',
+        '{"messages": [{"what": 1}]}', '{"messages": [], "prompt": "p", "completion": "c"}',
+    ]
+    df = spark.createDataFrame(list(enumerate(records)), "i int, record string")
+    got = {r["i"]: r for r in chat.canonical_records(df, keep=("i",)).collect()}
+    flat = lambda i: [(t["role"], t["text"]) for t in got[i]["turns"]]
+    assert flat(0) == [("assistant", ""), ("user", "q")] and got[1]["layout"] == "messages" and flat(1) == []
+    assert flat(2) == [("user", "q"), ("assistant", "a")] and flat(3) == [("system", "s"), ("user", "q")]
+    assert flat(4) == [("system", "s"), ("user", "do\n\nit"), ("assistant", "done")]
+    assert got[5]["layout"] == "system_prompt_response" and flat(5) == [("system", ""), ("user", "p"), ("assistant", "r")]
+    assert got[6]["layout"] is None and got[6]["turns"] is None
+    assert flat(7) == [("user", "p"), ("assistant", "c")]
+
+
 # ---------------------------------------------------------------- token store
 def test_token_store(spark):
     from tokenizers import Tokenizer
