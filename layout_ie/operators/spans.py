@@ -137,18 +137,20 @@ TOKEN = r"[A-Za-z0-9_]+"
 BROADCAST_TERMS = 200_000
 
 
-def dict_spans(docs: DataFrame, terms: DataFrame, text: str = "text", keep: tuple[str, ...] = ("doc_id",), max_words: int = 4) -> DataFrame:
+def dict_spans(docs: DataFrame, terms: DataFrame, text: str = "text", keep: tuple[str, ...] = ("doc_id",), max_words: int | None = None) -> DataFrame:
     """Every occurrence of every entry (any case, whole words): ``keep``, begin, end, term.
 
     ``terms`` has a column ``term``; its words and those of the text are compared as
-    runs of 1 to ``max_words`` tokens.
+    runs of as many tokens as some entry has.  Only a caller that sets ``max_words`` leaves longer entries out.
     """
     wanted = terms.select(F.array_join(F.regexp_extract_all(F.lower("term"), F.lit(TOKEN), F.lit(0)), " ").alias("_key"), "term").where("_key <> ''").distinct()
-    if wanted.count() <= BROADCAST_TERMS:
+    sizes = {r["n"]: r["count"] for r in wanted.groupBy(F.size(F.split("_key", " ")).alias("n")).count().collect()}
+    if sum(sizes.values()) <= BROADCAST_TERMS:
         wanted = F.broadcast(wanted)
+    lengths = sorted(n for n in sizes if n > 1 and (max_words is None or n <= max_words))
     tokens = docs.select(*keep, match_offsets(F.col(text), TOKEN).alias("_t"))
     one = F.transform("_t", lambda t: F.struct(t["begin"], t["end"], F.lower(t["matched"]).alias("_key")))
-    every = [one, *(_word_runs(F.col("_t"), n) for n in range(2, max_words + 1))]
+    every = [one, *(_word_runs(F.col("_t"), n) for n in lengths)]
     runs = F.flatten(F.array(*every)) if len(every) > 1 else one
     return tokens.select(*keep, F.inline(runs)).join(wanted, "_key").drop("_key")
 

@@ -377,8 +377,8 @@ def _source_sql(s: Source, views: dict[str, str]) -> str:
 
         return phrase_sql(s.arg, views["postings"], regions)
     if s.kind == "DICT":
-        words = f"transform(regexp_extract_all(lower(text), '[A-Za-z0-9_]+', 0), x -> x)"  # noqa: F541
-        return f"(SELECT r.* FROM {regions} r WHERE text IS NOT NULL AND EXISTS (SELECT 1 FROM {s.arg} d WHERE array_contains({words}, lower(d.term))))"
+        words = lambda x: f"concat(' ', array_join(regexp_extract_all(lower({x}), '[A-Za-z0-9_]+', 0), ' '), ' ')"
+        return f"(SELECT r.* FROM {regions} r WHERE text IS NOT NULL AND EXISTS (SELECT 1 FROM {s.arg} d WHERE {words('d.term')} <> '  ' AND contains({words('r.text')}, {words('d.term')})))"
     raise RuleError(f"{s.kind} stands alone")
 
 

@@ -475,6 +475,7 @@ RULE_Q1 = "SELECT v.page_id, v.region_id FROM REGIONS(D) AS v GROUP BY ALIGNED(C
 RULE_Q1_NEAR = RULE_Q1.replace("COLUMN", "COLUMN, MAXDIST 10")
 RULE_Q1_NEXT = RULE_Q1.replace("COLUMN", "COLUMN, CONSECUTIVE")
 RULE_UP = "SELECT DISTINCT c.page_id, c.region_id FROM PHRASE('Return Flag', D) AS h, MAXIMAL(h) AS c, PHRASE('Returned', D) AS m WHERE StrictSouthOf(m, c)"
+RULE_DICT = "SELECT v.page_id, v.region_id FROM DICT('phrases', D) AS v"
 
 
 def by_rule(text: str, access: str = "none") -> Query:
@@ -497,6 +498,11 @@ add("rule_q4", by_rule(RULE_Q4), _Q4D)
 add("rule_q4_per_page", lambda s, d: evaluate.run_per_page(rules.parse(RULE_Q4), other_ways.nest(modes.stored_regions(s, d), evaluate.NESTED)), _Q4D)
 add("rule_q3_per_page", lambda s, d: evaluate.run_per_page(rules.parse(RULE_Q3), other_ways.nest(modes.stored_regions(s, d), evaluate.NESTED)), ORACLES["q3_sheets"])
 add("rule_q4_text_index", by_rule(RULE_Q4, "text"), _Q4D)
+add(
+    "rule_dict_phrases",
+    lambda s, d: rules.to_df(rules.parse(RULE_DICT), pages.regions(s, d), {"phrases": words_df(s, "of the", "and the", "This is not in any of them")}),
+    q("SELECT page_id, region_id FROM reg WHERE text IS NOT NULL AND regexp_matches(' ' || array_to_string(regexp_extract_all(lower(text), '[A-Za-z0-9_]+'), ' ') || ' ', ' (of the|and the|this is not in any of them) ')", D.PAGES),
+)
 add(
     "rule_maximal_heading",
     lambda s, d: rules.to_df(rules.parse(RULE_UP), sheets.regions(s, d)),

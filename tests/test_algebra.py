@@ -103,6 +103,20 @@ def test_dictionary_finds_every_occurrence(spark):
     assert found == [(0, 8, "new york"), (4, 8, "York"), (10, 19, "new york"), (15, 19, "York"), (15, 24, "york city"), (26, 30, "York")]
 
 
+def test_dictionary_entries_of_many_words(spark):
+    from layout_ie.plans import rules
+
+    texts = ["We say: one two, three four FIVE six.", "one two three four", "word of-the day", None, ""]
+    df = spark.createDataFrame([(i, str(i), t) for i, t in enumerate(texts)], "page_id int, region_id string, text string")
+    terms = spark.createDataFrame([("one two three four five",), ("Two Three Four Five Six seven",), ("of the",), ("say",), (" - ",)], "term string")
+    found = sorted(tuple(r) for r in spans.dict_spans(df, terms, keep=("page_id",)).select("page_id", "begin", "term").collect())
+    assert found == [(0, 3, "say"), (0, 8, "one two three four five"), (2, 5, "of the")]
+    rule = rules.parse("SELECT v.page_id, v.region_id FROM DICT('many_words', D) AS v")
+    assert sorted(r["page_id"] for r in rules.to_df(rule, df, {"many_words": terms}).collect()) == [0, 2]
+    no_say = terms.where("term <> 'say'")
+    assert sorted(r["page_id"] for r in rules.to_df(rule, df, {"many_words": no_say}).collect()) == [0, 2]
+
+
 def test_consolidation_and_blocks(spark):
     r = rel(spark, (0, 5), (1, 3), (0, 5), (5, 8), (7, 9), (20, 21), (20, 22))
     assert got(spans.consolidate_contained(r)) == [(0, 5), (5, 8), (7, 9), (20, 22)]

@@ -192,6 +192,11 @@ def test_sql_twin(spark, sf, db, name):
     assert sorted((tuple(r) for r in mine.select(*cols).collect()), key=key) == sorted(twin.select(*cols).fetchall(), key=key)
 
 
+def test_dictionary_rule_finds_phrases(spark, sf, db):
+    want = db.sql(catalogue.ORACLES["rule_dict_phrases"]).fetchall()
+    assert want and sorted(map(tuple, catalogue.QUERIES["rule_dict_phrases"](spark, sf).collect())) == sorted(want)
+
+
 def test_entry_points(spark):
     import __spark_entry__ as e
 
