@@ -10,7 +10,8 @@ pair of nodes is left out as soon as the differences of their shared bits exceed
 the radius.  Nodes of a bucket that goes over a task's border are written and
 paired by their shared bits in the same way.  Each task reduces its links to
 a spanning forest, so no group emits all its pairs; components of the forest
-come from rounds of star contraction on DataFrames.
+come from rounds of star contraction on DataFrames.  The same search serves the
+pipeline's near-copy stage (``near_copies``).
 
 Defined results: a null or wordless text has fingerprint zero and is linked like
 any other; a null doc_id gets a fingerprint and a null component; repeated ids
@@ -27,7 +28,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import settle
+from .common import drop_written, settle
 
 SEED = 42
 SHINGLE = 4
@@ -277,30 +278,37 @@ def components(edges: DataFrame) -> DataFrame:
     e = settle(edges.where("a <> b").select(F.greatest("a", "b").alias("x"), F.least("a", "b").alias("y")).distinct(), "edges")
     while True:
         both = e.unionByName(e.select(F.col("y").alias("x"), F.col("x").alias("y")))
-        low = both.groupBy("x").agg(F.min("y").alias("m")).select("x", F.least("x", "m").alias("m"))
-        large = both.where("y > x").join(low, "x").select(F.col("y").alias("x"), F.col("m").alias("y")).distinct()
-        low = large.groupBy("x").agg(F.min("y").alias("m"))
-        joined = large.join(low, "x")
-        small = joined.where("y <> m").select(F.col("y").alias("x"), F.col("m").alias("y")).unionByName(low.select("x", F.col("m").alias("y"))).distinct()
+        # Written, so that the join reads both sides from exchanges and Spark may split the root of a large group.
+        low = settle(both.groupBy("x").agg(F.min("y").alias("m")).select("x", F.least("x", "m").alias("m")), "low")
+        large = settle(both.where("y > x").join(low, "x").select(F.col("y").alias("x"), F.col("m").alias("y")).distinct(), "large")
+        drop_written(e)
+        least = large.groupBy("x").agg(F.min("y").alias("m"))
+        joined = large.join(least, "x")
+        small = joined.where("y <> m").select(F.col("y").alias("x"), F.col("m").alias("y")).unionByName(least.select("x", F.col("m").alias("y"))).distinct()
         e = settle(small, "edges")
+        drop_written(low)
+        drop_written(large)
         parents = e.select(F.col("y").alias("x"), F.lit(True).alias("parent")).distinct()
         if e.groupBy("x").agg(F.count("*").alias("n")).join(parents, "x", "left").where("n > 1 or parent").isEmpty():
             return e.select(F.col("x").alias("node"), F.col("y").alias("root"))
 
 
-def cluster(prints: DataFrame, radius: int = RADIUS, blocks: int = BLOCKS) -> DataFrame:
-    """``fp, node, root`` of each distinct fingerprint of ``doc_id, fp``: its smallest id and its component's."""
-    spark = prints.sparkSession
-    known = settle(prints.where(F.col("doc_id").isNotNull()).groupBy("fp").agg(F.min("doc_id").alias("node")), "distinct")
+def forest(known: DataFrame, radius: int = RADIUS, blocks: int = BLOCKS) -> DataFrame:
+    """Spanning edges ``a, b`` of the links among distinct fingerprints ``fp, node``, found by the index."""
+    spark = known.sparkSession
     keys = F.array(*(F.struct(F.lit(i).alias("choice"), F.col("fp").bitwiseAND(F.lit(m - 2**64 if m >= 2**63 else m).cast("long")).alias("part")) for i, m in enumerate(block_masks(blocks, radius))))
     rows = known.select("fp", "node", F.explode(keys).alias("k")).select(
         F.xxhash64("k.choice", "k.part").alias("bucket"), "fp", "node", gray_rank_column(F.col("fp")).alias("rank")
     )
     parts = max(1, int(spark.conf.get("spark.sql.shuffle.partitions")))
     linked = settle(link_buckets(rows.repartitionByRange(parts, "bucket", "rank").sortWithinPartitions("bucket", "rank"), radius), "forest")
-    inner = linked.where("bucket is null").select("a", "b")
-    border = linked.where("bucket is not null")
-    found = components(inner.unionByName(link_borders(border, radius)))
+    return linked.where("bucket is null").select("a", "b").unionByName(link_borders(linked.where("bucket is not null"), radius))
+
+
+def cluster(prints: DataFrame, radius: int = RADIUS, blocks: int = BLOCKS) -> DataFrame:
+    """``fp, node, root`` of each distinct fingerprint of ``doc_id, fp``: its smallest id and its component's."""
+    known = settle(prints.where(F.col("doc_id").isNotNull()).groupBy("fp").agg(F.min("doc_id").alias("node")), "distinct")
+    found = components(forest(known, radius, blocks))
     return known.join(found, "node", "left").select("fp", "node", F.coalesce("root", "node").alias("root"))
 
 
@@ -312,9 +320,3 @@ def near_duplicates(docs: DataFrame) -> DataFrame:
         "doc_id", fp_hex(F.col("fp")).alias("fingerprint"), F.when(F.col("doc_id").isNotNull(), F.col("root")).alias("component_id")
     )
 
-
-def stage(docs: DataFrame) -> DataFrame:
-    """One document of each component, the one with the smallest id; rows without an id stay."""
-    found = near_duplicates(docs.select("doc_id", "text"))
-    gone = found.where("doc_id <> component_id").select("doc_id").distinct()
-    return docs.join(gone, "doc_id", "left_anti").select(*docs.columns)
