@@ -3,7 +3,9 @@
 Everything is DataFrame expressions.  A record's nested field paths that any
 layout knows, over all elements of its arrays, are sorted and hashed as its fingerprint; the most
 specific layout whose paths are among them is a declarative mapping to turns (role, text), and each
-element of an array is read by its own layout.  Extra fields do not change the layout.
+element of an array is read by its own layout.  Extra fields do not change the layout.  A table's
+columns are fingerprinted in the same way: a layout of turn rows maps them to conversations, a layout of
+records is read record by record.
 
 The template writes each turn as ``<|turn|>role``, a line feed, the text and
 ``<|end|>`` with a line feed.  Control strings of common templates inside a text get
@@ -12,23 +14,24 @@ text can end a turn, and taking one away gives the text back.  Roles are written
 percent-encoded.  The loss mask lists the code point ranges of assistant texts.
 
 Defined results: a null text or role is empty; turns of a conversation stand in
-the order of turn, role, text, repeated rows included; rows with a null conversation id
-form one conversation; a record of no known layout has null turns; empty tables give
-empty results.
+the order of turn, role, text, repeated rows included; a row with a null conversation id is a
+conversation by itself, equal ones are one; a record of no known layout has null turns, a table of none
+raises; empty tables give empty results.
 """
 
 from __future__ import annotations
 
-from collections.abc import Callable
+from collections.abc import Callable, Iterable
 from dataclasses import dataclass
 from functools import reduce
 from operator import or_
 
+import xxhash
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import let
+from .common import unused
 
 START, END = "<|turn|>", "<|end|>\n"
 #: First characters and rests of control strings: fixed values of common templates.
@@ -40,7 +43,11 @@ TURN = "struct<role:string,text:string>"
 # ---------------------------------------------------------------- layouts
 @dataclass(frozen=True)
 class Layout:
-    """``paths`` identify the layout.  Either ``turns`` names an array with ``role`` and ``text`` fields, or ``parts`` are (role, field, ...) to join by an empty line."""
+    """``paths`` identify the layout.
+
+    Either ``turns`` names an array with ``role`` and ``text`` fields, or ``parts`` are (role, field, ...) to join by
+    an empty line, or each row is a turn with ``role`` and ``text`` at place ``order`` of conversation ``group``.
+    """
 
     name: str
     paths: tuple[str, ...]
@@ -48,6 +55,8 @@ class Layout:
     role: str = ""
     text: str = ""
     parts: tuple[tuple[str, ...], ...] = ()
+    group: str = ""
+    order: str = ""
 
 
 LAYOUTS = (
@@ -62,8 +71,16 @@ LAYOUTS = (
     Layout("question_answer", ("question", "answer"), parts=(("user", "question"), ("assistant", "answer"))),
     Layout("question_context", ("context", "question", "answer"), parts=(("user", "context", "question"), ("assistant", "answer"))),
 )
-#: A table with one row a turn; its columns are its field paths.
-TURN_ROWS = ("conv_id", "turn", "role", "text")
+#: Tables with one row a turn.
+ROW_LAYOUTS = tuple(
+    Layout(name, (group, order, role, text), "", role, text, (), group, order)
+    for name, group, order, role, text in (
+        ("turn_rows", "conv_id", "turn", "role", "text"),
+        ("message_rows", "conversation_id", "message_index", "role", "content"),
+        ("dialog_rows", "conversation_id", "turn", "from", "value"),
+        ("utterance_rows", "dialogue_id", "turn_id", "speaker", "utterance"),
+    )
+)
 #: Names that layouts use for the canonical roles.
 ROLE_NAMES = {"human": "user", "prompter": "user", "gpt": "assistant", "bot": "assistant", "model": "assistant"}
 
@@ -159,9 +176,50 @@ def canonical_records(records: DataFrame, record: str = "record", keep: tuple[st
     return told.select(*keep, paths_hash(F.col("_paths")).alias("fingerprint"), layout.alias("layout"), turns.alias("turns"))
 
 
-def is_turn_table(df: DataFrame) -> bool:
-    """True if the paths of the table, among those a turn table has, are those of a turn table."""
-    return set(TURN_ROWS) <= set(df.columns)
+# ---------------------------------------------------------------- tables
+def schema_paths(kind: T.DataType, at: str = "") -> list[str]:
+    """The nested field paths of a type, written as those of a record."""
+    if isinstance(kind, T.StructType):
+        below = ((f"{at}.{f.name}" if at else f.name, f.dataType) for f in kind.fields)
+        return [p for name, inner in below for p in (name, *schema_paths(inner, name))]
+    return schema_paths(kind.elementType, f"{at}[]") if isinstance(kind, T.ArrayType) else []
+
+
+def print_of(paths: Iterable[str]) -> int:
+    """The fingerprint of some paths, the same as ``paths_hash`` gives on the JVM."""
+    found = xxhash.xxh64_intdigest("\n".join(sorted(set(paths))), 42)
+    return found - 2**64 if found >> 63 else found
+
+
+def table_layout(schema: T.StructType, layouts: tuple[Layout, ...] = ROW_LAYOUTS) -> tuple[int, Layout | None]:
+    """The fingerprint of a table's columns, among those that a layout of turn rows knows, and the layout it selects.
+
+    The print selects a layout by equality; a table that mixes names of more layouts has the first one it holds all of.
+    """
+    known = {p for x in layouts for p in x.paths}
+    paths = [p for p in schema_paths(schema) if p in known]
+    named = {print_of(x.paths): x for x in reversed(layouts)}
+    found = print_of(paths)
+    return found, named.get(found) or next((x for x in layouts if set(x.paths) <= set(paths)), None)
+
+
+def canonical_rows(table: DataFrame, layouts: tuple[Layout, ...] = ROW_LAYOUTS) -> DataFrame:
+    """``conv_id, turn, role, text`` of a table whose fingerprint selects a layout of turn rows."""
+    found, layout = table_layout(table.schema, layouts)
+    if layout is None:
+        raise ValueError(f"no layout has the columns {table.columns} (fingerprint {found})")
+    fields = {"conv_id": layout.group, "turn": layout.order, "role": layout.role, "text": layout.text}
+    return table.select(*(F.col(f"`{column}`").alias(name) for name, column in fields.items()))
+
+
+def canonical_table(table: DataFrame, keep: tuple[str, ...] = (), layouts: tuple[Layout, ...] = LAYOUTS) -> DataFrame:
+    """``canonical_records`` of a table whose columns are the fields of records."""
+    known = set(_known(layouts)) | {x.turns for x in layouts}
+    fields = [f"`{c}`" for c in table.columns if c in known]
+    if not fields:
+        raise ValueError(f"no layout has one of the columns {table.columns}")
+    record = unused(table, "record")
+    return canonical_records(table.withColumn(record, F.to_json(F.struct(*fields))), record, keep, layouts)
 
 
 # ---------------------------------------------------------------- template
@@ -174,20 +232,20 @@ def unescape(text: Column) -> Column:
 
 
 def format_turns(rows: DataFrame, trained: Callable[[Column], Column] = lambda role: role == "assistant") -> DataFrame:
-    """``conv_id, formatted, loss`` of a turn table; ``loss`` are the (start, length) of trained texts in code points."""
-    if not is_turn_table(rows):
-        raise ValueError(f"no layout has the columns {rows.columns}")
+    """``conv_id, formatted, loss`` of a table that ``canonical_rows`` reads; ``loss`` are the (start, length) of trained texts in code points."""
+    rows = canonical_rows(rows)
     role, text = (F.coalesce(F.col(c), F.lit("")) for c in ("role", "text"))
-    piece = rows.select("conv_id", "turn", role.alias("role"), text.alias("text")).select(
-        "conv_id", "turn", "role", "text", F.concat(F.lit(START), F.url_encode("role"), F.lit("\n")).alias("_head"), escape(F.col("text")).alias("_body")
+    lone = F.when(F.col("conv_id").isNull(), F.sha2(F.to_json(F.struct("turn", role.alias("role"), text.alias("text"))), 256))
+    piece = rows.select("conv_id", lone.alias("_lone"), "turn", role.alias("role"), text.alias("text")).select(
+        "conv_id", "_lone", "turn", "role", "text", F.concat(F.lit(START), F.url_encode("role"), F.lit("\n")).alias("_head"), escape(F.col("text")).alias("_body")
     )
-    order = Window.partitionBy("conv_id").orderBy("turn", "role", "text")
+    order = Window.partitionBy("conv_id", "_lone").orderBy("turn", "role", "text")
     placed = piece.select(
-        "conv_id", F.row_number().over(order).alias("_at"), trained(F.col("role")).alias("_trained"), F.length("_head").alias("_skip"), F.length("_body").alias("_size"),
+        "conv_id", "_lone", F.row_number().over(order).alias("_at"), trained(F.col("role")).alias("_trained"), F.length("_head").alias("_skip"), F.length("_body").alias("_size"),
         F.concat("_head", "_body", F.lit(END)).alias("_piece"),
         F.coalesce(F.sum(F.length("_head") + F.length("_body") + len(END)).over(order.rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).alias("_start"),
     )
-    gathered = placed.groupBy("conv_id").agg(F.array_sort(F.collect_list(F.struct("_at", "_piece", "_trained", (F.col("_start") + F.col("_skip")).alias("start"), F.col("_size").cast("long").alias("length")))).alias("_turns"))
+    gathered = placed.groupBy("conv_id", "_lone").agg(F.array_sort(F.collect_list(F.struct("_at", "_piece", "_trained", (F.col("_start") + F.col("_skip")).alias("start"), F.col("_size").cast("long").alias("length")))).alias("_turns"))
     return gathered.select(
         "conv_id",
         F.array_join(F.transform("_turns", lambda t: t["_piece"]), "").alias("formatted"),

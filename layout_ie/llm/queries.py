@@ -41,7 +41,7 @@ def op7_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op8_chat_format(spark: SparkSession, sf_dir: str) -> DataFrame:
-    rows = read_table(spark, sf_dir, "conversations").select("conv_id", "turn", "role", "text")
+    rows = chat.canonical_rows(read_table(spark, sf_dir, "conversations"))
     return chat.digests(chat.format_turns(rows.unionByName(chat.probe(spark))))
 
 
@@ -101,7 +101,8 @@ WITH c AS (SELECT conv_id, turn, coalesce(role, '') AS role, coalesce(text, '')
 e AS (SELECT *, length(regexp_replace(text, '(<|\[)(\\*)(\||/?s>|/?INST\]|</?SYS>>|/?system>|/?user>|/?assistant>)', '\1\\\2\3', 'g')) AS n FROM c)
 SELECT conv_id, count(*) AS n_turns, sha256(string_agg(role || chr(10) || text || chr(10), '' ORDER BY turn, role, text)) AS turns_sha256,
   CAST(coalesce(sum(length(text)) FILTER (role = 'assistant'), 0) AS BIGINT) AS loss_chars, sha256(coalesce(string_agg(text, '' ORDER BY turn, role, text) FILTER (role = 'assistant'), '')) AS loss_sha256,
-  CAST(sum({len(chat.START)} + length(role) + 1 + n + {len(chat.END)}) AS BIGINT) AS formatted_chars FROM e GROUP BY 1"""
+  CAST(sum({len(chat.START)} + length(role) + 1 + n + {len(chat.END)}) AS BIGINT) AS formatted_chars
+  FROM e GROUP BY conv_id, CASE WHEN conv_id IS NULL THEN row(turn, role, text) END"""
 
 _LEAK_SQL = rf"""
 WITH d AS (SELECT row_number() OVER () AS k, doc_id, regexp_extract_all(translate(coalesce(text, ''), '{_UPPER}', '{_LOWER}'), '[0-9a-z\x{{80}}-\x{{10FFFF}}]+') AS w FROM documents),
