@@ -7,7 +7,8 @@ space is given whole texts.)  A rolling hash over the ids cuts each document
 into chunks, so equal passages give equal chunks wherever they stand; a chunk is
 named by its digest and stored once.  Recipes list the chunks of each document
 in ascending document order with its first position; each recipe file carries a
-Merkle root over its documents, and the manifest a root over the files.
+Merkle root over its documents, and the manifest a root over the files.  Reading verifies
+both the roots and the chunks.
 
 Layout below the store's path (Parquet, written by Spark's commit protocol):
 ``chunks`` (digest, n, payload = zstandard of little-endian ids of ``width``
@@ -27,7 +28,7 @@ import os
 import unicodedata
 import zlib
 from array import array
-from collections.abc import Iterator
+from collections.abc import Iterable, Iterator
 from functools import lru_cache
 
 import numpy as np
@@ -275,37 +276,60 @@ def _encode_rows(docs: DataFrame, tokenizer: str, end_id: int, width: int) -> Da
 
 
 # ---------------------------------------------------------------- writing
-def merkle_root(leaves: list[bytes]) -> bytes:
-    """Root over the leaves, in order; an odd one out moves up as it is."""
-    if not leaves:
+def merkle_push(stack: list[tuple[int, bytes]], node: bytes) -> None:
+    """Add a leaf to a tree of which only the complete parts are held, each with its height."""
+    height = 0
+    while stack and stack[-1][0] == height:
+        node = hashlib.sha256(stack.pop()[1] + node).digest()
+        height += 1
+    stack.append((height, node))
+
+
+def merkle_top(stack: list[tuple[int, bytes]]) -> bytes:
+    """The root; an odd node moves up as it is."""
+    if not stack:
         return hashlib.sha256(b"").digest()
-    while len(leaves) > 1:
-        leaves = [hashlib.sha256(b"".join(leaves[i : i + 2])).digest() if i + 1 < len(leaves) else leaves[i] for i in range(0, len(leaves), 2)]
-    return leaves[0]
+    root = stack[-1][1]
+    for _, node in reversed(stack[:-1]):
+        root = hashlib.sha256(node + root).digest()
+    return root
 
 
-def _leaf(row: dict) -> bytes:
-    head = json.dumps([row["doc_id"], row["n_tokens"]]).encode()
-    return hashlib.sha256(head + b"".join(c["digest"] for c in row["chunks"])).digest()
+def merkle_root(leaves: Iterable[bytes]) -> bytes:
+    """Root over the leaves, in order."""
+    stack: list[tuple[int, bytes]] = []
+    for leaf in leaves:
+        merkle_push(stack, leaf)
+    return merkle_top(stack)
+
+
+def _leaves(recipes: DataFrame) -> DataFrame:
+    """``file, start, n_tokens, leaf`` of each recipe: the digest of its id, length and chunk names."""
+    head = F.concat_ws(",", F.coalesce(F.col("doc_id").cast("string"), F.lit("null")), F.col("n_tokens").cast("string"))
+    names = F.array_join(F.transform("chunks", lambda c: F.hex(c["digest"])), "")
+    return recipes.select("file", "start", "n_tokens", F.unhex(F.sha2(F.concat_ws(":", head, names), 256)).alias("leaf"))
 
 
 def _file_roots(recipes: DataFrame) -> DataFrame:
-    """One row per recipe file: its number, documents, ids and Merkle root.  Reads rows in file order."""
+    """One row per recipe file: its number, documents, ids and Merkle root over its leaves in file order."""
+    parts = max(1, int(recipes.sparkSession.conf.get("spark.sql.shuffle.partitions")))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        leaves: dict[int, list[bytes]] = {}
+        trees: dict[int, list[tuple[int, bytes]]] = {}
+        docs: dict[int, int] = {}
         totals: dict[int, int] = {}
         for batch in batches:
-            for row in batch.to_pylist():
-                leaves.setdefault(row["file"], []).append(_leaf(row))
-                totals[row["file"]] = totals.get(row["file"], 0) + row["n_tokens"]
-        if leaves:
+            for file, n, leaf in zip(*(batch.column(c).to_pylist() for c in ("file", "n_tokens", "leaf")), strict=True):
+                merkle_push(trees.setdefault(file, []), leaf)
+                docs[file] = docs.get(file, 0) + 1
+                totals[file] = totals.get(file, 0) + n
+        if trees:
             yield pa.RecordBatch.from_arrays(
-                [pa.array(list(leaves), pa.int64()), pa.array([len(x) for x in leaves.values()], pa.int64()), pa.array([totals[k] for k in leaves], pa.int64()), pa.array([merkle_root(x) for x in leaves.values()], pa.binary())],
+                [pa.array(list(trees), pa.int64()), pa.array([docs[k] for k in trees], pa.int64()), pa.array([totals[k] for k in trees], pa.int64()), pa.array([merkle_top(x) for x in trees.values()], pa.binary())],
                 ["file", "n_docs", "n_tokens", "merkle"],
             )
 
-    return recipes.select("file", "doc_id", "n_tokens", "chunks").mapInArrow(run, "file long, n_docs long, n_tokens long, merkle binary")
+    return _leaves(recipes).repartition(parts, "file").sortWithinPartitions("file", "start").mapInArrow(run, "file long, n_docs long, n_tokens long, merkle binary")
 
 
 def write_store(docs: DataFrame, path: str, tokenizer: str, end_id: int = END_ID, width: int | None = None) -> str:
@@ -333,8 +357,7 @@ def write_store(docs: DataFrame, path: str, tokenizer: str, end_id: int = END_ID
     running = F.sum("n_tokens").over(Window.partitionBy("file").orderBy("place").rowsBetween(Window.unboundedPreceding, -1))
     recipes = placed.join(base, "file").select("file", "doc_id", (F.col("base") + F.coalesce(running, F.lit(0))).alias("start"), "n_tokens", "chunks")
     recipes.write.parquet(f"{path}/recipes")
-    manifest = _file_roots(read_recipes(spark, path).repartition(parts, "file").sortWithinPartitions("file", "start"))
-    manifest.withColumn("width", F.lit(width)).write.parquet(f"{path}/manifest")
+    _file_roots(recipes).withColumn("width", F.lit(width)).write.parquet(f"{path}/manifest")
     return path
 
 
@@ -452,15 +475,26 @@ def join_crcs(parts: list[tuple[int, int]]) -> int:
     return crc
 
 
+def check_recipes(spark: SparkSession, path: str) -> None:
+    """Recompute the Merkle root of every recipe file as read; raises ValueError if the manifest says otherwise."""
+    told = read_manifest(spark, path).select("file", "n_docs", "n_tokens", "merkle")
+    both = settle(_file_roots(read_recipes(spark, path)), "roots").withColumn("side", F.lit(1)).unionByName(told.withColumn("side", F.lit(2)))
+    wrong = both.groupBy("file", "n_docs", "n_tokens", "merkle").agg(F.sum("side").alias("sides")).where("sides <> 3").select("file").first()
+    if wrong is not None:
+        raise ValueError(f"recipe file {wrong['file']} does not match the manifest")
+
+
 def document_digests(spark: SparkSession, path: str) -> DataFrame:
     """``doc_id, start, n_tokens, ids_crc32`` of every document, read back chunk by chunk.
 
-    Each stored chunk is read, verified and summed once; documents then join the
-    sums of their chunks, so no payload is shuffled again.
+    The recipes are verified against the manifest first.  Each stored chunk is read, verified and summed once;
+    documents then join the sums of their chunks, so no payload is shuffled again.  A document with a missing
+    chunk, or with another length than its recipe says, raises.
     """
-    parts = read_recipes(spark, path).select("doc_id", "start", F.posexplode("chunks").alias("at", "c")).select("doc_id", "start", "at", F.col("c.digest").alias("digest"))
-    held = parts.join(settle(check_chunks(spark, path), "sums"), "digest")
-    whole = held.groupBy("doc_id", "start").agg(F.array_sort(F.collect_list(F.struct("at", "n", "crc"))).alias("parts"))
+    check_recipes(spark, path)
+    parts = read_recipes(spark, path).select("doc_id", "start", "n_tokens", F.posexplode("chunks").alias("at", "c")).select("doc_id", "start", "n_tokens", "at", F.col("c.digest").alias("digest"))
+    held = parts.join(settle(check_chunks(spark, path), "sums"), "digest", "left")
+    whole = held.groupBy("doc_id", "start", "n_tokens").agg(F.array_sort(F.collect_list(F.struct("at", F.coalesce("n", F.lit(-1)).alias("n"), F.coalesce("crc", F.lit(0)).alias("crc")))).alias("parts"))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -468,17 +502,22 @@ def document_digests(spark: SparkSession, path: str) -> DataFrame:
             at = lists.offsets.to_numpy() - lists.offsets[0].as_py()
             n, crc = (lists.flatten().field(c).to_numpy() for c in ("n", "crc"))
             sizes = np.diff(np.concatenate(([0], np.cumsum(n)))[at])
+            wrong = np.flatnonzero(sizes != batch.column("n_tokens").to_numpy())
+            if len(wrong) or (n < 0).any():
+                raise ValueError(f"{max(1, len(wrong))} documents do not have the ids their recipes say")
             yield pa.RecordBatch.from_arrays([batch.column("doc_id"), batch.column("start"), pa.array(sizes), pa.array(join_many(at, crc, 4 * n).astype(np.int64))], ["doc_id", "start", "n_tokens", "ids_crc32"])
 
     return whole.mapInArrow(run, "doc_id long, start long, n_tokens long, ids_crc32 long")
 
 
 def verify(spark: SparkSession, path: str) -> bool:
-    """True if every chunk matches its digest and every recipe file its Merkle root."""
+    """True if every chunk matches its digest (else it raises) and every recipe file its Merkle root."""
     check_chunks(spark, path).agg(F.count("*")).collect()
-    parts = max(1, int(spark.conf.get("spark.sql.shuffle.partitions")))
-    now = _file_roots(read_recipes(spark, path).repartition(parts, "file").sortWithinPartitions("file", "start"))
-    return now.exceptAll(read_manifest(spark, path).select("file", "n_docs", "n_tokens", "merkle")).isEmpty()
+    try:
+        check_recipes(spark, path)
+    except ValueError:
+        return False
+    return True
 
 
 def store_root(spark: SparkSession, path: str) -> str:
