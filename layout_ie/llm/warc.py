@@ -2,8 +2,8 @@
 
 Writing: pages are dealt out by id, each task writes one ``.warc.gz`` file below
 a folder that executors share.  A file gets its final name by a rename when it is
-complete, and the name depends on the partition only, so a task that runs again
-replaces its own file.  Reading: a task feeds a file piece by piece to an
+complete, and the names depend on the partition only, so a task that runs again
+replaces its own files; a new file begins after ``ARCHIVE_BYTES``.  Reading: a task feeds a file piece by piece to an
 incremental decompressor, frames each record by its content length and verifies
 block and payload digests; memory holds one record at a time.
 
@@ -35,8 +35,8 @@ from .common import fresh_path, settle
 REVISIT_BYTES = 1000
 LEVEL = 6
 READ_BYTES = 1 << 16
-#: Longest header block that the reader takes.
-MAX_HEAD = 1 << 16
+#: A task begins a new archive after this many bytes.
+ARCHIVE_BYTES = 1 << 30
 DATE = "2000-01-01T00:00:00Z"
 PROFILE = "http://netpreserve.org/warc/1.1/revisit/identical-payload-digest"
 _NO_ID = 1 << 64
@@ -90,7 +90,7 @@ def read_records(stream: BinaryIO) -> Iterator[tuple[dict[str, str], bytes]]:
                 return
         member, body = zlib.decompressobj(31), bytearray()
         header: dict[str, str] | None = None
-        want = 0
+        want = looked = 0
         while not member.eof:
             if not rest:
                 rest = stream.read(READ_BYTES)
@@ -99,10 +99,9 @@ def read_records(stream: BinaryIO) -> Iterator[tuple[dict[str, str], bytes]]:
             body += member.decompress(rest)
             rest = member.unused_data if member.eof else b""
             if header is None:
-                end = body.find(b"\r\n\r\n")
+                end = body.find(b"\r\n\r\n", looked)
                 if end < 0:
-                    if len(body) > MAX_HEAD:
-                        raise ValueError("a record's header does not end")
+                    looked = max(0, len(body) - 3)
                     continue
                 lines = bytes(body[:end]).decode().split("\r\n")
                 if not lines[0].startswith("WARC/1."):
@@ -135,12 +134,15 @@ def write_archives(pages: DataFrame, path: str, least: int = REVISIT_BYTES) -> D
     """Write ``page_id, url, html`` below ``path``; returns the written list of files (path, n_records)."""
     spark = pages.sparkSession
     rows = pages.select(F.col("page_id").cast("long").alias("page_id"), F.col("url").cast("string").alias("url"), F.coalesce(F.col("html"), F.lit("")).cast("binary").alias("payload"))
-    rows = rows.withColumn("digest", F.when(F.octet_length("payload") >= least, F.sha1("payload")))
-    first = rows.where("digest is not null").groupBy(F.col("digest").alias("_digest")).agg(F.max("page_id").alias("_first"), F.count("*").alias("_n")).where("_n > 1").drop("_n")
-    first = settle(first, "first")
-    refers = F.when(F.col("page_id") < F.col("_first"), F.col("_first")).alias("refers_to")
+    # Only ids and digests decide which records are revisits; each payload is shuffled once, to where it is written.
+    ids = settle(rows.where(F.octet_length("payload") >= least).select("page_id", F.sha1("payload").alias("digest")), "digests")
+    first = ids.groupBy("digest").agg(F.max("page_id").alias("first"), F.count("*").alias("n")).where("n > 1")
+    again = settle(ids.join(settle(first, "first"), "digest").where("page_id < first").select("page_id", "digest", "first").distinct(), "revisits")
+    told = again.select(F.col("page_id").alias("_page"), F.col("digest").alias("_digest"), F.col("first").alias("refers_to"))
+    digest = F.when(F.octet_length("payload") >= least, F.sha1("payload"))
     parts = max(1, int(spark.conf.get("spark.sql.shuffle.partitions")))
-    told = rows.join(first, F.col("digest") == F.col("_digest"), "left").select("page_id", "url", "payload", refers).repartition(parts, "page_id")
+    spread = F.coalesce(F.col("page_id"), F.xxhash64("payload"))
+    told = rows.withColumn("digest", digest).join(told, (F.col("page_id") == F.col("_page")) & (F.col("digest") == F.col("_digest")), "left").select("page_id", "url", "payload", "refers_to").repartition(parts, spread)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         from pyarrow import fs
@@ -148,18 +150,31 @@ def write_archives(pages: DataFrame, path: str, least: int = REVISIT_BYTES) -> D
         store, folder = fs.FileSystem.from_uri(path)
         store.create_dir(folder, recursive=True)
         task = TaskContext.get()
-        name = f"{folder}/part-{task.partitionId():06d}.warc.gz"
-        trial, n = f"{name}.{task.taskAttemptId()}.tmp", 0
-        with store.open_output_stream(trial, compression=None) as out:
-            for batch in batches:
-                for i in range(batch.num_rows):  # one payload at a time
-                    out.write(make_record(*(batch.column(c)[i].as_py() for c in ("page_id", "url", "payload", "refers_to"))))
-                    n += 1
-        if not n:
-            store.delete_file(trial)
-            return
-        store.move(trial, name)
-        yield pa.RecordBatch.from_arrays([pa.array([f"{path}/{name.rsplit('/', 1)[1]}"]), pa.array([n], pa.int64())], ["path", "n_records"])
+        stem = f"{folder}/part-{task.partitionId():06d}"
+        names: list[str] = []
+        counts: list[int] = []
+        out, size = None, 0
+
+        def close() -> None:
+            nonlocal out, size
+            if out is not None:
+                out.close()
+                store.move(f"{names[-1]}.{task.taskAttemptId()}.tmp", names[-1])
+            out, size = None, 0
+
+        for batch in batches:
+            for i in range(batch.num_rows):  # one payload at a time
+                if out is None:
+                    names.append(f"{stem}-{len(names):06d}.warc.gz")
+                    counts.append(0)
+                    out = store.open_output_stream(f"{names[-1]}.{task.taskAttemptId()}.tmp", compression=None)
+                size += out.write(make_record(*(batch.column(c)[i].as_py() for c in ("page_id", "url", "payload", "refers_to"))))
+                counts[-1] += 1
+                if size >= ARCHIVE_BYTES:
+                    close()
+        close()
+        if names:
+            yield pa.RecordBatch.from_arrays([pa.array([f"{path}/{n.rsplit('/', 1)[1]}" for n in names]), pa.array(counts, pa.int64())], ["path", "n_records"])
 
     return settle(told.mapInArrow(run, "path string, n_records long"), "archives")
 
