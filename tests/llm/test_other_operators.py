@@ -7,6 +7,7 @@ from collections import Counter
 
 import numpy as np
 import pytest
+from pyspark.sql import functions as F
 
 from layout_ie.llm import chat, html_text, mixing, quality_model, token_store, warc
 from layout_ie.llm.common import fresh_path
@@ -97,6 +98,18 @@ def test_archives(spark):
     assert warc.round_trip(df.limit(0)).count() == 0
 
 
+def test_long_headers_and_full_archives(spark, monkeypatch):
+    """No header is too long to read, and a task's archives are cut without losing a record."""
+    url = "u" * 300_000
+    (head, block), = warc.read_records(io.BytesIO(warc.make_record(1, url, b"payload")))
+    assert head["warc-target-uri"] == url and warc.http_payload(block) == (7, b"payload")
+    pages = spark.createDataFrame([(i, url if i == 3 else f"u{i}", f"<p>{i}</p>" * 300) for i in range(40)], "page_id long, url string, html string")
+    monkeypatch.setattr(warc, "ARCHIVE_BYTES", 1)
+    files = warc.write_archives(pages, fresh_path(spark, "warc"))
+    assert files.agg(F.sum("n_records"), F.count("*"), F.countDistinct("path")).first() == (40, 40, 40)
+    assert sorted((r["page_id"], r["url"]) for r in warc.read_archives(files).collect()) == sorted((r["page_id"], r["url"]) for r in pages.collect())
+
+
 def test_damage_is_found():
     good = warc.make_record(1, "u", b"payload" * 300) + warc.make_record(2, "u", b"", None)
     assert len(list(warc.read_records(io.BytesIO(good)))) == 2
@@ -130,8 +143,23 @@ def test_mixing(spark):
         for r in sorted((r for r in plan if r["source"] == s and r["n_tokens"]), key=lambda r: r["place"]):
             assert r["place"] == at
             at += r["n_tokens"]
+    # Every copy has a block; a block holds each source's share, up to a document at either end.
+    filled = Counter()
+    for r in plan:
+        assert len(r["blocks"]) == r["copies"] and r["blocks"] == sorted(r["blocks"])
+        for b in r["blocks"]:
+            filled[r["source"], b] += r["n_tokens"]
+    last = max(b for _, b in filled)
+    assert last > 20
+    for (s, b), n in filled.items():
+        if b < last - 1 and s is not None:
+            assert n == pytest.approx(500 * weights[s], abs=60), (s, b)
+    stream = mixing.block_stream(spark.createDataFrame(plan, mixing.mix(frame(spark, [])).schema)).collect()
+    assert Counter((r["source"], r["block"]) for r in stream) == Counter((r["source"], b) for r in plan for b in r["blocks"])
     out = mixing.stage(frame(spark, data), max_epochs=2.5)
     assert out.columns == frame(spark, data).columns
+    told = {(r["doc_id"], r["source"]): r["copies"] for r in mixing.mix(frame(spark, data), max_epochs=2.5).collect() if r["doc_id"] is not None}
+    assert Counter(r["doc_id"] for r in out.select("doc_id").collect()) == Counter({d: n for (d, _), n in told.items()}) + Counter([None])
     assert {r[0] for r in out.select("doc_id").distinct().collect()} == {d[0] for d in data}
     assert mixing.mix(frame(spark, [])).count() == 0 and mixing.stage(frame(spark, [])).count() == 0
 
@@ -171,6 +199,25 @@ def test_chat_round_trip(spark):
     assert chat.digests(chat.format_turns(rows_.limit(0))).count() == 0
     with pytest.raises(ValueError):
         chat.format_turns(rows_.drop("role"))
+    # Another vocabulary of columns has another fingerprint and gives the same conversations.
+    named = rows_.drop("formatted").toDF("conversation_id", "message_index", "role", "content")
+    assert chat.table_layout(named.schema)[1].name == "message_rows" and chat.table_layout(rows_.schema)[1].name == "turn_rows"
+    assert chat.table_layout(named.schema)[0] != chat.table_layout(rows_.schema)[0]
+    assert sorted(map(str, chat.digests(chat.format_turns(named)).collect())) == sorted(map(str, chat.digests(formatted).collect()))
+    lone = spark.createDataFrame([(None, 0, "user", "a"), (None, 1, "user", "b"), (None, 0, "user", "a")], "conv_id long, turn long, role string, text string")
+    assert sorted(r["n_turns"] for r in chat.digests(chat.format_turns(lone)).collect()) == [1, 2]
+
+
+def test_table_fingerprints(spark):
+    """Python and the JVM name the same paths alike; typed tables of records go by their fields."""
+    table = spark.createDataFrame([(1, [("human", "q"), ("gpt", "a")]), (2, [])], "id int, conversations array<struct<from:string,value:string>>")
+    assert chat.schema_paths(table.schema) == ["id", "conversations", "conversations[].from", "conversations[].value"]
+    got = {r["id"]: r for r in chat.canonical_table(table, ("id",)).collect()}
+    assert [(t["role"], t["text"]) for t in got[1]["turns"]] == [("user", "q"), ("assistant", "a")] and got[2]["turns"] == []
+    known = [p for p in chat.schema_paths(table.schema) if p != "id"]
+    assert got[1]["fingerprint"] == chat.print_of(known) == spark.range(1).select(chat.paths_hash(F.array(*map(F.lit, known)))).first()[0]
+    with pytest.raises(ValueError):
+        chat.canonical_table(table.select("id"))
 
 
 def test_layouts(spark):
@@ -237,6 +284,29 @@ def test_store_damage_and_empty(spark):
     token_store.write_store(frame(spark, []), path, token_store.default_tokenizer())
     assert token_store.document_digests(spark, path).count() == 0
     assert token_store.merkle_root([b"a", b"b", b"c"]) != token_store.merkle_root([b"a", b"c", b"b"])
+    sha = lambda *x: hashlib.sha256(b"".join(x)).digest()
+    leaves = [bytes([i]) for i in range(7)]
+    assert token_store.merkle_root(leaves) == sha(sha(sha(leaves[0], leaves[1]), sha(leaves[2], leaves[3])), sha(sha(leaves[4], leaves[5]), leaves[6]))
+
+
+@pytest.mark.parametrize("damage", ["root", "recipe", "lost chunk"])
+def test_reading_a_damaged_store_raises(spark, damage):
+    path = fresh_path(spark, "tokens")
+    token_store.write_store(frame(spark), path, token_store.default_tokenizer())
+
+    def replace(table, df):
+        df.write.parquet(f"{path}/new")
+        spark.read.parquet(f"{path}/new").write.mode("overwrite").parquet(f"{path}/{table}")
+
+    if damage == "root":
+        replace("manifest", token_store.read_manifest(spark, path).withColumn("merkle", F.unhex(F.sha2(F.hex("merkle"), 256))))
+    elif damage == "recipe":
+        replace("recipes", token_store.read_recipes(spark, path).withColumn("n_tokens", F.col("n_tokens") + F.coalesce((F.col("doc_id") == 9).cast("long"), F.lit(0))))
+    else:
+        gone = token_store.read_chunks(spark, path).orderBy("digest").first()["digest"]
+        replace("rows/kind=chunk", spark.read.parquet(f"{path}/rows/kind=chunk").where(F.col("digest") != F.lit(bytes(gone))))
+    with pytest.raises(Exception, match="manifest|recipes"):
+        token_store.document_digests(spark, path).collect()
 
 
 @pytest.mark.parametrize("seed", range(3))
