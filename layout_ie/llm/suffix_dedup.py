@@ -6,18 +6,19 @@ need comparing only where their anchors agree:
 
 1. each document yields its anchors: the gram's hash, and a hash of all bytes
    of the windows that the anchor stands for (its context);
-2. grams that occur once are left out; contexts that occur twice or more are repeated
-   as a whole, without a look at their windows;
-3. of contexts that share a gram but differ, one representative each goes with
+2. grams that occur once are left out; contexts with equal hashes form a class;
+3. the members of a class go with their bytes to tasks that compare each with the class's
+   representative, byte by byte: equal ones are repeated as a whole;
+4. of classes that share a gram one representative each goes with
    its bytes to the task of the gram, which sorts all window suffixes deep-shallow:
    multikey quicksort on eight-byte characters down to a shallow depth, then blind
    tries for the groups with longer common prefixes, built a level at a time: each
    group takes a reference suffix, its members branch by the place and byte
    where they leave it.  Suffixes that reach ``length`` together are repeated.
 
-Grams with very many contexts are split by window offset and by a hash of the
-bytes that all windows of the offset range contain, so no gram makes one
-large task.  Hashes of contexts are 128 bits (gram and context).
+Hashes only bring together what is then compared.  A class is dealt to as many tasks as it
+needs, each with a copy of the representative.  A gram with very many classes is not sorted at once: each
+window of its representatives becomes a context of its own, and goes through steps 2 and 3.
 
 Defined results: a null or empty text has no bytes; a document shorter than
 ``length`` loses nothing; repeated rows are copies of each other and lose their windows
@@ -28,19 +29,20 @@ from __future__ import annotations
 
 import hashlib
 from collections.abc import Iterator
+from functools import reduce
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import drop_written, settle
+from .common import drop_written, release_memory, settle
 
 LENGTH, GRAM = 200, 64
 #: Bytes in one vectorised piece of a scan, at most 2**24 (a place takes 24 bits).
 PIECE = 1 << 20
-#: Contexts of a gram above which its windows are split; offsets in one split.
-HOT, SPLIT = 1500, 8
+#: Contexts of a gram above which its windows are compared one by one, and members of a class in one task.
+HOT, MEMBERS = 1500, 512
 #: Bytes sorted by multikey quicksort before blind tries take over.
 SHALLOW = 32
 #: Bytes of contexts that are sorted at once.
@@ -203,74 +205,119 @@ def deep_shallow(buf: np.ndarray, suffixes: np.ndarray, length: int = LENGTH, sh
     return out
 
 
-_CONTEXT_DDL = "spread long, doc_id long, tk long, first long, offset int, single boolean, body binary"
+_NEED = "kind", "gram", "context", "at", "salts", "single"
+#: What the bytes of a context are for: to be sorted, to compare members with, to be compared.
+SORTED, REPRESENTATIVE, MEMBER = 0, 1, 2
+_CONTEXT_DDL = "spread long, kind int, gram long, context long, doc_id long, tk long, first long, single boolean, body binary"
+
+
+def _unpack(at: int) -> tuple[int, int, int]:
+    return at >> 20, at >> 10 & 1023, at & 1023
+
+
+def _window_rows(docs: DataFrame, length: int) -> DataFrame:
+    """Each window of the contexts in ``need`` as a context of its own: rows like those of anchors."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        import xxhash
+
+        for batch in batches:
+            out: list[tuple] = []
+            for doc, tk, text, need in zip(*(batch.column(c).to_pylist() for c in ("doc_id", "tk", "text", "need")), strict=True):
+                for x in need:
+                    lo, n, offset = _unpack(x["at"])
+                    for i in range(n):
+                        context = xxhash.xxh64_intdigest(text[lo + i : lo + i + length], offset - i) - (1 << 63)
+                        out.append((doc, tk, x["gram"], context, lo + i << 20 | 1 << 10 | offset - i))
+            if out:
+                yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in zip(*out, strict=True)], ["doc_id", "tk", "gram", "context", "at"])
+
+    return docs.mapInArrow(run, "doc_id long, tk long, gram long, context long, at long")
 
 
 def _contexts(docs: DataFrame, length: int) -> DataFrame:
-    """Bytes of the representatives that ``need`` lists per document, dealt by gram, or finer if the gram is hot."""
+    """Bytes of the contexts that ``need`` lists per document, with the number (``spread``) by which they are dealt."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        import struct
+
         import xxhash
 
+        deal = lambda kind, *numbers: xxhash.xxh64_intdigest(struct.pack(f"<{len(numbers)}q", *numbers), kind) - (1 << 63)
         for batch in batches:
             rows = []
-            for doc, tk, text, need in zip(batch.column("doc_id").to_pylist(), batch.column("tk").to_pylist(), batch.column("text").to_pylist(), batch.column("need").to_pylist(), strict=True):
+            for doc, tk, text, need in zip(*(batch.column(c).to_pylist() for c in ("doc_id", "tk", "text", "need")), strict=True):
                 for x in need:
-                    lo, n, offset = x["at"] >> 20, x["at"] >> 10 & 1023, x["at"] & 1023
-                    if not x["hot"]:
-                        rows.append((x["gram"], doc, tk, lo, offset, x["single"], text[lo : lo + n + length - 1]))
-                        continue
-                    # Windows by offset range; every window of a range holds the bytes ``common``.
-                    i = 0
-                    while i < n:
-                        bin_ = (offset - i) // SPLIT
-                        j = min(n - 1, i + (offset - i) - bin_ * SPLIT)
-                        anchor = lo + offset
-                        common = text[anchor - bin_ * SPLIT : anchor - (bin_ + 1) * SPLIT + 1 + length]
-                        spread = xxhash.xxh64_intdigest(common, bin_) - (1 << 63)
-                        rows.append((spread, doc, tk, lo + i, offset - i, x["single"], text[lo + i : lo + j + length]))
-                        i = j + 1
+                    kind, gram, context, salts = x["kind"], x["gram"], x["context"], x["salts"]
+                    lo, n, _ = _unpack(x["at"])
+                    body = text[lo : lo + n + length - 1]
+                    if kind == SORTED:
+                        rows.append((deal(0, gram), kind, gram, context, doc, tk, lo, x["single"], body))
+                    elif kind == MEMBER:
+                        rows.append((deal(1, gram, context, deal(2, tk, lo) % salts), kind, gram, context, doc, tk, lo, False, body))
+                    else:
+                        rows += [(deal(1, gram, context, i), kind, gram, context, doc, tk, lo, False, body) for i in range(salts)]
             if rows:
-                cols = list(zip(*rows, strict=True))
-                types = (pa.int64(), pa.int64(), pa.int64(), pa.int64(), pa.int32(), pa.bool_(), pa.binary())
-                yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, types, strict=True)], ["spread", "doc_id", "tk", "first", "offset", "single", "body"])
+                types = (pa.int64(), pa.int32(), pa.int64(), pa.int64(), pa.int64(), pa.int64(), pa.int64(), pa.bool_(), pa.binary())
+                yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows, strict=True), types, strict=True)], ["spread", "kind", "gram", "context", "doc_id", "tk", "first", "single", "body"])
 
     return docs.mapInArrow(run, _CONTEXT_DDL)
 
 
-def _sorted_runs(contexts: DataFrame, length: int) -> DataFrame:
-    """Runs of repeated windows of single contexts: ``doc_id, tk, first, n``.  Rows come sorted by spread."""
+_RUNS = ("doc_id", "tk", "first", "n")
+
+
+def _run_rows(rows: list[tuple]) -> pa.RecordBatch:
+    columns = zip(*rows, strict=True) if rows else [[] for _ in _RUNS]
+    return pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in columns], list(_RUNS))
 
-    def judge(rows: list[tuple]) -> pa.RecordBatch:
-        bodies = [r[5] for r in rows]
-        buf = np.frombuffer(b"".join(bodies), np.uint8)
-        sizes = np.array([len(b) for b in bodies])
+
+def _decided_runs(contexts: DataFrame, length: int) -> DataFrame:
+    """Runs of repeated windows: ``doc_id, tk, first, n``.  Rows come sorted by spread, gram, context and kind."""
+
+    def judge(held: list[tuple]) -> list[tuple]:
+        """Sort the window suffixes of whole grams; runs of the contexts that occur once."""
+        sizes = np.array([len(r[4]) for r in held])
+        buf = np.frombuffer(b"".join(r[4] for r in held), np.uint8)
         base = np.cumsum(sizes) - sizes
         n = sizes - length + 1
-        owner = np.repeat(np.arange(len(rows)), n)
+        owner = np.repeat(np.arange(len(held)), n)
         inner = np.arange(len(owner)) - np.repeat(np.cumsum(n) - n, n)
         twin = deep_shallow(buf, base[owner] + inner, length) >= 0
-        hit = np.flatnonzero(twin & np.array([r[4] for r in rows])[owner])
+        hit = np.flatnonzero(twin & np.array([r[3] for r in held])[owner])
         if not len(hit):
-            return pa.RecordBatch.from_pydict({k: pa.array([], pa.int64()) for k in ("doc_id", "tk", "first", "n")})
+            return []
         cut = np.flatnonzero(np.concatenate(([True], (np.diff(hit) != 1) | (owner[hit][1:] != owner[hit][:-1]))))
-        who, runs = owner[hit][cut].tolist(), np.diff(np.append(cut, len(hit)))
-        first = inner[hit][cut] + np.array([rows[w][2] for w in who])
-        return pa.RecordBatch.from_arrays([pa.array([rows[w][0] for w in who], pa.int64()), pa.array([rows[w][1] for w in who], pa.int64()), pa.array(first), pa.array(runs)], ["doc_id", "tk", "first", "n"])
+        who, first, runs = owner[hit][cut].tolist(), inner[hit][cut].tolist(), np.diff(np.append(cut, len(hit))).tolist()
+        return [(held[w][0], held[w][1], held[w][2] + f, r) for w, f, r in zip(who, first, runs, strict=True)]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held: list[tuple] = []
         size, last = 0, None
+        known, body_of_class = None, b""
         for batch in batches:
-            for spread, *row in zip(*(batch.column(c).to_pylist() for c in ("spread", "doc_id", "tk", "first", "offset", "single", "body")), strict=True):
-                if spread != last and size >= SORT_BYTES:
-                    yield judge(held)
-                    held, size = [], 0
-                held.append(tuple(row))
-                size += len(row[5])
-                last = spread
+            out: list[tuple] = []
+            columns = (batch.column(c).to_pylist() for c in ("spread", "kind", "gram", "context", "doc_id", "tk", "first", "single", "body"))
+            for spread, kind, gram, context, doc, tk, first, single, body in zip(*columns, strict=True):
+                if kind == SORTED:
+                    if spread != last and size >= SORT_BYTES:
+                        out += judge(held)
+                        held, size = [], 0
+                    held.append((doc, tk, first, single, body))
+                    size += len(body)
+                    last = spread
+                elif kind == REPRESENTATIVE:
+                    known, body_of_class = (spread, gram, context), body
+                elif (spread, gram, context) != known or body != body_of_class:
+                    raise ValueError("different contexts have one 128-bit hash")
+                else:
+                    out.append((doc, tk, first, len(body) - length + 1))
+            if out:
+                yield _run_rows(out)
         if held:
-            yield judge(held)
+            yield _run_rows(judge(held))
+        del held
+        release_memory()
 
     return contexts.mapInArrow(run, "doc_id long, tk long, first long, n long")
 
@@ -289,22 +336,50 @@ def repeated_windows(docs: DataFrame, text: str = "text", length: int = LENGTH,
     often = settle(found.groupBy("gram").agg(F.count("*").alias("_n")).where("_n > 1").select("gram"), "often")
     shared = settle(found.join(often, "gram", "left_semi"), "shared")
     drop_written(found)
-    classes = settle(shared.groupBy("gram", "context").agg(F.count("*").alias("copies"), F.min(F.struct("doc_id", "tk", "at")).alias("rep")), "contexts")
+    classes = _classes(shared, "contexts")
     per_gram = settle(classes.groupBy("gram").agg(F.count("*").alias("contexts")).where("contexts > 1"), "grams")
-    whole = shared.join(classes.where("copies > 1").select("gram", "context"), ["gram", "context"], "left_semi").select(
-        "doc_id", "tk", F.shiftright("at", 20).alias("first"), F.shiftright("at", 10).bitwiseAND(1023).alias("n")
-    )
-    need = (
-        classes.join(per_gram, "gram")
-        .select("rep.doc_id", "rep.tk", F.struct("gram", F.col("rep.at").alias("at"), (F.col("contexts") > HOT).alias("hot"), (F.col("copies") == 1).alias("single")).alias("x"))
-        .groupBy("doc_id", "tk")
-        .agg(F.collect_list("x").alias("need"))
-    )
-    joined = rows.join(settle(need, "need").select(F.col("doc_id").alias("_d"), F.col("tk").alias("_t"), "need"), F.col("doc_id").eqNullSafe(F.col("_d")) & (F.col("tk") == F.col("_t"))).select("doc_id", "tk", "text", "need")
+    need = [_members(shared, classes), _asked(classes.join(per_gram.where(F.col("contexts") <= HOT), "gram"), SORTED)]
+    hot = per_gram.where(F.col("contexts") > HOT)
+    if not hot.isEmpty():
+        asked = _asked(classes.join(hot, "gram"), SORTED)
+        windows = settle(_window_rows(_with_need(rows, asked), length), "windows")
+        need.append(_members(windows, _classes(windows, "windowed")))
+    joined = _with_need(rows, reduce(DataFrame.unionByName, need))
     parts = max(1, int(spark.conf.get("spark.sql.shuffle.partitions")))
-    contexts = _contexts(joined, length).repartition(parts, "spread").sortWithinPartitions("spread")
-    runs = settle(_sorted_runs(contexts, length), "runs")
-    return runs.unionByName(whole)
+    order = ("spread", "gram", "context", "kind")
+    contexts = _contexts(joined, length).repartition(parts, "spread").sortWithinPartitions(*order)
+    return settle(_decided_runs(contexts, length).distinct(), "runs")
+
+
+def _classes(contexts: DataFrame, label: str) -> DataFrame:
+    """``gram, context, copies, rep`` of contexts with equal hashes."""
+    return settle(contexts.groupBy("gram", "context").agg(F.count("*").alias("copies"), F.min(F.struct("doc_id", "tk", "at")).alias("rep")), label)
+
+
+def _salts(copies: str = "copies"):  # noqa: ANN202
+    return F.ceil(F.col(copies) / MEMBERS).cast("int")
+
+
+def _asked(classes: DataFrame, kind: int) -> DataFrame:
+    """What is needed of the representatives' documents."""
+    return classes.select(
+        "rep.doc_id", "rep.tk", F.lit(kind).alias("kind"), "gram", "context", "rep.at", _salts().alias("salts"), (F.col("copies") == 1).alias("single")
+    )
+
+
+def _members(contexts: DataFrame, classes: DataFrame) -> DataFrame:
+    """What is needed of all documents in classes of two or more, and of the representatives."""
+    many = classes.where("copies > 1")
+    own = contexts.join(many.select("gram", "context", "copies"), ["gram", "context"])
+    own = own.select("doc_id", "tk", F.lit(MEMBER).alias("kind"), "gram", "context", "at", _salts().alias("salts"), F.lit(False).alias("single"))
+    return own.unionByName(_asked(many, REPRESENTATIVE))
+
+
+def _with_need(rows: DataFrame, asked: DataFrame) -> DataFrame:
+    """The documents that are asked for, each with what is needed of it; repeated rows need the same once."""
+    need = settle(asked.distinct().groupBy("doc_id", "tk").agg(F.collect_list(F.struct(*_NEED)).alias("need")), "need")
+    need = need.select(F.col("doc_id").alias("_d"), F.col("tk").alias("_t"), "need")
+    return rows.join(need, F.col("doc_id").eqNullSafe(F.col("_d")) & (F.col("tk") == F.col("_t"))).select("doc_id", "tk", "text", "need")
 
 
 def remove_repeats(docs: DataFrame, text: str = "text", length: int = LENGTH, gram: int = GRAM) -> DataFrame:

@@ -201,14 +201,27 @@ def test_byte_repeats(spark):
 
 def test_hot_grams_and_small_pieces(spark, monkeypatch):
     """A phrase that many documents share in different surroundings, split finely."""
+    """Windows of hot grams become contexts of their own; classes of many members go to several tasks."""
     monkeypatch.setattr(suffix_dedup, "HOT", 3)
+    monkeypatch.setattr(suffix_dedup, "MEMBERS", 4)
     monkeypatch.setattr(suffix_dedup, "PIECE", 700)
     line = prose(25, 8)
     data = [(i, prose(30, 100 + i % 9) + line + prose(30, 200 + i % 7), "en", "s", 1, *TAIL) for i in range(40)]
+    data += [data[3], data[3], (None, data[5][1], *data[5][2:]), (None, prose(90, 5), *data[5][2:]), (None, prose(90, 5), *data[5][2:])]
     got = Counter((r["doc_id"], r["n_bytes"], r["n_removed"], r["n_spans"], r["kept_sha256"]) for r in suffix_dedup.remove_repeats(frame(spark, data)).collect())
     assert got == Counter(suffix_dedup.brute_force([r[:2] for r in data]))
 
 
+def test_equal_hashes_are_not_taken_for_equal_bytes(spark):
+    """Members of a class are compared with its representative; a difference raises."""
+    row = lambda kind, doc, body: (7, kind, 1, 2, doc, 0, 0, False, body)
+    rows_ = spark.createDataFrame([row(suffix_dedup.REPRESENTATIVE, 1, b"a" * 200), row(suffix_dedup.MEMBER, 1, b"a" * 200), row(suffix_dedup.MEMBER, 2, b"a" * 200)], suffix_dedup._CONTEXT_DDL).coalesce(1)
+    assert [tuple(r) for r in suffix_dedup._decided_runs(rows_, 200).collect()] == [(1, 0, 0, 1), (2, 0, 0, 1)]
+    other = rows_.unionByName(spark.createDataFrame([row(suffix_dedup.MEMBER, 3, b"b" * 200)], suffix_dedup._CONTEXT_DDL)).coalesce(1).sortWithinPartitions("kind")
+    with pytest.raises(Exception, match="hash"):
+        suffix_dedup._decided_runs(other, 200).collect()
+
+
 def test_deep_shallow_sorting():
     r = np.random.default_rng(4)
     text = bytes(r.integers(97, 99, 400, dtype=np.uint8)) * 3 + bytes(r.integers(97, 100, 600, dtype=np.uint8))
