@@ -1,15 +1,20 @@
 """Main text of web pages by two-pass block rules.
 
 A page is cut into blocks of text between block-level tags.  Pass one labels a
-block by where it stands (inside an article, or inside a menu, form, notice and
-the like), its link density, its length and its stop-word density; blocks
+block by its link density, its length and its stop-word density, and by where it stands: inside an article
+little is needed, in the open page much, inside a menu, form, notice and the like nothing helps.  Runs of blocks that
+are all link are menus wherever they stand.  Blocks
 that are short or in between stay ambiguous.  Pass two gives each ambiguous block
 the label of its nearest decided neighbours of the same region; the nearer one
 wins, and a tie goes to the text.  Inside an article ambiguous blocks without a
 decided neighbour are text, elsewhere they are not.
 
+Stop words count only where the page is in a language whose words are listed, which its long blocks tell; other
+languages go by length and links.  A character of a script without blanks counts as three.
+
 A class marks an element by a whole token or a token's first or last part, unless a part tells a state; it
-does not count for the first article or main inside it.
+does not count for the first article or main inside it, nor where a page would be left without a text.  An article that
+holds next to nothing beside a long open page is not taken for the article.
 
 Defined results: a null or empty html gives an empty text; unclosed tags end
 with their parent, an unclosed comment, script or style runs to the end;
@@ -62,6 +67,12 @@ IMPLIED = {
 LINK_BAD, LINK_MAIN_BAD = 0.34, 0.9
 SHORT, LONG = 70, 200
 STOP_LOW, STOP_HIGH = 0.2, 0.3
+#: Share of stop words in the long blocks of a page from which its language counts as listed.
+LISTED = 0.1
+#: Blocks in a row that are all link: a menu.
+MENU = 3
+#: Scripts that are written without blanks: from the radicals to the compatibility ideographs, and Thai to Khmer.
+_DENSE = re.compile("[\u2e80-\ud7a3\uf900-\ufaff\u0e00-\u0eff\u1000-\u109f\u1780-\u17ff]")
 
 _TAG = re.compile(
     r"<!--.*?(?:-->|\Z)|<(?:svg|math)\b(?:[^\"'>]++|\"[^\"]*\"|'[^']*')*+(?<=/)>|<(?P<raw>" + "|".join(RAW) + r")\b(?:[^\"'>]++|\"[^\"]*\"|'[^']*')*+>.*?(?:</(?P=raw)\s*+[^>]*>|\Z)"
@@ -77,7 +88,7 @@ _NAME_PARTS = re.compile(r"[a-z]+")
 class Block:
     text: str
     link_chars: int
-    region: str  # "main", "aside" or "page"
+    region: str  # "main", "aside" (by kind), "marked" (by class) or "page"
     label: str = ""
 
 
@@ -121,7 +132,7 @@ def blocks(html: str) -> list[Block]:
         if parts:
             text = " ".join("".join(parts).split())
             if text:
-                out.append(Block(text, linked, "aside" if aside or marked else "main" if main else "page"))
+                out.append(Block(text, linked, "aside" if aside else "marked" if marked else "main" if main else "page"))
         parts, linked = [], 0
 
     def say(text: str) -> None:
@@ -190,22 +201,61 @@ def blocks(html: str) -> list[Block]:
     return out
 
 
+def link_density(b: Block) -> float:
+    return b.link_chars / max(1, len(b.text))
+
+
+def size_of(b: Block) -> int:
+    return len(b.text) + 2 * len(_DENSE.findall(b.text))
+
+
+def _stops(b: Block) -> tuple[int, int]:
+    words = b.text.lower().split()
+    return sum(w.strip(".,;:!?\"'()") in STOP_WORDS for w in words), len(words)
+
+
+def listed_language(found: list[Block]) -> bool:
+    """Whether the long blocks of the page, links left out, are in a language whose stop words are listed."""
+    counts = [_stops(b) for b in found if size_of(b) >= SHORT and link_density(b) <= LINK_BAD]
+    return sum(c for c, _ in counts) >= LISTED * max(1, sum(n for _, n in counts))
+
+
+def menus(found: list[Block]) -> set[int]:
+    """Places of the blocks that stand in runs of ``MENU`` or more blocks that are all link."""
+    out: set[int] = set()
+    run: list[int] = []
+    for i, b in enumerate([*found, Block("", 0, "")]):
+        if b.text and link_density(b) > LINK_MAIN_BAD and (not run or found[run[-1]].region == b.region):
+            run.append(i)
+            continue
+        out |= set(run) if len(run) >= MENU else set()
+        run = [i] if b.text and link_density(b) > LINK_MAIN_BAD else []
+    return out
+
+
+def main_counts(found: list[Block]) -> bool:
+    """Whether what is tagged as the article holds the page's text: not if it is less than a short block beside much open text."""
+    inside = sum(size_of(b) for b in found if b.region == "main")
+    prose = sum(size_of(b) for b in found if b.region == "page" and size_of(b) >= LONG and link_density(b) <= LINK_BAD)
+    return inside > 0 and (inside >= SHORT or prose < 3 * LONG)
+
+
 def first_labels(found: list[Block]) -> None:
     """Pass one: good, bad, or ambiguous (empty)."""
-    has_main = any(b.region == "main" for b in found)
-    for b in found:
-        density = b.link_chars / max(1, len(b.text))
-        words = b.text.lower().split()
-        stop = sum(w.strip(".,;:!?\"'()") in STOP_WORDS for w in words) / max(1, len(words))
-        if b.region == "aside" or (has_main and b.region == "page"):
+    has_main, listed, menu = main_counts(found), listed_language(found), menus(found)
+    for i, b in enumerate(found):
+        density, size = link_density(b), size_of(b)
+        hits, n = _stops(b)
+        stop = hits / max(1, n) if listed else 1.0
+        if b.region in ("aside", "marked") or i in menu or (has_main and b.region == "page"):
             b.label = "bad"
-        elif b.region == "main":
-            b.label = "bad" if density > LINK_MAIN_BAD and len(b.text) > SHORT else "good" if len(b.text) >= SHORT and stop >= STOP_LOW else ""
+        elif b.region == "main" and has_main:
+            b.label = "bad" if density > LINK_MAIN_BAD and size > SHORT else "good" if size >= SHORT and stop >= STOP_LOW else ""
         elif density > LINK_BAD:
             b.label = "bad"
-        elif len(b.text) < SHORT:
+        elif size < SHORT:
             b.label = ""
-        elif stop >= STOP_HIGH and len(b.text) >= LONG:
+        elif stop >= STOP_HIGH and size >= LONG:
             b.label = "good"
         else:
             b.label = "" if stop >= STOP_LOW else "bad"
@@ -229,11 +279,24 @@ def second_labels(found: list[Block]) -> None:
             b.label = min(sides)[2] if sides else "good" if b.region == "main" else "bad"
 
 
+def label(found: list[Block]) -> None:
+    if not main_counts(found):
+        for b in found:
+            b.region = "page" if b.region == "main" else b.region
+    first_labels(found)
+    second_labels(found)
+    if not any(b.label == "good" for b in found) and any(b.region == "marked" for b in found):
+        # A class alone is no reason to leave a page without its text.
+        for b in found:
+            b.region, b.label = "page" if b.region == "marked" else b.region, ""
+        first_labels(found)
+        second_labels(found)
+
+
 def main_text(html: str | None) -> str:
     """Text blocks of the article, one a line."""
     found = blocks(html or "")
-    first_labels(found)
-    second_labels(found)
+    label(found)
     return "\n".join(b.text for b in found if b.label == "good")
 
 
