@@ -3,13 +3,17 @@
 from __future__ import annotations
 
 import re
+from collections.abc import Iterable
 
 import pandas as pd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from ..operators.align import aligned
+from ..functions.predicates import within
+from ..model import Box
+
+_TOKEN = re.compile(r"[A-Za-z0-9_]+")
 
 
 def udf_match(pattern: str):  # noqa: ANN201
@@ -27,6 +31,18 @@ def udf_phrase(phrase: str):  # noqa: ANN201
     return udf_match(r"(?i)(?<![A-Za-z0-9_])" + re.escape(phrase) + r"(?![A-Za-z0-9_])")
 
 
+def udf_dictionary(terms: Iterable[str]):  # noqa: ANN201
+    """Dictionary matching in Python: whether a text holds one of the entries as whole words."""
+    keys = sorted({k for t in terms if (k := " ".join(_TOKEN.findall(t.lower())))})
+
+    @F.pandas_udf(T.BooleanType())
+    def matches(text: pd.Series) -> pd.Series:
+        found = text.map(lambda t: f" {' '.join(_TOKEN.findall(t.lower()))} " if t is not None else "")
+        return found.map(lambda t: any(f" {k} " in t for k in keys))
+
+    return matches
+
+
 # ---------------------------------------------------------------- general geometry
 def ring(x_l: Column, y_l: Column, x_h: Column, y_h: Column) -> Column:
     """Corners of a rectangle as a closed polygon (x, y, x, y, ...)."""
@@ -116,12 +132,42 @@ def right_of_match_per_page(nested: DataFrame, heading_pattern: str, match_patte
     return two.select("page_id", F.explode(F.transform(F.filter("regions", right), lambda s: s["region_id"])).alias("region_id"))
 
 
-def left_bar_per_page(nested: DataFrame, n: int, x_l: int, y_l: int, x_h: int) -> DataFrame:
-    """The first task on nested pages, unnested for its groups only."""
-    flat = nested.select("page_id", F.inline("regions"))
-    groups = aligned(flat.where(F.col("x_l") >= x_l), "column")
-    from pyspark.sql import Window
+def _holds(pattern: str):  # noqa: ANN202
+    return lambda r: F.coalesce(r["text"].rlike(pattern), F.lit(False))
+
+
+def _ids(page: Column) -> Column:
+    return F.explode(F.transform(page, lambda r: r["region_id"])).alias("region_id")
+
+
+def _edges_of(r: Column) -> Box:
+    return Box(r["x_l"], r["y_l"], r["x_h"], r["y_h"])
+
+
+def left_bar_per_page(nested: DataFrame, n: int, box: Box) -> DataFrame:
+    """The first task inside one row: each region's column is gathered and its bounds are tested."""
+    bar = F.filter("regions", lambda r: r["x_l"] >= box.x_l) if box.x_l is not None else F.col("regions")
+    edge = lambda xs, name, best: best(F.transform(xs, lambda x: x[name]))
+
+    def column(key: Column) -> Column:
+        own = F.filter("_bar", lambda r: r["x_l"] == key)
+        bound = Box(key, edge(own, "y_l", F.array_min), edge(own, "x_h", F.array_max), edge(own, "y_h", F.array_max))
+        return F.when((F.size(own) > n) & within(bound, box), own)
+
+    keys = F.array_distinct(F.transform("_bar", lambda r: r["x_l"]))
+    groups = F.filter(F.transform(keys, column), lambda g: g.isNotNull())
+    return nested.select("page_id", bar.alias("_bar")).select("page_id", _ids(F.flatten(groups)))
+
+
+def top_term_per_page(nested: DataFrame, pattern: str, box: Box) -> DataFrame:
+    """The second task inside one row."""
+    return nested.select("page_id", _ids(F.filter("regions", lambda r: within(_edges_of(r), box) & _holds(pattern)(r))))
+
 
-    w = Window.partitionBy("page_id", "group_key", "island")
-    sized = groups.withColumns({"_n": F.count("*").over(w), "_y": F.min("y_l").over(w), "_x": F.max("x_h").over(w)})
-    return sized.where((F.col("_n") > n) & (F.col("_y") >= y_l) & (F.col("_x") <= x_h)).select("page_id", "region_id")
+def names_per_page(nested: DataFrame, heading_pattern: str, patterns: list[str]) -> DataFrame:
+    """The third task inside one row; a set."""
+    heads, found = F.filter("regions", _holds(heading_pattern)), F.filter("regions", _holds("|".join(f"(?:{p})" for p in patterns)))
+    south = lambda v, h: (v["y_l"] >= h["y_h"]) & (v["x_l"] >= h["x_l"]) & (v["x_h"] <= h["x_h"])
+    east = lambda v, h: (v["x_l"] >= h["x_h"]) & (v["y_l"] >= h["y_l"]) & (v["y_h"] <= h["y_h"])
+    one = nested.select("page_id", heads.alias("_heads"), found.alias("_found"))
+    return one.select("page_id", _ids(F.filter("_found", lambda v: F.exists("_heads", lambda h: south(v, h) | east(v, h)))))

@@ -52,6 +52,31 @@ def speedup(times: dict[str, float], base: str = "none") -> dict[str, float]:
     return {k: times[base] / v for k, v in times.items()}
 
 
+def work_of(make: Callable[[], DataFrame]) -> dict[str, int]:
+    """What one run reads and moves, as the executors counted it: rows and bytes read, bytes shuffled, tasks."""
+    import uuid
+
+    df = make()
+    context = df.sparkSession.sparkContext
+    group = uuid.uuid4().hex
+    context.setJobGroup(group, "measured run")
+    try:
+        df.write.format("noop").mode("overwrite").save()
+    finally:
+        context.setLocalProperty("spark.jobGroup.id", None)
+    tracker, store = context.statusTracker(), context._jsc.sc().statusStore()
+    stages = {s for j in tracker.getJobIdsForGroup(group) for s in tracker.getJobInfo(j).stageIds}
+    out = {"rows_read": 0, "bytes_read": 0, "bytes_shuffled": 0, "tasks": 0}
+    for s in sorted(stages):
+        try:
+            stage = store.lastStageAttempt(s)
+        except Exception:  # noqa: BLE001  a stage that was skipped has no attempt
+            continue
+        for key, value in zip(out, (stage.inputRecords(), stage.inputBytes(), stage.shuffleWriteBytes(), stage.numCompleteTasks()), strict=True):
+            out[key] += value
+    return out
+
+
 def plan_counts(df: DataFrame) -> dict[str, int]:
     """Operators in the executed plan that cost most: scans, exchanges, sorts, joins, Python."""
     import re

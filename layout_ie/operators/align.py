@@ -27,11 +27,16 @@ def aligned(vs: DataFrame, axis: str = "column", consecutive: bool = False, max_
     ``consecutive`` splits a group where another span of ``vs`` stands between neighbours:
     one whose extent across overlaps theirs and which meets the open gap between
     them (``geometric``), or any span between them in document order (``order``).
-    ``max_dist`` splits it where the gap is longer.
+    ``max_dist`` splits it where the gap is longer.  ``edge`` is another shared edge, or ``centre``: then the key
+    is twice the centre across the axis, a whole number.
     """
     default, lo, hi, a_lo, a_hi = AXES[axis]
     edge = edge or default
-    keyed = _tolerant_key(vs, edge, tol) if tol else vs.withColumn("_key", F.col(edge))
+    if edge == "centre":
+        keyed = vs.withColumn("_centre", F.col(a_lo) + F.col(a_hi))
+        keyed = _tolerant_key(keyed, "_centre", tol) if tol else keyed.withColumn("_key", F.col("_centre"))
+    else:
+        keyed = _tolerant_key(vs, edge, tol) if tol else vs.withColumn("_key", F.col(edge))
     w = Window.partitionBy("page_id", "_key").orderBy(lo, hi, "region_id")
     out = keyed.withColumns({"_prev_hi": F.lag(hi).over(w), "_prev_a": F.lag(a_lo).over(w), "_prev_b": F.lag(a_hi).over(w), "_first": F.row_number().over(w) == 1})
     cut: Column = F.lit(False)

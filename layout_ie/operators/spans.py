@@ -9,11 +9,14 @@ from __future__ import annotations
 
 import re
 from collections.abc import Callable, Iterator
+from re import _parser as sre
 
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from ..session import ship
+
 MATCHES = "array<struct<begin:bigint,end:bigint,matched:string>>"
 
 
@@ -94,42 +97,67 @@ def _running(pairs: Column) -> Column:
     return F.flatten(F.transform(parts, lambda p: p["out"]))
 
 
-def regex_spans(docs: DataFrame, pattern: str, text: str = "text", keep: tuple[str, ...] = ("doc_id",)) -> DataFrame:
-    """Span and text of every match.  Patterns that can match nothing take the Arrow way."""
-    if re.compile(pattern).match("") is not None:
-        return regex_spans_arrow(docs, pattern, text, keep)
+#: What Java and not Python writes: a property class, which takes one character.
+_JAVA_CLASS = re.compile(r"\\[pP](?:\{[^}]*\}|\w)")
+_ZERO_WIDTH = re.compile(r"\\[bBAGZz]|[\^$]|\(\?<?[=!]")
+
+
+def may_match_nothing(pattern: str) -> bool:
+    """True if some match of the pattern may be empty: anchors and look-arounds take no width.
+
+    A pattern whose width cannot be told is taken to have empty matches if it has parts without width.
+    """
+    try:
+        return sre.parse(_JAVA_CLASS.sub("x", pattern)).getwidth()[0] == 0
+    except re.error:
+        return _ZERO_WIDTH.search(pattern) is not None
+
+
+def regex_spans(docs: DataFrame, pattern: str, text: str = "text", keep: tuple[str, ...] = ("doc_id",), flags: str = "", group: int = 0) -> DataFrame:
+    """Span and text of every match; ``flags`` are letters as in ``(?i)``, ``group`` the part that is the span.
+
+    Patterns that may match nothing and spans of groups take the Arrow way, all others stay on the JVM.
+    """
+    pattern = f"(?{flags}){pattern}" if flags else pattern
+    if group or may_match_nothing(pattern):
+        return regex_spans_arrow(docs, pattern, text, keep, group)
     return docs.select(*keep, F.inline(match_offsets(F.col(text), pattern)))
 
 
-def regex_spans_arrow(docs: DataFrame, pattern: str, text: str = "text", keep: tuple[str, ...] = ("doc_id",), group: int = 0) -> DataFrame:
-    """The same by Python's engine, for groups and empty matches."""
+def _arrow_rows(docs: DataFrame, text: str, keep: tuple[str, ...], find: Callable[[str], Iterator[tuple[int, int, str]]], last: str) -> DataFrame:
+    """``keep``, begin, end and ``last`` for all that ``find`` yields of each text."""
+    ship(docs.sparkSession)
     rows = docs.select(*keep, F.col(text).alias("_text"))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        rx = re.compile(pattern, re.ASCII)
         for batch in batches:
             at, begin, end, said = [], [], [], []
             for i, t in enumerate(batch.column(len(keep)).to_pylist()):
-                for m in rx.finditer(t or ""):
+                for b, e, m in find(t or ""):
                     at.append(i)
-                    begin.append(m.start(group))
-                    end.append(m.end(group))
-                    said.append(m.group(group))
+                    begin.append(b)
+                    end.append(e)
+                    said.append(m)
             taken = [c.take(pa.array(at, pa.int64())) for c in batch.columns[: len(keep)]]
-            yield pa.RecordBatch.from_arrays([*taken, pa.array(begin, pa.int64()), pa.array(end, pa.int64()), pa.array(said, pa.string())], [*keep, "begin", "end", "matched"])
+            yield pa.RecordBatch.from_arrays([*taken, pa.array(begin, pa.int64()), pa.array(end, pa.int64()), pa.array(said, pa.string())], [*keep, "begin", "end", last])
 
-    schema = ", ".join([*(f"`{f.name}` {f.dataType.simpleString()}" for f in rows.select(*keep).schema), "begin long, end long, matched string"])
+    schema = ", ".join([*(f"`{f.name}` {f.dataType.simpleString()}" for f in rows.select(*keep).schema), f"begin long, end long, {last} string"])
     return rows.mapInArrow(run, schema)
 
 
-def _word_runs(tokens: Column, n: int) -> Column:
-    """Runs of ``n`` consecutive tokens as (begin, end, key)."""
+def regex_spans_arrow(docs: DataFrame, pattern: str, text: str = "text", keep: tuple[str, ...] = ("doc_id",), group: int = 0) -> DataFrame:
+    """The same by an engine in Python, for groups and empty matches; a group that takes no part has no span."""
 
-    def run(t: Column, i: Column) -> Column:
-        words = F.transform(F.slice(tokens, i + 1, F.lit(n)), lambda x: x["matched"])
-        return F.struct(t["begin"], F.get(tokens, i + (n - 1))["end"].alias("end"), F.lower(F.array_join(words, " ")).alias("_key"))
+    def find(t: str) -> Iterator[tuple[int, int, str]]:
+        try:
+            import regex as engine
+        except ImportError:
+            engine = re
+        for m in engine.compile(pattern, engine.ASCII).finditer(t):
+            if m.start(group) >= 0:
+                yield m.start(group), m.end(group), m.group(group)
 
-    return F.transform(F.slice(tokens, F.lit(1), F.greatest(F.size(tokens) - (n - 1), F.lit(0))), run)
+    return _arrow_rows(docs, text, keep, find, "matched")
 
 
 TOKEN = r"[A-Za-z0-9_]+"
@@ -137,22 +165,54 @@ TOKEN = r"[A-Za-z0-9_]+"
 BROADCAST_TERMS = 200_000
 
 
+def ascii_lower(text: Column) -> Column:
+    """A-Z in lower case; other letters, some of which Unicode folds into these, stay."""
+    return F.translate(text, "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz")
+
+
+def token_key(text: Column) -> Column:
+    """The words of a text in lower case, one blank between."""
+    return F.array_join(F.regexp_extract_all(ascii_lower(text), F.lit(TOKEN), F.lit(0)), " ")
+
+
+def dictionary(terms: DataFrame, max_words: int | None = None) -> tuple[DataFrame, list[int], int]:
+    """The entries as ``_key, term``, how many words they have, and how many there are.  Wordless entries match nothing."""
+    wanted = terms.select(token_key(F.col("term")).alias("_key"), "term").where("_key <> ''").distinct()
+    sizes = {r["n"]: r["count"] for r in wanted.groupBy(F.size(F.split("_key", " ")).alias("n")).count().collect()}
+    return wanted, sorted(n for n in sizes if max_words is None or n <= max_words), sum(sizes.values())
+
+
 def dict_spans(docs: DataFrame, terms: DataFrame, text: str = "text", keep: tuple[str, ...] = ("doc_id",), max_words: int | None = None) -> DataFrame:
     """Every occurrence of every entry (any case, whole words): ``keep``, begin, end, term.
 
     ``terms`` has a column ``term``; its words and those of the text are compared as
     runs of as many tokens as some entry has.  Only a caller that sets ``max_words`` leaves longer entries out.
+    Offsets are found in one pass over each text; a small dictionary goes along, so that only its
+    occurrences leave the pass.
     """
-    wanted = terms.select(F.array_join(F.regexp_extract_all(F.lower("term"), F.lit(TOKEN), F.lit(0)), " ").alias("_key"), "term").where("_key <> ''").distinct()
-    sizes = {r["n"]: r["count"] for r in wanted.groupBy(F.size(F.split("_key", " ")).alias("n")).count().collect()}
-    if sum(sizes.values()) <= BROADCAST_TERMS:
-        wanted = F.broadcast(wanted)
-    lengths = sorted(n for n in sizes if n > 1 and (max_words is None or n <= max_words))
-    tokens = docs.select(*keep, match_offsets(F.col(text), TOKEN).alias("_t"))
-    one = F.transform("_t", lambda t: F.struct(t["begin"], t["end"], F.lower(t["matched"]).alias("_key")))
-    every = [one, *(_word_runs(F.col("_t"), n) for n in lengths)]
-    runs = F.flatten(F.array(*every)) if len(every) > 1 else one
-    return tokens.select(*keep, F.inline(runs)).join(wanted, "_key").drop("_key")
+    wanted, lengths, n_terms = dictionary(terms, max_words)
+    known = {r["_key"] for r in wanted.select("_key").distinct().collect()} if n_terms <= BROADCAST_TERMS else None
+
+    def find(t: str) -> Iterator[tuple[int, int, str]]:
+        found = [(m.start(), m.end(), m.group().lower()) for m in re.finditer(TOKEN, t)]
+        for n in lengths:
+            for i in range(len(found) - n + 1):
+                key = found[i][2] if n == 1 else " ".join(w for _, _, w in found[i : i + n])
+                if known is None or key in known:
+                    yield found[i][0], found[i + n - 1][1], key
+
+    return _arrow_rows(docs, text, keep, find, "_key").join(F.broadcast(wanted) if known is not None else wanted, "_key").drop("_key")
+
+
+def dict_rows(docs: DataFrame, terms: DataFrame, text: str = "text", keep: tuple[str, ...] = ("doc_id",)) -> DataFrame:
+    """``keep`` and ``term``, once for each entry that a text holds: an equi-join of its distinct runs of words, without offsets."""
+    wanted, lengths, n_terms = dictionary(terms)
+    words = F.regexp_extract_all(ascii_lower(F.col(text)), F.lit(TOKEN), F.lit(0))
+    runs = lambda w, n: w if n == 1 else F.transform(F.sequence(F.lit(1), F.greatest(F.size(w) - (n - 1), F.lit(0))), lambda i: F.array_join(F.slice(w, i, F.lit(n)), " "))
+    # Of a text shorter than the run the sequence counts down from 1 to 0; its pieces are no entries.
+    every = lambda w: F.flatten(F.array(*(F.when(F.size(w) >= n, runs(w, n)).otherwise(F.array().cast("array<string>")) for n in lengths or [1])))
+    held = docs.where(F.col(text).isNotNull()).select(*keep, F.explode(F.array_distinct(let(words, every))).alias("_key"))
+    return held.join(F.broadcast(wanted) if n_terms <= BROADCAST_TERMS else wanted, "_key").drop("_key")
 
 
 # ---------------------------------------------------------------- aggregation

@@ -2,8 +2,6 @@
 
 from __future__ import annotations
 
-from collections.abc import Iterator
-
 import pandas as pd
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
@@ -127,8 +125,3 @@ def covering_regions(blocks: DataFrame, regions: DataFrame) -> DataFrame:
     keys = ["page_id", *BOX, "text_start", "text_end", "n_spans"]
     return hit.groupBy(*keys).agg(best.alias("n")).select(*keys, "n.*")
 
-
-def mbr_pages(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-    """Bounding boxes by page for sorted batches, as a pandas step."""
-    for b in batches:
-        yield b.groupby("page_id", as_index=False).agg(x_l=("x_l", "min"), y_l=("y_l", "min"), x_h=("x_h", "max"), y_h=("y_h", "max"))

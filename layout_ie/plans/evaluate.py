@@ -16,7 +16,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 
 from ..functions.predicates import ascii_word
-from .rules import BoxLiteral, Call, Compare, Field, Logic, Rule, RuleError, to_df
+from .rules import VALUES, BoxLiteral, Call, Compare, Field, Logic, Rule, RuleError, aliases, conjuncts, to_df
 
 EDGES = ("x_l", "y_l", "x_h", "y_h")
 NESTED = ("region_id", *EDGES, "text_start", "text_end", "text", "html_tag")
@@ -50,19 +50,26 @@ def _holds_call(x: Call, row: dict[str, dict]) -> bool:
     if name == "intersects":
         return _at_most(a[0], b[2]) and _at_most(b[0], a[2]) and _at_most(a[1], b[3]) and _at_most(b[1], a[3])
     if name == "touches":
-        x_shared, y_shared = a[0] < b[2] and b[0] < a[2], a[1] < b[3] and b[1] < a[3]
-        return ((a[2] == b[0] or b[2] == a[0]) and y_shared) or ((a[3] == b[1] or b[3] == a[1]) and x_shared)
+        less = lambda p, o: p is None or o is None or p < o
+        same = lambda p, o: p is not None and p == o
+        shared = lambda i: less(a[i], b[i + 2]) and less(b[i], a[i + 2])
+        on = lambda i: same(a[i + 2], b[i]) or same(b[i + 2], a[i])
+        return (on(0) and shared(1)) or (on(1) and shared(0))
     side = name.removeprefix("strict").removesuffix("of")
-    place = {"north": _at_most(a[3], b[1]), "south": _at_most(b[3], a[1]), "east": _at_most(b[2], a[0]), "west": _at_most(a[2], b[0])}[side]
+    sides = {"north": _at_most(a[3], b[1]), "south": _at_most(b[3], a[1]), "east": _at_most(b[2], a[0]), "west": _at_most(a[2], b[0])}
+    place = all(v for k, v in sides.items() if k in side)
     return place and (not name.startswith("strict") or (across if side in ("north", "south") else along))
 
 
 def _value(x: Any, row: dict[str, dict]) -> Any:
     if isinstance(x, Field):
         return row[x.alias][x.name]
-    if isinstance(x, Call) and x.name.lower() == "area":
-        a = _box(x.args[0], row)
-        return (a[2] - a[0]) * (a[3] - a[1])
+    if isinstance(x, Call) and x.name.lower() in VALUES:
+        a, b = _box(x.args[0], row), _box(x.args[-1], row)
+        return {
+            "area": lambda: (a[2] - a[0]) * (a[3] - a[1]), "centroidx": lambda: (a[0] + a[2]) / 2, "centroidy": lambda: (a[1] + a[3]) / 2,
+            "gapx": lambda: max(0, a[0] - b[2], b[0] - a[2]), "gapy": lambda: max(0, a[1] - b[3], b[1] - a[3]),
+        }[x.name.lower()]()
     return x
 
 
@@ -96,12 +103,20 @@ def evaluate_page(rule: Rule, regions: list[dict]) -> list[tuple]:
             wanted.append(regions)
         else:
             raise RuleError(f"{s.kind} runs over the collection")
+    # Each condition is tested as soon as all it speaks of is bound; those on one source thin it out beforehand.
+    names = [s.alias for s in rule.sources]
+    tests: list[list[Any]] = [[] for _ in names]
+    for t in conjuncts(rule.where):
+        at = max((names.index(a) for a in aliases(t)), default=0)
+        if len(aliases(t)) == 1:
+            wanted[at] = [r for r in wanted[at] if holds(t, {names[at]: r})]
+        else:
+            tests[at].append(t)
     out: list[tuple] = []
 
     def step(i: int, row: dict[str, dict]) -> None:
         if i == len(rule.sources):
-            if holds(rule.where, row):
-                out.append(tuple(_value(x, row) for x in rule.select))
+            out.append(tuple(_value(x, row) for x in rule.select))
             return
         s = rule.sources[i]
         for r in wanted[i]:
@@ -109,7 +124,9 @@ def evaluate_page(rule: Rule, regions: list[dict]) -> list[tuple]:
                 continue
             if s.kind == "DESCENDANTS" and not r["region_id"].startswith(row[s.arg]["region_id"] + "."):
                 continue
-            step(i + 1, {**row, s.alias: r})
+            now = {**row, s.alias: r}
+            if all(holds(t, now) for t in tests[i]):
+                step(i + 1, now)
 
     step(0, {})
     return list(dict.fromkeys(out)) if rule.distinct else out

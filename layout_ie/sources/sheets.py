@@ -17,6 +17,9 @@ HEADS = ("Return Flag", "Ship Date", "Quantity", "Part")
 NOTE = "Returned items: see policy"
 FOOTER = "See Order Summary. Returned goods policy."
 
+#: The columns of ``boxes``, so that stored boxes are read without planning the drawing.
+SCHEMA = "page_id long, region_id string, x_l long, y_l long, x_h long, y_h long, text_start long, text_end long, text string, html_tag string, kind string, ord long, template long"
+
 
 def numbered_lines(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Lines of each order numbered r = 1..n, with the part's name and the order's status."""
@@ -60,17 +63,19 @@ def boxes(spark: SparkSession, sf_dir: str) -> DataFrame:
     lines = numbered_lines(spark, sf_dir)
     p, n = F.col("p"), F.col("n")
     word = F.when(F.col("flag") == "R", "Returned").when(F.col("flag") == "A", "Accepted").otherwise("None")
-    values = lines.select("p", F.inline(F.array(*(_cell("value", F.col("r"), F.lit(k), t) for k, t in enumerate((word, F.col("day"), F.col("quantity"), F.col("part")), 1)))))
-    one = lines.where("r = 1")
+    values = [_cell("value", F.col("r"), F.lit(k), t) for k, t in enumerate((word, F.col("day"), F.col("quantity"), F.col("part")), 1)]
     title = F.when(F.col("status") != "P", "Order Summary").when(p % 13 == 1, "Order Draft, not an Order Summary").otherwise("Order Draft")
     title_y, left = F.when(p % 17 == 2, 80).otherwise(0), F.when(p % 5 == 0, 0).otherwise(200)
     fixed = [_box("bar", F.lit(0), F.lit(100 + 20 * i), 180, 20, F.lit(t), F.lit(f"1.1.{i + 1}"), F.lit("li"), [F.lit(1), F.lit(i + 1), F.lit(0)]) for i, t in enumerate(BAR)]
     fixed.append(_box("title", F.lit(200), title_y, 800, 40, title, F.lit("1.2"), F.lit("h1"), [F.lit(2), F.lit(0), F.lit(0)]))
     fixed += [_cell("head", F.lit(0), F.lit(k), F.lit(t), label=True) for k, t in enumerate(HEADS, 1)]
     fixed.append(_box("footer", left, 240 + 20 * n, 1000 - left, 20, F.lit(FOOTER), F.lit("1.4"), F.lit("footer"), [F.lit(4), F.lit(0), F.lit(0)]))
-    frame = one.select("p", F.inline(F.array(*fixed)))
-    note = one.where((p % 2 == 0) & (p % 11 == 5)).select("p", F.inline(F.array(_cell("note", n + 1, F.lit(1), F.lit(NOTE)))))
-    drawn = values.unionByName(frame).unionByName(note)
+    note = F.array(_cell("note", n + 1, F.lit(1), F.lit(NOTE)))
+    # One pass: each line draws its cells, an order's first line the frame and the note, too.
+    frame = F.array(*fixed)
+    nothing = F.filter(frame, lambda _: F.lit(False))
+    first = F.when(F.col("r") != 1, nothing).when((p % 2 == 0) & (p % 11 == 5), F.concat(frame, note)).otherwise(frame)
+    drawn = lines.select("p", F.inline(F.concat(F.array(*values), first)))
     w = Window.partitionBy("p").orderBy("k1", "k2", "k3")
     start = F.coalesce(F.sum(F.length("text") + 1).over(w.rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).cast("long")
     return drawn.select(
@@ -79,6 +84,19 @@ def boxes(spark: SparkSession, sf_dir: str) -> DataFrame:
     )
 
 
+#: Orders that share a page of the dense corpus, and the height that each has of it.
+DENSE, STRIP = 16, 400
+
+
+def dense_boxes(vis: DataFrame, orders: int = DENSE) -> DataFrame:
+    """The same drawings with ``orders`` of them on a page, one below the other: some hundred boxes a page."""
+    p, slot = F.floor(F.col("page_id") / orders), F.pmod("page_id", F.lit(orders))
+    return vis.select(
+        p.cast("long").alias("page_id"), F.concat(F.lit("1."), (slot + 1).cast("string"), F.substring("region_id", 2, 1 << 20)).alias("region_id"),
+        "x_l", (F.col("y_l") + slot * STRIP).alias("y_l"), "x_h", (F.col("y_h") + slot * STRIP).alias("y_h"), "text", "html_tag", "kind", (slot * 1000 + F.col("ord")).alias("ord"),
+    )
+
+
 def regions(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The full relation: visible boxes, heading cells, rows, grid, bar and body, with minimal and maximal nodes."""
     vis = boxes(spark, sf_dir)

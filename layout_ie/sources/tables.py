@@ -28,8 +28,13 @@ def read_pages(spark: SparkSession, path: str, fmt: str = "parquet") -> DataFram
     return reader.format(fmt).load(path)
 
 
-def write_regions(regions: DataFrame, table: str, buckets: int = 8, mode: str = "overwrite") -> DataFrame:
-    """Store regions bucketed by page, one file a bucket, so that rules need no shuffle."""
+#: Regions in one bucket, about.
+BUCKET_ROWS = 2_000_000
+
+
+def write_regions(regions: DataFrame, table: str, buckets: int | None = None, mode: str = "overwrite") -> DataFrame:
+    """Store regions bucketed by page, one file a bucket, so that rules need no shuffle; buckets follow the regions."""
+    buckets = buckets or max(regions.sparkSession.sparkContext.defaultParallelism, regions.count() // BUCKET_ROWS)
     (
         regions.repartition(buckets, "page_id")
         .sortWithinPartitions("page_id", "ord")

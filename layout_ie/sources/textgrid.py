@@ -2,10 +2,15 @@
 
 from __future__ import annotations
 
+import re
+from collections.abc import Iterator
+
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..operators.spans import match_offsets
+from ..session import ship
 from .tables import load
 
 CELL_W, CELL_H = 8, 20
@@ -21,13 +26,31 @@ def numbered_lines(docs: DataFrame) -> DataFrame:
 
 
 def words(docs: DataFrame) -> DataFrame:
-    """One row per word: box, span in the document, and path ``1.line.word``."""
-    found = numbered_lines(docs).select("page_id", "l", "at", F.posexplode(match_offsets(F.col("line"), WORD)).alias("w", "m"))
-    c, n = F.col("m.begin"), F.col("m.end") - F.col("m.begin")
+    """One row per word: box, span in the document, and path ``1.line.word``; one pass over each text."""
+    ship(docs.sparkSession)
+    names = ("l", "w", "at", "c", "n", "text")
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        rx = re.compile(WORD)
+        for batch in batches:
+            rows: list[tuple] = []
+            doc: list[int] = []
+            for i, text in enumerate(batch.column(1).to_pylist()):
+                at, before = 0, len(rows)
+                for l, line in enumerate((text or "").split("\n")):
+                    rows += [(l, w, at, m.start(), m.end() - m.start(), m.group()) for w, m in enumerate(rx.finditer(line))]
+                    at += len(line) + 1
+                doc += [i] * (len(rows) - before)
+            if rows:
+                columns = [pa.array(c, pa.string() if k == "text" else pa.int64()) for k, c in zip(names, zip(*rows, strict=True), strict=True)]
+                yield pa.RecordBatch.from_arrays([batch.column(0).take(pa.array(doc, pa.int64())), *columns], ["page_id", *names])
+
+    found = docs.select(F.col("doc_id").cast("long").alias("page_id"), "text").mapInArrow(run, "page_id long, l long, w long, at long, c long, n long, text string")
+    c, n = F.col("c"), F.col("n")
     return found.select(
         "page_id", F.concat(F.lit("1."), (F.col("l") + 1).cast("string"), F.lit("."), (F.col("w") + 1).cast("string")).alias("region_id"),
-        (c * CELL_W).alias("x_l"), (F.col("l") * CELL_H).cast("long").alias("y_l"), ((c + n) * CELL_W).alias("x_h"), ((F.col("l") + 1) * CELL_H).cast("long").alias("y_h"),
-        (F.col("at") + c).alias("text_start"), (F.col("at") + c + n).alias("text_end"), F.col("m.matched").alias("text"),
+        (c * CELL_W).alias("x_l"), (F.col("l") * CELL_H).alias("y_l"), ((c + n) * CELL_W).alias("x_h"), ((F.col("l") + 1) * CELL_H).alias("y_h"),
+        (F.col("at") + c).alias("text_start"), (F.col("at") + c + n).alias("text_end"), "text",
     )
 
 

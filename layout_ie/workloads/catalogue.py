@@ -48,6 +48,21 @@ PATTERNS = {
 }
 for _name, _pattern in PATTERNS.items():
     add(_name, lambda s, d, p=_pattern: spans.regex_spans(docs(s, d), p), q('SELECT doc_id, "begin", "end", matched FROM sp', D.spans(_pattern)))
+add(
+    "regex_flags_spans",
+    lambda s, d: spans.regex_spans(docs(s, d), "[a-z]+ing", flags="i"),
+    q('SELECT doc_id, "begin", "end", matched FROM sp', D.spans("(?i)[a-z]+ing")),
+)
+add(
+    "regex_group_spans",
+    lambda s, d: spans.regex_spans(docs(s, d), "[A-Za-z0-9._]+@([A-Za-z0-9.]+)", group=1),
+    q("""SELECT doc_id, "begin" + length(split_part(matched, '@', 1)) + 1 AS "begin", "end", split_part(matched, '@', 2) AS matched FROM sp""", D.spans(PATTERNS["regex_email_spans"])),
+)
+add(
+    "regex_empty_spans",
+    lambda s, d: spans.regex_spans(docs(s, d), r"(?=\n)"),
+    q("SELECT doc_id, CAST(i - 1 AS BIGINT) AS \"begin\", CAST(i - 1 AS BIGINT) AS \"end\", '' AS matched FROM (SELECT doc_id, text, unnest(range(1, length(text) + 1)) AS i FROM documents) WHERE substr(text, i, 1) = chr(10)"),
+)
 add(
     "regex_turn_spans",
     lambda s, d: spans.regex_spans(load(s, d, "conversations"), r"[^.!?\n]+[.!?]", keep=("conv_id", "turn")),
@@ -179,7 +194,7 @@ nodes AS (SELECT page_id, array_to_string(string_split(region_id, '.')[1:k], '.'
 ext AS (SELECT page_id, region_id, arg_max(region_id, len(string_split(region_id, '.'))) OVER x AS minimal_region, arg_min(region_id, len(string_split(region_id, '.'))) OVER x AS maximal_region, b > a AS said FROM nodes WINDOW x AS (PARTITION BY page_id, a, b))""",
 )
 add("sheet_extremes", lambda s, d: sheets.regions(s, d).select("page_id", "region_id", "minimal_region", "maximal_region"), q("SELECT page_id, region_id, minimal_region, maximal_region FROM ext", *_VREGS))
-add("regions_of_page", lambda s, d: hierarchy.all_regions(pages.regions(s, d), 3).select("region_id", "html_tag", "x_l", "y_l", "x_h", "y_h"), q("SELECT region_id, html_tag, x_l, y_l, x_h, y_h FROM reg WHERE page_id = 3", D.PAGES))
+add("regions_of_page", lambda s, d: hierarchy.all_regions(pages.regions(s, d)).select("page_id", "region_id", "html_tag", "x_l", "y_l", "x_h", "y_h"), q("SELECT page_id, region_id, html_tag, x_l, y_l, x_h, y_h FROM reg", D.PAGES))
 _STATS = "SELECT count(*) AS n_pages, CAST(sum(n) AS BIGINT) AS n_regions, min(n) AS least, max(n) AS most, round(avg(n), 4) AS mean FROM (SELECT page_id, count(*) AS n FROM {t} GROUP BY 1)"
 add("corpus_stats", lambda s, d: corpus_stats(sheets.boxes(s, d)), q(_STATS.format(t="vis"), D.SHEETS))
 add("corpus_stats_pages", lambda s, d: corpus_stats(pages.regions(s, d)), q(_STATS.format(t="reg"), D.PAGES))
@@ -228,6 +243,7 @@ PREDICATES = {
     "strict_north_of": (P.strict_north_of, f"{_N} AND {_XI}"), "strict_south_of": (P.strict_south_of, f"{_SO} AND {_XI}"),
     "strict_east_of": (P.strict_east_of, f"{_E} AND {_YI}"), "strict_west_of": (P.strict_west_of, f"{_W} AND {_YI}"),
     "north_west_of": (P.north_west_of, f"{_N} AND {_W}"), "south_east_of": (P.south_east_of, f"{_SO} AND {_E}"),
+    "north_east_of": (P.north_east_of, f"{_N} AND {_E}"), "south_west_of": (P.south_west_of, f"{_SO} AND {_W}"),
     "within_pairs": (P.within, f"{_XI} AND {_YI}"), "touches": (P.touches, f"(({_XO} AND {_YS}) OR ({_YO} AND {_XS}))"),
     "touches_corners": (lambda a, b: P.touches(a, b, corners=True), f"(({_XO} AND {_YS}) OR ({_YO} AND {_XS}) OR ({_XO} AND {_YO}))"),
     "intersects": (P.intersects, "a.x_l <= b.x_h AND b.x_l <= a.x_h AND a.y_l <= b.y_h AND b.y_l <= a.y_h"),
@@ -248,6 +264,28 @@ add(
         D.SHEETS,
     ),
 )
+for _name, _gap, _face in (
+    ("north", "a.y_l - b.y_h", "a.x_l < b.x_h AND b.x_l < a.x_h"), ("east", "b.x_l - a.x_h", "a.y_l < b.y_h AND b.y_l < a.y_h"), ("west", "a.x_l - b.x_h", "a.y_l < b.y_h AND b.y_l < a.y_h"),
+):
+    add(
+        f"nearest_{_name}_2",
+        lambda s, d, w=_name: align.nearest(sheets.boxes(s, d).where("kind = 'head'"), sheets.boxes(s, d), w, 2).select("page_id", "a_id", "b_id", "gap", F.col("place").cast("long").alias("place")),
+        q(f"SELECT * FROM (SELECT a.page_id, a.region_id AS a_id, b.region_id AS b_id, {_gap} AS gap, row_number() OVER (PARTITION BY a.page_id, a.region_id ORDER BY {_gap}, b.region_id) AS place FROM vis a JOIN vis b ON a.page_id = b.page_id AND {_gap} >= 0 AND {_face} AND a.region_id <> b.region_id WHERE a.kind = 'head') WHERE place <= 2", D.SHEETS),
+    )
+_GAPX, _GAPY = (f"greatest(0, a.{e}_l - b.{e}_h, b.{e}_l - a.{e}_h)" for e in "xy")
+add(
+    "gaps",
+    lambda s, d: _gaps(pages.regions(s, d)),
+    q(f"SELECT a.page_id, CAST(sum({_GAPX}) AS BIGINT) AS dx, CAST(sum({_GAPY}) AS BIGINT) AS dy FROM reg a JOIN reg b ON a.page_id = b.page_id WHERE a.html_tag = 'h1' GROUP BY 1", D.PAGES),
+)
+
+
+def _gaps(r: DataFrame) -> DataFrame:
+    a, b = r.where("html_tag = 'h1'").alias("a"), r.alias("b")
+    pairs = a.join(b, F.col("a.page_id") == F.col("b.page_id"))
+    return pairs.groupBy(F.col("a.page_id").alias("page_id")).agg(F.sum(P.gap_x(Box.of("a"), Box.of("b"))).alias("dx"), F.sum(P.gap_y(Box.of("a"), Box.of("b"))).alias("dy"))
+
+
 from ..index.region import grid_pairs, page_grid  # noqa: E402
 
 add(
@@ -283,6 +321,12 @@ add("aligned_consecutive", lambda s, d: _groups(align.vertically_aligned(sheets.
 _TOL = """ch AS (SELECT *, CASE WHEN x_l - lag(x_l) OVER (PARTITION BY page_id ORDER BY x_l) > 25 THEN 1 ELSE 0 END AS c FROM vis),
 cg AS (SELECT *, sum(c) OVER (PARTITION BY page_id ORDER BY x_l RANGE UNBOUNDED PRECEDING) AS i FROM ch)"""
 add("aligned_tolerance", lambda s, d: _groups(align.aligned(sheets.boxes(s, d), tol=25)), q(f"SELECT page_id, min(x_l) AS group_key, {_MBR} FROM cg GROUP BY page_id, i", D.SHEETS, _TOL))
+for _name, _axis, _edge, _key in (("right", "column", "x_h", "x_h"), ("bottom", "row", "y_h", "y_h"), ("centre", "column", "centre", "(x_l + x_h)"), ("middle", "row", "centre", "(y_l + y_h)")):
+    add(
+        f"aligned_{_name}",
+        lambda s, d, a=_axis, e=_edge: _groups(align.aligned(sheets.boxes(s, d), a, edge=e)),
+        q(f"SELECT page_id, k AS group_key, {_MBR} FROM (SELECT *, {_key} AS k FROM vis) GROUP BY page_id, k", D.SHEETS),
+    )
 add("minimal_bounding_region", lambda s, d: align.minimal_bounding_region(pages.regions(s, d), ["page_id", "html_tag"]).drop("text_start", "text_end"), q(f"SELECT page_id, html_tag, {_MBR} FROM reg GROUP BY ALL", D.PAGES))
 add(
     "minimal_super_region",
@@ -298,7 +342,7 @@ add(
     q("SELECT page_id, x_l, count(*) AS n, CAST(sum((x_h - x_l) * (y_h - y_l)) AS BIGINT) AS total, count(DISTINCT html_tag) AS tags FROM reg GROUP BY 1, 2", D.PAGES),
 )
 add(
-    "bounding_boxes_udaf",
+    "bounding_boxes_agg",
     lambda s, d: pages.regions(s, d).groupBy("page_id").agg(tables_functions.mbr_agg("x_l", "y_l", "x_h", "y_h").alias("b")).select("page_id", "b.*"),
     q("SELECT page_id, min(x_l) AS x_l, min(y_l) AS y_l, max(x_h) AS x_h, max(y_h) AS y_h FROM reg GROUP BY 1", D.PAGES),
 )
@@ -429,8 +473,8 @@ _EAST = "v.x_l >= h.x_h AND v.y_l >= h.y_l AND v.y_h <= h.y_h"
 _HEAD = "hd AS (SELECT * FROM vis WHERE text = 'Return Flag')"
 _CELL = "hd AS (SELECT * FROM headcell WHERE text = 'Return Flag')"
 _NAMES = _wd("v.text", "Returned", "Accepted")
-_RIGHT = """SELECT s.page_id, s.region_id FROM {t} s JOIN {t} m ON m.page_id = s.page_id AND s.x_l >= m.x_h AND s.y_l >= m.y_l AND s.y_h <= m.y_h
-JOIN {h} h ON h.page_id = m.page_id AND m.y_l >= h.y_h AND m.x_l >= h.x_l AND m.x_h <= h.x_h WHERE {words}"""
+_RIGHT = """SELECT s.page_id, s.region_id FROM {t} s JOIN (WITH mh AS MATERIALIZED (SELECT m.page_id, m.x_h, m.y_l, m.y_h FROM (SELECT * FROM {t} m WHERE {words}) m
+JOIN {h} h ON h.page_id = m.page_id AND m.y_l >= h.y_h AND m.x_l >= h.x_l AND m.x_h <= h.x_h) SELECT * FROM mh) m ON m.page_id = s.page_id AND s.x_l >= m.x_h AND s.y_l >= m.y_l AND s.y_h <= m.y_h"""
 
 add("q1_pages", lambda s, d: tasks.q1_pages(page_blocks(s, d)), _bar_sql("blk", "page_id, x_l", 500, *_PG))
 add("q2_sheets", tasks.q2_sheets, q(f"SELECT page_id, region_id FROM vis WHERE {_wd('text', 'Order Summary')} AND x_l >= 190 AND y_l >= 0 AND y_h <= 60", D.SHEETS))
@@ -445,19 +489,38 @@ add("q4_sheets_distinct", lambda s, d: tasks.q4_sheets(s, d, distinct=True), _Q4
 add("q4_pages", lambda s, d: tasks.q4_pages(page_blocks(s, d)), q(_RIGHT.format(t="blk", h=f"(SELECT * FROM blk WHERE {_wd('said', 'the')})", words=_wd("m.said", "of")).replace("SELECT s.", "SELECT DISTINCT s.", 1), *_PG))
 add("example_column_names", tasks.column_names, q(_V.format(v="vis", h="hd", words=_NAMES, cond=f"{_SOUTH} AND v.x_l = h.x_l"), D.SHEETS, _HEAD))
 
+# ---------------------------------------------------------------- a dense corpus
+_DENSE = f"""dv AS (SELECT page_id // {sheets.DENSE} AS page_id, '1.' || (page_id % {sheets.DENSE} + 1) || substr(region_id, 2) AS region_id, x_l, y_l + page_id % {sheets.DENSE} * {sheets.STRIP} AS y_l,
+x_h, y_h + page_id % {sheets.DENSE} * {sheets.STRIP} AS y_h, text, html_tag, kind, page_id % {sheets.DENSE} * 1000 + ord AS ord FROM vis)"""
+_DHEAD = "hd AS (SELECT * FROM dv WHERE text = 'Return Flag')"
+
+
+def dense(s: SparkSession, d: str) -> DataFrame:
+    return sheets.dense_boxes(sheets.boxes(s, d))
+
+
+add("corpus_stats_dense", lambda s, d: corpus_stats(dense(s, d)), q(_STATS.format(t="dv"), D.SHEETS, _DENSE))
+add("q1_dense", lambda s, d: tasks.left_bar(dense(s, d), max_dist=10), _bar_sql("gi", "page_id, x_l, i", 500, D.SHEETS, _DENSE, _MAXD.replace("FROM vis", "FROM dv")))
+add("q2_dense", lambda s, d: tasks.top_term(dense(s, d), "Order Summary", tasks.TOP_SHEETS), q(f"SELECT page_id, region_id FROM dv WHERE {_wd('text', 'Order Summary')} AND x_l >= 190 AND y_l >= 0 AND y_h <= 60", D.SHEETS, _DENSE))
+add("q3_dense", lambda s, d: tasks.names_by_heading(dense(s, d), visual.phrase_regions(dense(s, d), "Return Flag"), ["Returned", "Accepted"]), q(_V.format(v="dv", h="hd", words=_NAMES, cond=f"({_SOUTH}) OR ({_EAST})"), D.SHEETS, _DENSE, _DHEAD))
+add("q4_dense", lambda s, d: tasks.right_of_match(dense(s, d), visual.phrase_regions(dense(s, d), "Return Flag"), "Returned", True), q(_RIGHT.format(t="dv", h="hd", words=_wd("m.text", "Returned")).replace("SELECT s.", "SELECT DISTINCT s.", 1), D.SHEETS, _DENSE, _DHEAD))
+add(
+    "touches_dense_by_grid",
+    lambda s, d: grid_pairs(dense(s, d), dense(s, d), P.touches).where("a_id <> b_id").groupBy("page_id").agg(F.count("*").alias("n_pairs")),
+    q(f"SELECT a.page_id, count(*) AS n_pairs FROM dv a JOIN dv b ON a.page_id = b.page_id AND a.x_l // 200 BETWEEN b.x_l // 200 - 6 AND b.x_h // 200 + 1 AND a.y_l <= b.y_h AND b.y_l <= a.y_h AND a.region_id <> b.region_id AND {PREDICATES['touches'][1]} GROUP BY 1", D.SHEETS, _DENSE),
+)
+
 # ---------------------------------------------------------------- access modes
+_MODE_NAMES = {"none": "no_index", "udf": "udf", "per_page": "per_page", "auto": "auto"}
+
+
 def _mode_name(task: str, mode: str) -> str:
-    return f"{task}_{ {'none': 'no_index', 'udf': 'udf', 'per_page': 'per_page'}.get(mode) or mode.replace('+', '_') + '_index'}"
+    return f"{task}_{_MODE_NAMES.get(mode) or mode.replace('+', '_') + '_index'}"
 
 
-for _mode in ("none", "text", "region", "text+region", "udf", "per_page"):
-    add(_mode_name("q4", _mode), lambda s, d, m=_mode: modes.right_of_match(s, d, m), _Q4D)
-for _mode in ("none", "region"):
-    add(_mode_name("q1", _mode), lambda s, d, m=_mode: modes.left_bar(s, d, m), ORACLES["q1_sheets"])
-for _mode in ("none", "text", "region", "text+region"):
-    add(_mode_name("q2", _mode), lambda s, d, m=_mode: modes.top_term(s, d, m), ORACLES["q2_sheets"])
-for _mode in ("none", "text"):
-    add(_mode_name("q3", _mode), lambda s, d, m=_mode: modes.names(s, d, m), ORACLES["q3_sheets"])
+for _t, _sql in (("q1", ORACLES["q1_sheets"]), ("q2", ORACLES["q2_sheets"]), ("q3", ORACLES["q3_sheets"]), ("q4", _Q4D)):
+    for _mode in modes.TASKS[_t][1]:
+        add(_mode_name(_t, _mode), lambda s, d, f=modes.TASKS[_t][0], m=_mode: f(s, d, m), _sql)
 add(
     "text_index_postings",
     lambda s, d: text_index.build_text_index(pages.regions(s, d)),
@@ -468,8 +531,9 @@ add("text_index_lookup", lambda s, d: text_index.lookup_phrase(modes.stored_post
 # ---------------------------------------------------------------- rule language
 RULE_Q4 = """SELECT DISTINCT s.page_id, s.region_id FROM PHRASE('Return Flag', D) AS h, PHRASE('Returned', D) AS m, REGIONS(D) AS s
 WHERE StrictSouthOf(m, h) AND StrictEastOf(s, m)"""
-RULE_Q3 = """SELECT DISTINCT v.page_id, v.region_id FROM PHRASE('Return Flag', D) AS h, REGEX('^(Returned|Accepted)\\b|\\bReturned\\b', D) AS v
+RULE_Q3 = """SELECT DISTINCT v.page_id, v.region_id FROM PHRASE('Return Flag', D) AS h, DICT('names', D) AS v
 WHERE StrictSouthOf(v, h) OR StrictEastOf(v, h)"""
+RULE_Q3_REGEX = RULE_Q3.replace("DICT('names', D)", "REGEX('^(Returned|Accepted)\\b|\\bReturned\\b', D)")
 RULE_Q2 = "SELECT t.page_id, t.region_id FROM PHRASE('Order Summary', D) AS t WHERE Contains(t, BOX(190, 0, INF, 60))"
 RULE_Q1 = "SELECT v.page_id, v.region_id FROM REGIONS(D) AS v GROUP BY ALIGNED(COLUMN) HAVING COUNT > 3 AND Contains(MBR, BOX(0, 90, 500, INF))"
 RULE_Q1_NEAR = RULE_Q1.replace("COLUMN", "COLUMN, MAXDIST 10")
@@ -483,6 +547,7 @@ def by_rule(text: str, access: str = "none") -> Query:
         vis = modes.stored_regions(s, d)
         rule = rules.rewrite(rules.parse(text), access)
         views = {"postings": modes.stored_postings(s, d)} if "text" in access else {}
+        views |= {"names": words_df(s, *modes.NAMES)} if "'names'" in text else {}
         return rules.to_df(rule, vis, views)
 
     return run
@@ -494,9 +559,11 @@ add("rule_q1_consecutive", by_rule(RULE_Q1_NEXT), ORACLES["q1_sheets_consecutive
 add("rule_q2", by_rule(RULE_Q2), ORACLES["q2_sheets"])
 add("rule_q2_text_index", by_rule(RULE_Q2, "text"), ORACLES["q2_sheets"])
 add("rule_q3", by_rule(RULE_Q3), ORACLES["q3_sheets"])
+add("rule_q3_regex", by_rule(RULE_Q3_REGEX), ORACLES["q3_sheets"])
+add("rule_q3_text_index", by_rule(RULE_Q3, "text"), ORACLES["q3_sheets"])
 add("rule_q4", by_rule(RULE_Q4), _Q4D)
 add("rule_q4_per_page", lambda s, d: evaluate.run_per_page(rules.parse(RULE_Q4), other_ways.nest(modes.stored_regions(s, d), evaluate.NESTED)), _Q4D)
-add("rule_q3_per_page", lambda s, d: evaluate.run_per_page(rules.parse(RULE_Q3), other_ways.nest(modes.stored_regions(s, d), evaluate.NESTED)), ORACLES["q3_sheets"])
+add("rule_q3_per_page", lambda s, d: evaluate.run_per_page(rules.parse(RULE_Q3_REGEX), other_ways.nest(modes.stored_regions(s, d), evaluate.NESTED)), ORACLES["q3_sheets"])
 add("rule_q4_text_index", by_rule(RULE_Q4, "text"), _Q4D)
 add(
     "rule_dict_phrases",
@@ -510,12 +577,55 @@ add(
 )
 
 
-def rule_sizes(s: SparkSession, d: str) -> DataFrame:
-    rows = [(name, *rules.rule_size(rules.parse(text)).values()) for name, text in (("q1", RULE_Q1), ("q2", RULE_Q2), ("q3", RULE_Q3), ("q4", RULE_Q4))]
-    return s.createDataFrame(rows, "task string, sources long, predicates long, constants long, groupings long")
+_PAGE_RULES = {
+    "rule_ancestors": (
+        "SELECT DISTINCT u.page_id, u.region_id FROM PHRASE('the', D) AS b, ANCESTORS(b) AS u WHERE u.html_tag <> 'body'",
+        "SELECT DISTINCT r.page_id, r.region_id FROM reg v JOIN reg r ON r.page_id = v.page_id AND starts_with(v.region_id, r.region_id || '.') WHERE regexp_matches(v.text, '(?i)\\bthe\\b') AND r.html_tag <> 'body'",
+    ),
+    "rule_descendants": (
+        "SELECT x.page_id, x.region_id FROM REGIONS(D) AS a, DESCENDANTS(a) AS x WHERE a.html_tag = 'nav' AND x.html_tag = 'a'",
+        "SELECT r.page_id, r.region_id FROM reg v JOIN reg r ON r.page_id = v.page_id AND starts_with(r.region_id, v.region_id || '.') WHERE v.html_tag = 'nav' AND r.html_tag = 'a'",
+    ),
+    "rule_minimal": (
+        "SELECT DISTINCT m.page_id, m.region_id FROM REGIONS(D) AS n, MINIMAL(n) AS m WHERE n.html_tag = 'li' AND StrictSouthOf(m, BOX(0, 0, 400, 100))",
+        "SELECT DISTINCT r.page_id, r.region_id FROM reg v JOIN reg r ON r.page_id = v.page_id AND r.region_id = v.minimal_region WHERE v.html_tag = 'li' AND r.y_l >= 100 AND r.x_l >= 0 AND r.x_h <= 400",
+    ),
+    "rule_super": (
+        "SELECT DISTINCT SUPER.page_id, SUPER.region_id FROM REGIONS(D) AS v WHERE v.html_tag = 'p' GROUP BY ALIGNED(COLUMN) HAVING COUNT > 2",
+        "SELECT DISTINCT page_id, region_id FROM (SELECT g.page_id, r.region_id, row_number() OVER (PARTITION BY g.page_id, g.k ORDER BY (r.x_h - r.x_l) * (r.y_h - r.y_l), r.depth DESC, r.region_id) AS i FROM (SELECT page_id, x_l AS k, min(y_l) AS b, max(x_h) AS c, max(y_h) AS d FROM reg WHERE html_tag = 'p' GROUP BY 1, 2 HAVING count(*) > 2) g JOIN reg r ON r.page_id = g.page_id AND r.x_l <= g.k AND r.y_l <= g.b AND r.x_h >= g.c AND r.y_h >= g.d) WHERE i = 1",
+    ),
+    "rule_values": (
+        "SELECT a.page_id, a.region_id FROM REGIONS(D) AS h, REGIONS(D) AS a WHERE h.html_tag = 'h1' AND a.html_tag = 'p' AND GapY(a, h) <= 40 AND CentroidX(a) >= 400 AND Area(a) > 16000",
+        "SELECT a.page_id, a.region_id FROM reg h JOIN reg a ON a.page_id = h.page_id WHERE h.html_tag = 'h1' AND a.html_tag = 'p' AND greatest(0, a.y_l - h.y_h, h.y_l - a.y_h) <= 40 AND (a.x_l + a.x_h) / 2.0 >= 400 AND (a.x_h - a.x_l) * (a.y_h - a.y_l) > 16000",
+    ),
+}
+for _name, (_text, _sql) in _PAGE_RULES.items():
+    add(_name, lambda s, d, t=_text: rules.to_df(rules.parse(t), pages.regions(s, d)), q(_sql, D.PAGES))
+RULE_DIAGONAL = "SELECT DISTINCT v.page_id, v.region_id FROM PHRASE('Order Summary', D) AS t, REGIONS(D) AS v WHERE SouthWestOf(v, t)"
+add("rule_diagonal", by_rule(RULE_DIAGONAL), q(f"SELECT DISTINCT v.page_id, v.region_id FROM vis t JOIN vis v ON v.page_id = t.page_id AND v.y_l >= t.y_h AND v.x_h <= t.x_l WHERE {_wd('t.text', 'Order Summary')}", D.SHEETS))
+RULE_TOUCH = "SELECT v.page_id, v.region_id FROM REGIONS(D) AS v WHERE Touches(v, BOX(200, 120, INF, 160))"
+add("rule_touches_open_box", by_rule(RULE_TOUCH), q("SELECT page_id, region_id FROM vis WHERE (x_h = 200 AND y_l < 160 AND 120 < y_h) OR ((y_h = 120 OR y_l = 160) AND 200 < x_h)", D.SHEETS))
 
+RULES = {"q1": RULE_Q1, "q2": RULE_Q2, "q3": RULE_Q3, "q4": RULE_Q4}
 
-add("rule_size", rule_sizes)
+
+def rule_sizes(s: SparkSession, d: str) -> DataFrame:
+    """Parts of the visual rules, as their trees have them, and of the source rules for the same tasks."""
+    rows = [(task, "visual", *rules.rule_size(rules.parse(text)).values()) for task, text in RULES.items()]
+    rows += [(*name.split("_"), *map(len, parts)) for name, parts in source_rules.PARTS.items()]
+    return s.createDataFrame(rows, "task string, kind string, sources long, predicates long, constants long, groupings long")
+
+
+#: Counted by hand.
+_SIZES = {
+    "q1 visual": (1, 2, 4, 1), "q2 visual": (1, 1, 4, 0), "q3 visual": (2, 2, 2, 0), "q4 visual": (3, 2, 2, 0),
+    "q1 identical": (3, 4, 4, 1), "q1 approximate": (1, 2, 2, 1), "q1 alternate": (1, 3, 2, 1),
+    "q2 identical": (3, 1, 4, 0), "q2 approximate": (1, 1, 2, 0), "q2 alternate": (1, 2, 2, 0),
+    "q3 identical": (4, 6, 5, 0), "q3 approximate": (2, 6, 3, 0),
+    "q4 identical": (5, 7, 5, 0), "q4 approximate": (3, 6, 3, 0), "q4 alternate": (3, 3, 5, 0),
+}
+_SIZE_ROWS = ", ".join("('{}', '{}', {})".format(*k.split(), ", ".join(map(str, v))) for k, v in _SIZES.items())
+add("rule_size", rule_sizes, f"SELECT task, kind, {', '.join(f'CAST({c} AS BIGINT) AS {c}' for c in ('sources', 'predicates', 'constants', 'groupings'))} FROM (VALUES {_SIZE_ROWS}) v(task, kind, sources, predicates, constants, groupings)")
 
 
 def by_sql_functions(s: SparkSession, d: str) -> DataFrame:
@@ -552,6 +662,32 @@ add(
 )
 
 
+_STACK = "sk AS (SELECT *, CASE WHEN html_tag = 'li' THEN regexp_replace(region_id, '[.][0-9]+$', '') WHEN html_tag IN ('td', 'div') AND starts_with(region_id, '1.3.') THEN 'column ' || split_part(region_id, '.', 4) END AS st FROM vis)"
+_STACKS = "SELECT page_id, region_id FROM (SELECT *, count(*) OVER (PARTITION BY page_id, st) AS n FROM sk WHERE st IS NOT NULL AND html_tag IN ({t})) WHERE n > 3"
+_PLACED = "pl AS (SELECT *, CASE WHEN template = 2 THEN j ELSE i END AS rw, CASE WHEN template = 2 THEN i ELSE j END AS cl FROM od)"
+_RIGHT_SRC = "SELECT DISTINCT s.page_id, s.region_id FROM pl s JOIN pl m ON m.page_id = s.page_id AND s.rw = m.rw AND s.cl > m.cl JOIN pl h ON h.page_id = m.page_id AND h.text = 'Return Flag' AND m.cl = h.cl AND m.rw > h.rw WHERE regexp_matches(m.text, '(?i)\\bReturned\\b') AND m.html_tag IN ({t}) AND s.html_tag IN ({t})"
+_ALL_TAGS = "'td', 'div', 'li'"
+_SOURCE_RULES = {
+    "q1": {
+        "identical": (source_rules.bar_identical, _STACKS.format(t=_ALL_TAGS), (_STACK,)),
+        "approximate": (source_rules.bar_approximate, _STACKS.format(t="'li'"), (_STACK,)),
+        "alternate": (source_rules.bar_alternate, "SELECT page_id, region_id FROM (SELECT *, count(*) OVER (PARTITION BY page_id) AS n FROM (SELECT *, arg_min(st, ord) OVER (PARTITION BY page_id) AS f FROM sk WHERE html_tag = 'li') WHERE st = f) WHERE n > 3", (_STACK,)),
+    },
+    "q2": {
+        "identical": (source_rules.class_identical, f"SELECT page_id, region_id FROM vis WHERE html_tag IN ('h1', 'h2', 'h3') AND {_wd('text', 'Order Summary')}", ()),
+        "approximate": (source_rules.class_approximate, "SELECT page_id, region_id FROM vis WHERE html_tag = 'h1' AND text = 'Order Summary'", ()),
+        "alternate": (source_rules.class_alternate, f"SELECT page_id, region_id FROM vis WHERE ord <= 6 AND {_wd('text', 'Order Summary')}", ()),
+    },
+    "q4": {
+        "identical": (source_rules.right_identical, _RIGHT_SRC.format(t=_ALL_TAGS), (_ORD, _PLACED)),
+        "approximate": (source_rules.right_approximate, _RIGHT_SRC.format(t="'td'"), (_ORD, _PLACED)),
+    },
+}
+for _t, _kinds in _SOURCE_RULES.items():
+    for _k, (_fn, _body, _extra) in _kinds.items():
+        add(f"source_{_k}_{_t}", lambda s, d, f=_fn: f(sheets.boxes(s, d)), q(_body, D.SHEETS, *_extra))
+
+
 def polygons(s: SparkSession, d: str) -> DataFrame:
     vis = sheets.boxes(s, d)
     return other_ways.right_of_match_polygons(vis, visual.phrase_regions(vis, "Return Flag"), visual.phrase_regions(vis, "Returned"))
@@ -621,6 +757,27 @@ for _name, (_fn, _body, _extra) in _VIA.items():
     add(f"robustness_{_name}", lambda s, d, f=_fn: robustness(_by_variant(f)(s, d)), f"SELECT max(recall) AS best, min(recall) AS worst, round(max(recall) - min(recall), 4) AS \"drop\" FROM ({_sql})")
 add("accuracy_source_alternate_q4", _score("q4", lambda s, d: source_rules.alternate(sheets.boxes(s, d)), _REG), _acc_sql("q4", _ALT.split(D.SHEETS.strip(), 1)[1].strip()))
 
+for _t, _kinds in _SOURCE_RULES.items():
+    for _k, (_fn, _body, _extra) in _kinds.items():
+        _keys, _sql = (["page_id"], f"SELECT DISTINCT page_id FROM ({_body})") if _t == "q2" else (_REG, _body)
+        add(f"accuracy_source_{_k}_{_t}", _score(_t, lambda s, d, f=_fn: f(sheets.boxes(s, d)), _keys), _acc_sql(_t, _sql, _extra, keys=", ".join(_keys)))
+        if _t != "q2":
+            _sql = _acc_sql(_t, f"SELECT page_id % 3 AS template, * FROM ({_body})", _extra, by="template")
+            add(f"robustness_{_k}_{_t}", lambda s, d, f=_fn, t=_t: robustness(_by_variant(f, t)(s, d)), f"SELECT max(recall) AS best, min(recall) AS worst, round(max(recall) - min(recall), 4) AS \"drop\" FROM ({_sql})")
+for _name, (_options, _) in {k: v for k, v in _Q1.items() if k.endswith(("maxdist", "consecutive", "tuned"))}.items():
+    _kind = _name.rsplit("_", 1)[1]
+    _src, _group, _wide = ("vis", "page_id, x_l", 190) if _kind == "tuned" else ("gi", "page_id, x_l, i", 500)
+    _part = {"maxdist": (_MAXD,), "consecutive": (_CONS,), "tuned": ()}[_kind]
+    _body = f"SELECT page_id, region_id FROM (SELECT *, {_A} FROM {_src} WINDOW g AS (PARTITION BY {_group})) WHERE {_IN_A.format(w=_wide)}"
+    add(f"accuracy_q1_{_kind}", _score("q1", QUERIES[_name], _REG), _acc_sql("q1", _body, _part))
+_TAG_GOLD = {"q1": "html_tag = 'li' AND template = 0", "q2": "html_tag = 'h1'", "q3": "html_tag IN ('p', 'footer')"}
+for _t, _find, _gold in (("q1", tasks.q1_pages, _TAG_GOLD["q1"]), ("q2", tasks.q2_pages, _TAG_GOLD["q2"]), ("q3", tasks.q3_pages, _TAG_GOLD["q3"])):
+    add(
+        f"accuracy_{_t}_pages",
+        lambda s, d, f=_find, g=_gold: accuracy(f(page_blocks(s, d)), page_blocks(s, d).where(g), _REG),
+        q(_ACC.format(by="", found="SELECT DISTINCT * FROM fp", gold=f"SELECT DISTINCT page_id, region_id FROM blk WHERE {_gold}", keys="page_id, region_id", group=""), *_PG, f"fp AS ({ORACLES[f'{_t}_pages'].split(_BLOCKS, 1)[1].strip()})"),
+    )
+
 # ---------------------------------------------------------------- relational surface
 
 

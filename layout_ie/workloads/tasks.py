@@ -31,7 +31,10 @@ def left_bar(vs: DataFrame, n: int = 3, box: Box = LEFT_BAR, restrict_first: boo
     elif not consecutive:
         for bound, test in ((box.x_l, F.col("x_l") >= box.x_l), (box.x_h, F.col("x_l") <= box.x_h)):
             below = below if bound is None else below.where(test)
-    groups = aligned(below, "column", consecutive=consecutive, max_dist=max_dist)
+    if consecutive or max_dist is not None:
+        groups = aligned(below, "column", consecutive=consecutive, max_dist=max_dist)
+    else:  # nothing splits a column
+        groups = below.select("page_id", "region_id", *EDGES, F.col("x_l").alias("group_key"), F.lit(0).alias("island"))
     w = Window.partitionBy("page_id", "group_key", "island")
     sized = groups.withColumns({"_n": F.count("*").over(w), "m_x_l": F.min("x_l").over(w), "m_y_l": F.min("y_l").over(w), "m_x_h": F.max("x_h").over(w), "m_y_h": F.max("y_h").over(w)})
     bound = Box(*(F.col(f"m_{e}") for e in EDGES))

@@ -96,6 +96,19 @@ def test_regex_offsets_equal_python(spark):
     assert empty == sum(len(list(re.finditer("[0-9]*", t or ""))) for t in texts)
 
 
+@pytest.mark.parametrize(("pattern", "text", "want"), [("(?=a)", "ab cab a", [(0, 0), (4, 4), (7, 7)]), (r"\b", "a b", [(0, 0), (1, 1), (2, 2), (3, 3)]), (r"\p{L}+", "été 12 né", [(0, 3), (7, 9)]), (r"x*", "axx", [(0, 0), (1, 3), (3, 3)]), (r"(?<=a)b", "ab cb", [(1, 2)]), ("", "ab", [(0, 0), (1, 1), (2, 2)])])
+def test_patterns_with_empty_matches_and_classes(spark, pattern, text, want):
+    df = spark.createDataFrame([(1, text)], "doc_id long, text string")
+    assert sorted((r["begin"], r["end"]) for r in spans.regex_spans(df, pattern).collect()) == want
+
+
+def test_flags_and_groups(spark):
+    df = spark.createDataFrame([(1, "Key=Value; key=other; lone=")], "doc_id long, text string")
+    assert [r["matched"] for r in spans.regex_spans(df, r"key=\w+", flags="i").orderBy("begin").collect()] == ["Key=Value", "key=other"]
+    got = spans.regex_spans(df, r"(\w+)=(\w+)?", group=2).orderBy("begin").collect()
+    assert [(r["begin"], r["end"], r["matched"]) for r in got] == [(4, 9, "Value"), (15, 20, "other")]
+
+
 def test_dictionary_finds_every_occurrence(spark):
     df = spark.createDataFrame([(1, "New York, new  york city; York"), (2, None), (3, "")], "doc_id long, text string")
     terms = spark.createDataFrame([("new york",), ("york city",), ("York",), ("",)], "term string")

@@ -7,7 +7,7 @@ from pyspark.sql import functions as F
 from layout_ie.functions import predicates as P
 from layout_ie.index import region as region_index
 from layout_ie.index import text as text_index
-from layout_ie.measures.accuracy import accuracy, plan_counts, robustness, speedup
+from layout_ie.measures.accuracy import accuracy, plan_counts, robustness, speedup, work_of
 from layout_ie.plans import rules
 from layout_ie.sources import pages, sheets, tables
 from layout_ie.streaming import stream
@@ -80,8 +80,66 @@ def test_rules_over_spans_and_hierarchy(spark):
 def test_access_paths_agree(spark, sf):
     want = sorted(map(tuple, tasks.q4_sheets(spark, sf, distinct=True).collect()))
     assert len(want) == 2511
-    for mode in ("none", "text", "region", "text+region", "udf", "per_page"):
+    for mode in modes.TASKS["q4"][1]:
         assert sorted(map(tuple, modes.right_of_match(spark, sf, mode).collect())) == want, mode
+    for task in ("q1", "q2", "q3"):
+        find, paths = modes.TASKS[task]
+        answers = {mode: sorted(map(tuple, find(spark, sf, mode).collect())) for mode in paths}
+        assert len(set(map(str, answers.values()))) == 1 and answers["none"], task
+
+
+def test_the_engine_chooses(spark, sf):
+    """Rare phrases go to the postings, tasks that put a page's regions together to the clustered relation."""
+    assert modes.choose(spark, sf, "q1") == "region" and modes.choose(spark, sf, "q4") == "text+region"
+    assert "text" in modes.choose(spark, sf, "q2")
+    summary = modes.stored_summary(spark, sf)
+    inside, n = region_index.box_count(summary, tasks.TOP_SHEETS)
+    assert n == 40_270 and 0 < inside < n and region_index.box_count(summary, None) == (n, n)
+
+
+def test_unfiltered_regions_stay_where_they_are(spark, sf):
+    """With both indices the fourth task exchanges its matches only: the clustered relation is scanned in place."""
+    spark.conf.set("spark.sql.autoBroadcastJoinThreshold", -1)
+    try:
+        plan = lambda df: df._jdf.queryExecution().executedPlan().toString()
+        q4 = modes.right_of_match(spark, sf, "text+region")
+        assert plan_counts(q4)["exchanges"] == 2 and "Bucketed: true" in plan(q4)
+        assert plan_counts(modes.left_bar(spark, sf, "region"))["exchanges"] == 0
+        work = work_of(lambda: modes.right_of_match(spark, sf, "text+region"))
+        plain = work_of(lambda: modes.right_of_match(spark, sf, "none"))
+        assert work["rows_read"] < plain["rows_read"] and work["bytes_shuffled"] < plain["bytes_shuffled"] and plain["tasks"] > 0
+    finally:
+        spark.conf.unset("spark.sql.autoBroadcastJoinThreshold")
+
+
+PHRASE_TEXTS = ["Order Summary", "order summary", "Order, Summary", "Order  Summary", "Order-Summary", "preorder summary", "Order Summary's end", "été", "an été t", "t", "Kelvin \u212a k", "!!", "wow!! no", None, "", "the Order Summary of the Order Summary list"]
+
+
+@pytest.mark.parametrize("phrase", ["Order Summary", "été", "!!", "k", "t", "summary of the order", "order"])
+def test_the_text_index_answers_as_a_scan(spark, phrase):
+    rows = [(i // 4, f"1.{i}", t, *[10 * i, 0, 10 * i + 5, 5]) for i, t in enumerate(PHRASE_TEXTS)]
+    df = spark.createDataFrame(rows, "page_id long, region_id string, text string, x_l long, y_l long, x_h long, y_h long")
+    rule = rules.parse(f"SELECT a.page_id, a.region_id FROM PHRASE('{phrase}', D) AS a WHERE Contains(a, BOX(0, 0, INF, INF))")
+    views = {"postings": text_index.build_covering_index(df)}
+    scan = sorted(map(tuple, rules.to_df(rule, df).collect()))
+    by_index = rules.rewrite(rule, "text")
+    assert sorted(map(tuple, rules.to_df(by_index, df, views).collect())) == scan
+    literal = phrase.isascii() and phrase != "!!"
+    assert (by_index.sources[0].kind == "POSTINGS") == literal
+    if literal:
+        assert sorted(map(tuple, text_index.lookup_phrase(views["postings"], phrase).select("page_id", "region_id").collect())) == scan
+    else:
+        with pytest.raises(ValueError):
+            text_index.lookup_phrase(views["postings"], phrase)
+
+
+def test_rules_meet_by_equality(spark, sf):
+    """Dictionaries, ancestors and descendants are equi-joins: no nested loops over pairs."""
+    vis = sheets.boxes(spark, sf)
+    views = {"names": catalogue.words_df(spark, "Returned", "Order Summary")}
+    for text in (catalogue.RULE_Q3, *(t for t, _ in catalogue._PAGE_RULES.values()), catalogue.RULE_Q1_NEXT):
+        plan = rules.to_df(rules.parse(text), vis.withColumns({"minimal_region": F.col("region_id"), "maximal_region": F.col("region_id")}), views)._jdf.queryExecution().executedPlan().toString()
+        assert "NestedLoop" not in plan and "Cartesian" not in plan, text
 
 
 def test_bucketed_regions_need_no_shuffle(spark, sf):
@@ -99,7 +157,7 @@ def test_bucketed_regions_need_no_shuffle(spark, sf):
 
 
 def test_box_filters_reach_the_scan(spark, sf, tmp_path):
-    index = region_index.build_region_index(sheets.boxes(spark, sf), str(tmp_path / "boxes"))
+    index = region_index.build_region_index(sheets.boxes(spark, sf), "boxes_to_scan", str(tmp_path / "boxes"))
     spark.conf.set("spark.sql.maxMetadataStringLength", 2000)
     plan = region_index.lookup_box(index, tasks.LEFT_BAR)._jdf.queryExecution().executedPlan().toString()
     assert "GreaterThanOrEqual(x_l,0)" in plan and "LessThanOrEqual(x_h,500)" in plan
@@ -110,7 +168,8 @@ def test_text_index(spark):
     df = spark.createDataFrame([(1, "1.1", "The New, new york"), (1, "1.2", "york new"), (2, "1", None)], "page_id long, region_id string, text string")
     posts = text_index.build_text_index(df)
     assert posts.count() == 6
-    assert [tuple(r) for r in text_index.lookup_phrase(posts, "New York").collect()] == [(1, "1.1")]
+    covering = text_index.build_covering_index(df.withColumns({e: F.lit(1) for e in text_index.BOX}))
+    assert [tuple(r)[:2] for r in text_index.lookup_phrase(covering, "New York").collect()] == [(1, "1.1")]
     assert {r["region_id"] for r in text_index.lookup_terms(posts, ["york"]).collect()} == {"1.1", "1.2"}
     assert text_index.posting_counts(posts, {"a": "new york", "b": "the york", "c": "none"}) == {"a": 2, "b": 1, "c": 0}
 
