@@ -49,7 +49,7 @@ def _same_width(a: DataFrame, b: DataFrame) -> None:
 
 def union(a: DataFrame, b: DataFrame) -> DataFrame:
     _same_width(a, b)
-    return a.unionByName(b)
+    return a.union(b)
 
 
 def intersect(a: DataFrame, b: DataFrame, all: bool = True) -> DataFrame:  # noqa: A002

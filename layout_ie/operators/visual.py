@@ -7,6 +7,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions.predicates import ascii_word
+from ..session import shipped
 from .hierarchy import enclosing_node, page_texts
 from .spans import dict_spans, islands, regex_spans, text_block
 
@@ -78,7 +79,7 @@ def region_block(vs: DataFrame, min_count: int, max_dx: int, max_dy: int, mode:
         new = F.when(F.col("p_x_l").isNull() | (gx >= max_dx) | (gy >= max_dy), 1).otherwise(0)
         label = step.withColumn("block", F.sum(new).over(w.rowsBetween(Window.unboundedPreceding, 0))).select(*cols, "block")
     elif mode == "component":
-        label = vs.select(*cols).groupBy("page_id").applyInPandas(_components(max_dx, max_dy), ", ".join(f"{c} long" for c in (*cols, "block")))
+        label = shipped(vs).select(*cols).groupBy("page_id").applyInPandas(_components(max_dx, max_dy), ", ".join(f"{c} long" for c in (*cols, "block")))
     else:
         raise ValueError(f"unknown mode {mode}")
     blocks = label.groupBy("page_id", "block").agg(

@@ -16,6 +16,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 
 from ..functions.predicates import ascii_word
+from ..session import shipped
 from .rules import VALUES, BoxLiteral, Call, Compare, Field, Logic, Rule, RuleError, aliases, conjuncts, to_df
 
 EDGES = ("x_l", "y_l", "x_h", "y_h")
@@ -147,4 +148,4 @@ def run_per_page(rule: Rule, nested: DataFrame) -> DataFrame:
             if rows:
                 yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows, strict=True), types, strict=True)], names)
 
-    return nested.mapInArrow(run, schema)
+    return shipped(nested).mapInArrow(run, schema)

@@ -8,7 +8,7 @@ import tempfile
 import zipfile
 from pathlib import Path
 
-from pyspark.sql import SparkSession
+from pyspark.sql import DataFrame, SparkSession
 
 
 def ship(spark: SparkSession) -> None:
@@ -25,3 +25,9 @@ def ship(spark: SparkSession) -> None:
                 archive.write(file, file.relative_to(root.parent))
         context.addPyFile(f"{folder}/{root.name}.zip")
     context._layout_ie_shipped = True
+
+
+def shipped(df: DataFrame) -> DataFrame:
+    """``df``, for operators whose workers import this package."""
+    ship(df.sparkSession)
+    return df

@@ -17,6 +17,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 
 from ..model import REGIONS
+from ..session import shipped
 from .tables import load
 
 CHAR_W, LINE_H, WIDTH, BANNER, TOP_ITEM = 8, 20, 1024, 100, 160
@@ -181,7 +182,7 @@ def render_pages(pages: DataFrame) -> DataFrame:
                 cols = zip(*rows[lo : lo + 50_000], strict=True)
                 yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, types, strict=True)], names)
 
-    return pages.select("page_id", "html").mapInArrow(run, REGIONS)
+    return shipped(pages).select("page_id", "html").mapInArrow(run, REGIONS)
 
 
 def regions(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -12,13 +12,13 @@ from ..functions import predicates as P
 from ..functions import tables_functions
 from ..index import text as text_index
 from ..measures.accuracy import accuracy, corpus_stats, robustness
-from ..model import Box, virtual_region
+from ..model import Box, span, virtual_region, visual_span
 from ..operators import align, hierarchy, spans, visual
 from ..oracles import drawings as D
 from ..oracles.drawings import q
 from ..plans import evaluate, rules
 from ..sources import pages, sheets, textgrid
-from ..sources.tables import load
+from ..sources.tables import load, read_pages, write_matches
 from ..streaming import stream
 from . import modes, tasks
 
@@ -601,6 +601,18 @@ _PAGE_RULES = {
 }
 for _name, (_text, _sql) in _PAGE_RULES.items():
     add(_name, lambda s, d, t=_text: rules.to_df(rules.parse(t), pages.regions(s, d)), q(_sql, D.PAGES))
+_SPAN_RULES = {
+    "rule_follows": ("Follows(a, b, 40)", "a.text_end <= b.text_start AND b.text_start - a.text_end <= 40"),
+    "rule_overlap": ("Overlap(a, b)", "a.text_start < b.text_end AND b.text_start < a.text_end"),
+    "rule_span_in": ("SpanIn(a, b)", "b.text_start <= a.text_start AND a.text_end <= b.text_end AND (a.text_start <> b.text_start OR a.text_end <> b.text_end)"),
+    "rule_same_span": ("SameSpan(a, b)", "a.text_start = b.text_start AND a.text_end = b.text_end"),
+}
+for _name, (_text, _sql) in _SPAN_RULES.items():
+    add(
+        _name,
+        lambda s, d, t=_text: rules.to_df(rules.parse(f"SELECT a.page_id, a.region_id, b.ord FROM PHRASE('the', D) AS a, REGIONS(D) AS b WHERE b.html_tag <> 'body' AND {t}"), pages.regions(s, d)),
+        q(f"SELECT a.page_id, a.region_id, b.ord FROM reg a JOIN reg b ON b.page_id = a.page_id AND {_sql} WHERE regexp_matches(a.text, '(?i)\\bthe\\b') AND b.html_tag <> 'body'", D.PAGES),
+    )
 RULE_DIAGONAL = "SELECT DISTINCT v.page_id, v.region_id FROM PHRASE('Order Summary', D) AS t, REGIONS(D) AS v WHERE SouthWestOf(v, t)"
 add("rule_diagonal", by_rule(RULE_DIAGONAL), q(f"SELECT DISTINCT v.page_id, v.region_id FROM vis t JOIN vis v ON v.page_id = t.page_id AND v.y_l >= t.y_h AND v.x_h <= t.x_l WHERE {_wd('t.text', 'Order Summary')}", D.SHEETS))
 RULE_TOUCH = "SELECT v.page_id, v.region_id FROM REGIONS(D) AS v WHERE Touches(v, BOX(200, 120, INF, 160))"
@@ -861,6 +873,47 @@ add(
     "SELECT event_type, count(json_extract_string(props, '$.k')) AS n, CAST(sum(CAST(json_extract_string(props, '$.k') AS BIGINT)) AS BIGINT) AS total FROM events GROUP BY 1",
 )
 
+
+
+def _visual_values(s: SparkSession, d: str) -> DataFrame:
+    """Visual spans as one typed value each: a text interval and a rectangle."""
+    held = pages.regions(s, d).select("page_id", "region_id", visual_span(span(F.col("text_start"), F.col("text_end")), Box.of().struct()).alias("v"))
+    return held.select("page_id", "region_id", "v.s.begin", "v.s.end", *(F.col(f"v.r.{e}") for e in tasks.EDGES))
+
+
+add("visual_span_values", _visual_values, q('SELECT page_id, region_id, text_start AS "begin", text_end AS "end", x_l, y_l, x_h, y_h FROM reg', D.PAGES))
+
+
+def _by_file(fmt: str) -> Query:
+    """Pages written as files of a format and read as a collection again."""
+
+    def run(s: SparkSession, d: str) -> DataFrame:
+        import uuid
+
+        path = f"{modes.index_folder(s, d)}/pages-{uuid.uuid4().hex}"
+        writer = load(s, d, "pages").select("page_id", "url", "html").write
+        if fmt == "csv":
+            writer = writer.option("header", "true").option("escape", '"')
+        writer.format(fmt).save(path)
+        return read_pages(s, path, fmt).select("page_id", "url", F.length("html").cast("long").alias("n_chars"), F.md5("html").alias("digest"))
+
+    return run
+
+
+for _fmt in ("json", "parquet", "orc"):
+    add(f"pages_from_{_fmt}", _by_file(_fmt), "SELECT page_id, url, CAST(length(html) AS BIGINT) AS n_chars, md5(html) AS digest FROM pages")
+
+
+def _sink(s: SparkSession, d: str) -> DataFrame:
+    import uuid
+
+    path = f"{modes.index_folder(s, d)}/matches-{uuid.uuid4().hex}"
+    write_matches(modes.top_term(s, d, "auto"), path)
+    return s.read.parquet(path)
+
+
+add("matches_sink", _sink, ORACLES["q2_sheets"])
+
 # ---------------------------------------------------------------- streams
 add(
     "events_tumbling",
