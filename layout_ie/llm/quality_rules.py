@@ -8,7 +8,7 @@ The tests of one ladder run in a fixed order and stop at the first failure, whic
 needs no correction; the level is split evenly over strata and rules
 (Bonferroni), and so is the tolerated risk over the rules, so that with
 probability ``1 - level`` no stratum loses more than ``risk`` of its good
-documents by all rules together.
+documents by all rules together.  The base rules are fixed and stand outside that risk.
 
 Defined results: a null text has no words and fails the base rules; a null or
 unlabelled stratum has no certified cutoff, so only the base rules apply to it;

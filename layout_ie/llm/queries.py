@@ -90,6 +90,17 @@ SELECT doc_id, CAST(n_words AS BIGINT) AS n_words, word_chars, CAST(n_symbols AS
   NOT base_failed AND b.k NOT IN (SELECT k FROM bad) AS kept FROM b"""
 
 
+_REPEATS_SQL = f"""
+WITH d AS (SELECT row_number() OVER () AS k, doc_id, hex(encode(coalesce(text, ''))) AS h FROM documents),
+pc AS (SELECT k, 1000 * p AS o, substr(h, 2000 * p + 1, 2 * (1000 + {suffix_dedup.LENGTH} - 1)) AS t FROM (SELECT k, h, unnest(range(0, length(h) // 2000 + 1)) AS p FROM d)),
+w AS MATERIALIZED (SELECT k, o + i AS i, hash(substr(t, 2 * i + 1, 2 * {suffix_dedup.LENGTH})) AS g FROM (SELECT k, o, t, unnest(range(0, least(1000, length(t) // 2 - {suffix_dedup.LENGTH} + 1))) AS i FROM pc WHERE length(t) >= 2 * {suffix_dedup.LENGTH})),
+r AS (SELECT k, i FROM w WHERE g IN (SELECT g FROM w GROUP BY g HAVING count(*) > 1)),
+s AS (SELECT k, i, sum(CASE WHEN i - p <= {suffix_dedup.LENGTH} THEN 0 ELSE 1 END) OVER (PARTITION BY k ORDER BY i) AS b FROM (SELECT k, i, coalesce(lag(i) OVER (PARTITION BY k ORDER BY i), -1000) AS p FROM r)),
+sp AS (SELECT k, min(i) AS lo, max(i) + {suffix_dedup.LENGTH} AS hi FROM s GROUP BY k, b),
+kp AS (SELECT k, lo, hi, coalesce(lag(hi) OVER (PARTITION BY k ORDER BY lo), 0) AS before FROM sp),
+ag AS (SELECT d.k, count(kp.k) AS n, coalesce(sum(kp.hi - kp.lo), 0) AS gone, coalesce(max(kp.hi), 0) AS last, coalesce(string_agg(substr(d.h, 2 * kp.before + 1, 2 * (kp.lo - kp.before)), '' ORDER BY kp.lo), '') AS front FROM d LEFT JOIN kp ON kp.k = d.k GROUP BY d.k)
+SELECT d.doc_id, CAST(length(h) // 2 AS BIGINT) AS n_bytes, CAST(gone AS BIGINT) AS n_removed, CAST(n AS BIGINT) AS n_spans, sha256(unhex(front || substr(h, 2 * last + 1))) AS kept_sha256 FROM d JOIN ag USING (k)"""
+
 _WARC_SQL = f"""
 WITH p AS (SELECT page_id, url, octet_length(encode(coalesce(html, ''))) AS payload_bytes, sha1(coalesce(html, '')) AS payload_digest FROM pages),
 g AS (SELECT payload_digest, max(page_id) AS first FROM p WHERE payload_bytes >= {warc.REVISIT_BYTES} GROUP BY 1)
@@ -116,6 +127,7 @@ ni AS (SELECT k, count(*) AS n, string_agg(s, ',' ORDER BY s) AS s FROM (SELECT
 SELECT doc_id, CAST(len(w) AS BIGINT) AS n_words, coalesce(nh.n, 0) AS n_hit, coalesce(ni.n, 0) AS n_items, sha256(coalesce(ni.s, '')) AS items_sha256, coalesce(nh.n, 0) > 0 AS contaminated FROM d LEFT JOIN nh USING (k) LEFT JOIN ni USING (k)"""
 
 ORACLES: dict[str, str] = {
+    "op4_suffix_dedup": _REPEATS_SQL,
     "op5_warc": _WARC_SQL,
     "op7_quality_rules": _quality_sql(),
     "op8_chat_format": _CHAT_SQL,
