@@ -54,10 +54,21 @@ def shuffles_dropped(spark: SparkSession) -> Iterator[None]:
         spark.conf.unset(_CLEANUP) if before is None else spark.conf.set(_CLEANUP, before)
 
 
-def settle(df: DataFrame, label: str) -> DataFrame:
-    """Write ``df`` as Parquet in the shared folder and read it back: cuts lineage and survives lost executors."""
+#: Rows of a table of ids in one written file, about.
+FILE_ROWS = 1_000_000
+
+
+def settle(df: DataFrame, label: str, rows: int | None = None) -> DataFrame:
+    """Write ``df`` as Parquet in the shared folder and read it back: cuts lineage and survives lost executors.
+
+    With ``rows``, about how many there are, a small table is not written in as many files as a shuffle has partitions.
+    """
     spark = df.sparkSession
+    ship(spark)
     path = fresh_path(spark, label)
+    if rows is not None:
+        files = max(3 * spark.sparkContext.defaultParallelism, -(-rows // FILE_ROWS))
+        df = df.coalesce(files) if files < int(spark.conf.get("spark.sql.shuffle.partitions")) else df
     with shuffles_dropped(spark):
         df.write.parquet(path)
     out = spark.read.schema(df.schema).parquet(path)
@@ -71,6 +82,19 @@ def drop_written(df: DataFrame) -> None:
     path.getFileSystem(df.sparkSession._jsparkSession.sessionState().newHadoopConf()).delete(path, True)
 
 
+def release_memory() -> None:
+    """Give memory that a worker no longer uses back to the system; the worker itself waits for further tasks."""
+    import ctypes
+
+    import pyarrow as pa
+
+    pa.default_memory_pool().release_unused()
+    try:
+        ctypes.CDLL(None).malloc_trim(0)
+    except (AttributeError, OSError):  # another C library
+        pass
+
+
 def unused(df: DataFrame, name: str) -> str:
     """``name``, with underscores in front until no column of ``df`` is called so."""
     taken = {c.lower() for c in df.columns}

@@ -28,6 +28,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ..session import shipped
 from .common import settle
 
 WINDOW = 10
@@ -139,7 +140,7 @@ def _scan_block(rows: DataFrame, keep: list[str], items: tuple[tuple[str, bytes]
                 [*keep, "n_words", "runs", "spans", "items"],
             )
 
-    return rows.mapInArrow(run, schema)
+    return shipped(rows).mapInArrow(run, schema)
 
 
 def find_contamination(docs: DataFrame, benchmark: DataFrame, keep: tuple[str, ...] = ("doc_id",), text: str = "text", size: int = WINDOW, max_chars: int = MAX_CHARS) -> DataFrame:

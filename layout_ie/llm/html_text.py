@@ -32,6 +32,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ..session import shipped
+
 #: Fixed word lists: frequent function words of four languages.
 STOP_WORDS = frozenset(
     # English
@@ -310,4 +312,4 @@ def extract(pages: DataFrame, html: str = "html", keep: tuple[str, ...] = ("page
             yield pa.RecordBatch.from_arrays([*batch.columns[: len(keep)], pa.array(texts, pa.string()), pa.array([len(t) for t in texts], pa.int64())], [*keep, "text", "n_chars"])
 
     schema = ", ".join([*(f"`{f.name}` {f.dataType.simpleString()}" for f in rows.select(*keep).schema), "text string, n_chars long"])
-    return rows.mapInArrow(run, schema)
+    return shipped(rows).mapInArrow(run, schema)

@@ -29,6 +29,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ..session import shipped
+
 #: Bounds of the fit.
 SAMPLE, LEAST_DOCS, MAX_FEATURES = 20_000, 3, 100_000
 SCREEN = 5.0
@@ -186,7 +188,7 @@ def training_rows(docs: DataFrame, grades: DataFrame, sample: int = SAMPLE) -> t
             sets = [np.array(sorted(table.document(x.as_py())), "<i4").tobytes() for x in batch.column("text")]
             yield pa.RecordBatch.from_arrays([batch.column("doc_id"), batch.column("grade"), pa.array(sets, pa.binary())], ["doc_id", "grade", "features"])
 
-    got = rows.mapInArrow(run, "doc_id long, grade int, features binary").dropDuplicates(["doc_id"]).orderBy("doc_id").collect()
+    got = shipped(rows).mapInArrow(run, "doc_id long, grade int, features binary").dropDuplicates(["doc_id"]).orderBy("doc_id").collect()
     return [np.frombuffer(r["features"], "<i4").astype(np.int64) for r in got], np.array([r["grade"] for r in got], np.int64)
 
 
@@ -206,7 +208,7 @@ def score(docs: DataFrame, model: OrdinalModel, keep: tuple[str, ...] = ("doc_id
             )
 
     schema = ", ".join([*(f"`{f.name}` {f.dataType.simpleString()}" for f in rows.select(*keep).schema), "score double, p_decent double, p_good double, expected_grade double, grade long, kept boolean"])
-    return rows.mapInArrow(run, schema)
+    return shipped(rows).mapInArrow(run, schema)
 
 
 def grade_documents(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE) -> DataFrame:

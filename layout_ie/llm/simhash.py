@@ -28,6 +28,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ..session import shipped
 from .common import drop_written, settle
 
 SEED = 42
@@ -37,8 +38,6 @@ BLOCKS = 6
 #: Members of a leaf and children of an upper node.
 LEAF, FAN = 32, 16
 
-_LANES = np.uint64(0x0101010101010101)
-
 
 # ---------------------------------------------------------------- fingerprints
 def shingle_hashes(text: bytes | None, size: int = SHINGLE, seed: int = SEED) -> np.ndarray:
@@ -58,18 +57,15 @@ def shingle_hashes(text: bytes | None, size: int = SHINGLE, seed: int = SEED) ->
 
 
 def majority(hashes: np.ndarray) -> int:
-    """Bits that are set in over half of the hashes; byte lanes add up 255 hashes at a time."""
+    """Bits that are set in over half of the hashes."""
     n = len(hashes)
     if not n:
         return 0
-    cuts = np.arange(0, n, 255)
-    bits = 0
-    for k in range(8):
-        lanes = np.add.reduceat((hashes >> np.uint64(k)) & _LANES, cuts)
-        counts = lanes.view(np.uint8).reshape(-1, 8).sum(axis=0, dtype=np.int64)
-        for byte in np.flatnonzero(2 * counts > n).tolist():
-            bits |= 1 << (8 * byte + k)
-    return bits
+    counts = np.zeros(64, np.int64)
+    for at in range(0, n, 4096):
+        bits = np.unpackbits(hashes[at : at + 4096].view(np.uint8).reshape(-1, 8), axis=1, bitorder="little")
+        counts += bits.sum(axis=0, dtype=np.int32)
+    return int(np.packbits(2 * counts > n, bitorder="little").view(np.uint64)[0])
 
 
 def fingerprints(docs: DataFrame, text: str = "text", keep: tuple[str, ...] = ("doc_id",)) -> DataFrame:
@@ -83,7 +79,7 @@ def fingerprints(docs: DataFrame, text: str = "text", keep: tuple[str, ...] = ("
             yield pa.RecordBatch.from_arrays([*batch.columns[: len(keep)], fp], [*keep, "fp"])
 
     schema = ", ".join([*(f"`{f.name}` {f.dataType.simpleString()}" for f in rows.select(*keep).schema), "fp long"])
-    return rows.mapInArrow(run, schema)
+    return shipped(rows).mapInArrow(run, schema)
 
 
 def fp_hex(column):  # noqa: ANN001, ANN201
@@ -240,7 +236,7 @@ def link_buckets(rows: DataFrame, radius: int = RADIUS) -> DataFrame:
                     schema=_FOREST,
                 )
 
-    return rows.mapInArrow(run, _FOREST_DDL)
+    return shipped(rows).mapInArrow(run, _FOREST_DDL)
 
 
 def link_borders(nodes: DataFrame, radius: int = RADIUS) -> DataFrame:
@@ -263,29 +259,30 @@ def link_borders(nodes: DataFrame, radius: int = RADIUS) -> DataFrame:
                     moved = np.flatnonzero(label != np.arange(len(label)))
                     yield pa.RecordBatch.from_arrays([pa.array(node[moved]), pa.array(node[label[moved]])], ["a", "b"])
 
-    return pairs.mapInArrow(run, "a long, b long")
+    return shipped(pairs).mapInArrow(run, "a long, b long")
 
 
 # ---------------------------------------------------------------- components
-def components(edges: DataFrame) -> DataFrame:
-    """``node, root`` for every end of the edges ``a, b``; root is the smallest node reachable.
+def components(edges: DataFrame, rows: int | None = None) -> DataFrame:
+    """``node, root`` for every end of the edges ``a, b`` (about ``rows``); root is the smallest node reachable.
 
     Alternates large-star and small-star contraction; each round is a written
     table, so a lost executor costs one round.  No node's neighbours are gathered
     in a row: a group only ever yields its minimum.  The end is reached when all
     edges are stars: every child has one parent and no parent is a child.
     """
-    e = settle(edges.where("a <> b").select(F.greatest("a", "b").alias("x"), F.least("a", "b").alias("y")).distinct(), "edges")
+    e = settle(edges.where("a <> b").select(F.greatest("a", "b").alias("x"), F.least("a", "b").alias("y")).distinct(), "edges", rows)
+    rows = e.count()
     while True:
         both = e.unionByName(e.select(F.col("y").alias("x"), F.col("x").alias("y")))
         # Written, so that the join reads both sides from exchanges and Spark may split the root of a large group.
-        low = settle(both.groupBy("x").agg(F.min("y").alias("m")).select("x", F.least("x", "m").alias("m")), "low")
-        large = settle(both.where("y > x").join(low, "x").select(F.col("y").alias("x"), F.col("m").alias("y")).distinct(), "large")
+        low = settle(both.groupBy("x").agg(F.min("y").alias("m")).select("x", F.least("x", "m").alias("m")), "low", 2 * rows)
+        large = settle(both.where("y > x").join(low, "x").select(F.col("y").alias("x"), F.col("m").alias("y")).distinct(), "large", 2 * rows)
         drop_written(e)
         least = large.groupBy("x").agg(F.min("y").alias("m"))
         joined = large.join(least, "x")
         small = joined.where("y <> m").select(F.col("y").alias("x"), F.col("m").alias("y")).unionByName(least.select("x", F.col("m").alias("y"))).distinct()
-        e = settle(small, "edges")
+        e = settle(small, "edges", 2 * rows)
         drop_written(low)
         drop_written(large)
         parents = e.select(F.col("y").alias("x"), F.lit(True).alias("parent")).distinct()

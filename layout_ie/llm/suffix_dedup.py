@@ -36,6 +36,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ..session import shipped
 from .common import drop_written, release_memory, settle
 
 LENGTH, GRAM = 200, 64
@@ -127,7 +128,7 @@ def _anchor_rows(docs: DataFrame, length: int, gram: int) -> DataFrame:
                 take = pa.array(row)
                 yield pa.RecordBatch.from_arrays([batch.column("doc_id").take(take), batch.column("tk").take(take), pa.array(kh), pa.array(ch), pa.array(lo << 20 | n << 10 | offset)], ["doc_id", "tk", "gram", "context", "at"])
 
-    return docs.mapInArrow(run, "doc_id long, tk long, gram long, context long, at long")
+    return shipped(docs).mapInArrow(run, "doc_id long, tk long, gram long, context long, at long")
 
 
 # ---------------------------------------------------------------- deep-shallow sorting
@@ -232,7 +233,7 @@ def _window_rows(docs: DataFrame, length: int) -> DataFrame:
             if out:
                 yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in zip(*out, strict=True)], ["doc_id", "tk", "gram", "context", "at"])
 
-    return docs.mapInArrow(run, "doc_id long, tk long, gram long, context long, at long")
+    return shipped(docs).mapInArrow(run, "doc_id long, tk long, gram long, context long, at long")
 
 
 def _contexts(docs: DataFrame, length: int) -> DataFrame:
@@ -261,7 +262,7 @@ def _contexts(docs: DataFrame, length: int) -> DataFrame:
                 types = (pa.int64(), pa.int32(), pa.int64(), pa.int64(), pa.int64(), pa.int64(), pa.int64(), pa.bool_(), pa.binary())
                 yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows, strict=True), types, strict=True)], ["spread", "kind", "gram", "context", "doc_id", "tk", "first", "single", "body"])
 
-    return docs.mapInArrow(run, _CONTEXT_DDL)
+    return shipped(docs).mapInArrow(run, _CONTEXT_DDL)
 
 
 _RUNS = ("doc_id", "tk", "first", "n")
@@ -319,7 +320,7 @@ def _decided_runs(contexts: DataFrame, length: int) -> DataFrame:
         del held
         release_memory()
 
-    return contexts.mapInArrow(run, "doc_id long, tk long, first long, n long")
+    return shipped(contexts).mapInArrow(run, "doc_id long, tk long, first long, n long")
 
 
 # ---------------------------------------------------------------- operator
@@ -410,7 +411,7 @@ def remove_repeats(docs: DataFrame, text: str = "text", length: int = LENGTH, gr
             types = (pa.int64(), pa.int64(), pa.int64(), pa.string(), pa.list_(pa.struct([("start", pa.int64()), ("end", pa.int64())])), pa.binary())
             yield pa.RecordBatch.from_arrays([batch.column("doc_id"), *(pa.array(c, t) for c, t in zip(out, types, strict=True))], ["doc_id", "n_bytes", "n_removed", "n_spans", "kept_sha256", "spans", "kept"])
 
-    return joined.mapInArrow(run, "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string, spans array<struct<start:long,end:long>>, kept binary")
+    return shipped(joined).mapInArrow(run, "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string, spans array<struct<start:long,end:long>>, kept binary")
 
 
 def brute_force(docs: list[tuple[int, str | None]], length: int = LENGTH) -> list[tuple]:

@@ -37,7 +37,8 @@ import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .common import fresh_path, settle
+from ..session import shipped
+from .common import fresh_path, release_memory, settle
 
 #: Ids in the window of the rolling hash, and the least, usual and most ids of a chunk.
 ROLL, LEAST, USUAL, MOST = 16, 64, 1024, 8192
@@ -109,7 +110,6 @@ class WordEncoder:
         out = flat[place]
         bounds = np.concatenate(([0], ends))[lists.offsets.to_numpy() - lists.offsets[0].as_py()]
         del lists, words, ids, flat, index, per_word, place
-        pa.default_memory_pool().release_unused()
         return out, np.diff(bounds)
 
     def _distinct_ids(self, words: list[bytes]) -> list[bytes]:
@@ -271,8 +271,10 @@ def _encode_rows(docs: DataFrame, tokenizer: str, end_id: int, width: int) -> Da
             ):
                 if n:
                     yield pa.RecordBatch.from_arrays([pa.array([name] * n) if f.name == "kind" else pa.array(cols[f.name], f.type) if f.name in cols else pa.nulls(n, f.type) for f in _ROWS], schema=_ROWS)
+            del recipes, packed, texts
+            release_memory()
 
-    return docs.mapInArrow(run, _ROWS_DDL)
+    return shipped(docs).mapInArrow(run, _ROWS_DDL)
 
 
 # ---------------------------------------------------------------- writing
@@ -402,7 +404,7 @@ def read_documents(spark: SparkSession, path: str) -> DataFrame:
             yield pa.RecordBatch.from_arrays([batch.column("doc_id"), batch.column("start"), pa.array([x.astype(np.int64) for x in ids], pa.list_(pa.int64()))], ["doc_id", "start", "ids"])
 
     whole = held.groupBy("doc_id", "start").agg(F.array_sort(F.collect_list(F.struct("at", "payload"))).alias("parts"))
-    return whole.mapInArrow(run, "doc_id long, start long, ids array<long>")
+    return shipped(whole).mapInArrow(run, "doc_id long, start long, ids array<long>")
 
 
 def check_chunks(spark: SparkSession, path: str) -> DataFrame:
@@ -507,7 +509,7 @@ def document_digests(spark: SparkSession, path: str) -> DataFrame:
                 raise ValueError(f"{max(1, len(wrong))} documents do not have the ids their recipes say")
             yield pa.RecordBatch.from_arrays([batch.column("doc_id"), batch.column("start"), pa.array(sizes), pa.array(join_many(at, crc, 4 * n).astype(np.int64))], ["doc_id", "start", "n_tokens", "ids_crc32"])
 
-    return whole.mapInArrow(run, "doc_id long, start long, n_tokens long, ids_crc32 long")
+    return shipped(whole).mapInArrow(run, "doc_id long, start long, n_tokens long, ids_crc32 long")
 
 
 def verify(spark: SparkSession, path: str) -> bool:

@@ -164,6 +164,34 @@ def test_mixing(spark):
     assert mixing.mix(frame(spark, [])).count() == 0 and mixing.stage(frame(spark, [])).count() == 0
 
 
+def test_mixing_equals_brute_force(spark):
+    """Places, copies and blocks of every document, counted one by one in the order of the permutation."""
+    import math
+
+    from pyspark.sql import functions as F
+
+    data = [(i, prose(5 + i * 7 % 31, i), "en", ["big", "big", "big", "mid", None][i % 5] if i % 60 else "rare", 1, *TAIL) for i in range(900)] + [(7, "a b c", "en", "mid", 0, *TAIL), (901, " \n", "en", "big", 0, *TAIL)]
+    docs = frame(spark, data)
+    plan = mixing.mix(docs, max_epochs=3.3, block_tokens=300).withColumn("order", F.xxhash64("doc_id", "source", F.lit(mixing.SEED))).collect()
+    tokens = Counter()
+    for r in plan:
+        tokens[r["source"]] += r["n_tokens"]
+    most, least = max(tokens.values()), min(tokens.values())
+    a = max(0.0, 1 - math.log(3.3) / math.log(most / least))
+    z = sum((t / sum(tokens.values())) ** a for t in tokens.values())
+    for s, total in tokens.items():
+        own = sorted((r for r in plan if r["source"] == s), key=lambda r: ((r["order"] % 2**64 >> 24) % mixing.SLICES, r["order"], r["doc_id"]))
+        epochs, weight = (most / total) ** (1 - a), (total / sum(tokens.values())) ** a / z
+        assert own[0]["epochs"] == pytest.approx(epochs, rel=1e-3) and own[0]["weight"] == pytest.approx(weight, rel=1e-3)
+        epochs, weight, place = own[0]["epochs"], own[0]["weight"], 0
+        for r in own:
+            copies = 1 if not r["n_tokens"] else math.floor(epochs) + (place < (epochs - math.floor(epochs)) * total)
+            quota = max(weight * 300, 1.0)
+            assert (r["place"], r["copies"]) == (place, copies)
+            assert r["blocks"] == [math.floor((place + k * total) / quota) for k in range(copies)]
+            place += r["n_tokens"]
+
+
 def test_entropy_target(spark):
     import math
 

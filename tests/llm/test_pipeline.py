@@ -45,5 +45,18 @@ def test_stages(spark, tmp_path):
     assert sum(r["n_tokens"] for r in rows[:-1]) == rows[-1]["start"]
 
 
+def test_empty_tables_and_null_ids(spark, tmp_path):
+    """Every stage takes an empty table, and rows without an id come through."""
+    docs, _ = write(spark, tmp_path)
+    now = spark.read.parquet(f"{tmp_path}/documents.parquet")
+    for name, stage in corpus_pipeline.STAGES:
+        out = stage(spark, now.limit(0), str(tmp_path))
+        assert out.count() == 0 and (name == "token_store" or out.columns == now.columns)
+    lone = frame(spark, [(None, prose(90, 700 + i % 2), None, None, None, *TAIL) for i in range(4)])
+    for name, stage in corpus_pipeline.STAGES:
+        lone = stage(spark, lone, str(tmp_path))
+    assert lone.count() == 4
+
+
 def test_registered():
     assert sorted(int(n[2:].split("_")[0]) for n in queries.QUERIES) == list(range(1, 11))
