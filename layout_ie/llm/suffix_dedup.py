@@ -340,12 +340,17 @@ def repeated_windows(docs: DataFrame, text: str = "text", length: int = LENGTH,
     classes = _classes(shared, "contexts")
     per_gram = settle(classes.groupBy("gram").agg(F.count("*").alias("contexts")).where("contexts > 1"), "grams")
     need = [_members(shared, classes), _asked(classes.join(per_gram.where(F.col("contexts") <= HOT), "gram"), SORTED)]
+    done = [often, shared, classes, per_gram]
     hot = per_gram.where(F.col("contexts") > HOT)
     if not hot.isEmpty():
         asked = _asked(classes.join(hot, "gram"), SORTED)
         windows = settle(_window_rows(_with_need(rows, asked), length), "windows")
-        need.append(_members(windows, _classes(windows, "windowed")))
+        again = _classes(windows, "windowed")
+        need.append(_members(windows, again))
+        done += [windows, again]
     joined = _with_need(rows, reduce(DataFrame.unionByName, need))
+    for table in done:
+        drop_written(table)
     parts = max(1, int(spark.conf.get("spark.sql.shuffle.partitions")))
     order = ("spread", "gram", "context", "kind")
     contexts = _contexts(joined, length).repartition(parts, "spread").sortWithinPartitions(*order)
