@@ -19,6 +19,7 @@ FOOTER = "See Order Summary. Returned goods policy."
 
 #: The columns of ``boxes``, so that stored boxes are read without planning the drawing.
 SCHEMA = "page_id long, region_id string, x_l long, y_l long, x_h long, y_h long, text_start long, text_end long, text string, html_tag string, kind string, ord long, template long"
+_NODES = "array<struct<kind:string,region_id:string,x_l:bigint,y_l:bigint,x_h:bigint,y_h:bigint,text:string,html_tag:string,k1:bigint,k2:bigint,k3:bigint>>"
 
 
 def numbered_lines(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -70,12 +71,11 @@ def boxes(spark: SparkSession, sf_dir: str) -> DataFrame:
     fixed.append(_box("title", F.lit(200), title_y, 800, 40, title, F.lit("1.2"), F.lit("h1"), [F.lit(2), F.lit(0), F.lit(0)]))
     fixed += [_cell("head", F.lit(0), F.lit(k), F.lit(t), label=True) for k, t in enumerate(HEADS, 1)]
     fixed.append(_box("footer", left, 240 + 20 * n, 1000 - left, 20, F.lit(FOOTER), F.lit("1.4"), F.lit("footer"), [F.lit(4), F.lit(0), F.lit(0)]))
-    note = F.array(_cell("note", n + 1, F.lit(1), F.lit(NOTE)))
     # One pass: each line draws its cells, an order's first line the frame and the note, too.
-    frame = F.array(*fixed)
-    nothing = F.filter(frame, lambda _: F.lit(False))
-    first = F.when(F.col("r") != 1, nothing).when((p % 2 == 0) & (p % 11 == 5), F.concat(frame, note)).otherwise(frame)
-    drawn = lines.select("p", F.inline(F.concat(F.array(*values), first)))
+    nothing = F.array().cast(_NODES)
+    frame = F.when(F.col("r") == 1, F.array(*fixed)).otherwise(nothing)
+    note = F.when((F.col("r") == 1) & (p % 2 == 0) & (p % 11 == 5), F.array(_cell("note", n + 1, F.lit(1), F.lit(NOTE)))).otherwise(nothing)
+    drawn = lines.select("p", F.inline(F.concat(F.array(*values), frame, note)))
     w = Window.partitionBy("p").orderBy("k1", "k2", "k3")
     start = F.coalesce(F.sum(F.length("text") + 1).over(w.rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).cast("long")
     return drawn.select(
