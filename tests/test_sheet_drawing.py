@@ -75,3 +75,14 @@ def test_maximal_tasks_on_odd_orders(spark, odd):
         mine = catalogue.QUERIES[name](spark, odd)
         want = con.sql(catalogue.ORACLES[name]).select(*mine.columns).fetchall()
         assert sorted(map(tuple, mine.collect())) == sorted(want) and want, name
+
+
+def test_rule_sizes_are_of_the_sheets(spark, sf):
+    """The sizes come with the sheets that the tables have."""
+    mine = catalogue.QUERIES["rule_size"](spark, sf)
+    con = duckdb.connect()
+    for t in ("orders", "part", "lineitem"):
+        con.sql(f"CREATE VIEW {t} AS SELECT * FROM '{sf}/{t}.parquet'")
+    want = con.sql(catalogue.ORACLES["rule_size"]).select(*mine.columns).fetchall()
+    assert sorted(map(tuple, mine.collect())) == sorted(want)
+    assert {r["n_pages"] for r in mine.collect()} == {spark.read.parquet(f"{sf}/lineitem.parquet").select("l_orderkey").distinct().count()}
