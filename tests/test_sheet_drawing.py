@@ -61,7 +61,7 @@ def test_only_lines_are_sorted(spark, sf):
         assert text.index("Generate ") < text.index("Window ["), name
 
 
-@pytest.mark.parametrize(("name", "draws"), [("q3_sheets_maximal", 2), ("accuracy_q3_maximal", 3)])
+@pytest.mark.parametrize(("name", "draws"), [("q3_sheets_maximal", 2), ("q4_sheets_maximal", 3), ("accuracy_q3_maximal", 3), ("accuracy_q4_maximal", 5)])
 def test_maximal_headings_draw_once(spark, sf, name, draws):
     """A heading's cell comes with the drawing of the heading; containers are not gathered from several drawings."""
     assert plan(catalogue.QUERIES[name](spark, sf)).count("Generate ") == draws
