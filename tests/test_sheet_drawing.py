@@ -86,3 +86,17 @@ def test_rule_sizes_are_of_the_sheets(spark, sf):
     want = con.sql(catalogue.ORACLES["rule_size"]).select(*mine.columns).fetchall()
     assert sorted(map(tuple, mine.collect())) == sorted(want)
     assert {r["n_pages"] for r in mine.collect()} == {spark.read.parquet(f"{sf}/lineitem.parquet").select("l_orderkey").distinct().count()}
+
+
+def test_marked_boxes_are_those_with_the_terms(spark, odd, sf):
+    """Texts searched before drawing give the same boxes as after it; no length of a text is summed for them."""
+    cols = ["page_id", "region_id", "x_l", "y_l", "x_h", "y_h", "text", "html_tag", "kind"]
+    for d in (odd, sf):
+        for terms, kinds in ((("Returned", "Accepted"), None), (("Returned", "Accepted"), ("value",)), (("Order Summary", "part"), None), (None, ("value",)), (None, None)):
+            vis = sheets.boxes(spark, d).select(cols)
+            want = vis if kinds is None else vis.where(vis["kind"].isin(*kinds))
+            if terms:
+                want = phrase_regions(want, terms[0]).unionByName(phrase_regions(want, terms[1])).distinct()
+            mine = sheets.marked(spark, d, terms, kinds).select(cols)
+            assert mine.exceptAll(want).isEmpty() and want.exceptAll(mine).isEmpty() and not want.isEmpty()
+    assert "sum(" not in plan(sheets.marked(spark, sf, ("Returned",)).select(cols))
